@@ -6,9 +6,22 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from rowfold.llm import pieces
 from rowfold.llm.common import table
+from rowfold.llm.decontaminate import contaminated
+from rowfold.llm.pii import find_pii
+from rowfold.llm.quality import classify
 from rowfold.llm.secrets import find_secrets
 from rowfold.llm.sharding import shard_by_bytes
+from rowfold.llm.token_counts import tokens_by_document
+from rowfold.llm.topk import top_k
+
+PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
+
+
+def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents that overlap a benchmark item, with each item and its best window."""
+    return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
 def op2_byte_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,10 +29,54 @@ def op2_byte_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_by_bytes(table(spark, sf_dir, "documents"), 8)
 
 
+def op4_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Personal data of every document."""
+    return find_pii(table(spark, sf_dir, "documents"))
+
+
+def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Piece ids of every document, decoded again and compared."""
+    return pieces.encode(table(spark, sf_dir, "documents"), PIECE_MODEL)
+
+
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Secrets of every document."""
     return find_secrets(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_byte_shards, op7_secret_scan)}
-ORACLE: dict[str, str] = {}
+def op8_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The five best inner products of every fiftieth vector against all others."""
+    v = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return top_k(v, v.filter("vec_id % 50 = 0"))
+
+
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tokens of every document, counted from flat token streams."""
+    return tokens_by_document(table(spark, sf_dir, "documents"), PIECE_MODEL)
+
+
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Perplexity of every document under the model of trusted text, and whether it is kept."""
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    f.__name__: f
+    for f in (op1_decontamination, op2_byte_shards, op4_pii, op5_sentencepiece, op7_secret_scan, op8_exact_top_k, op9_token_counts, op10_quality)
+}
+
+ORACLE: dict[str, str] = {
+    "op8_exact_top_k": """
+        with v as (
+          select vec_id, list_transform(embedding, lambda x: cast(floor(256 * cast(x as double)) as bigint)) as q
+          from embeddings
+          where vec_id is not null and embedding is not null
+            and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0
+        ), s as (
+          select a.vec_id as query_id, b.vec_id,
+            cast(list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2])) as bigint) as score
+          from v a join v b on a.vec_id <> b.vec_id where a.vec_id % 50 = 0
+        )
+        select query_id, cast(row_number() over (partition by query_id order by score desc, vec_id) as int) as rank, vec_id, score
+        from s qualify rank <= 5""",
+}
