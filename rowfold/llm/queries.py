@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from rowfold.llm import pieces
 from rowfold.llm.common import table
 from rowfold.llm.decontaminate import contaminated
+from rowfold.llm.jaccard import jaccard_groups
 from rowfold.llm.pii import find_pii
 from rowfold.llm.quality import classify
 from rowfold.llm.secrets import find_secrets
@@ -39,6 +40,11 @@ def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.encode(table(spark, sf_dir, "documents"), PIECE_MODEL)
 
 
+def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shingle-set sizes and near-duplicate components of all documents."""
+    return jaccard_groups(table(spark, sf_dir, "documents"))
+
+
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Secrets of every document."""
     return find_secrets(table(spark, sf_dir, "documents"))
@@ -62,7 +68,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (op1_decontamination, op2_byte_shards, op4_pii, op5_sentencepiece, op7_secret_scan, op8_exact_top_k, op9_token_counts, op10_quality)
+    for f in (op1_decontamination, op2_byte_shards, op4_pii, op5_sentencepiece, op6_jaccard_join, op7_secret_scan, op8_exact_top_k, op9_token_counts, op10_quality)
 }
 
 ORACLE: dict[str, str] = {
