@@ -14,6 +14,7 @@ from rowfold.llm.pii import find_pii
 from rowfold.llm.quality import classify
 from rowfold.llm.secrets import find_secrets
 from rowfold.llm.sharding import shard_by_bytes
+from rowfold.llm.substring_dedup import remove_repeats
 from rowfold.llm.token_counts import tokens_by_document
 from rowfold.llm.topk import top_k
 
@@ -30,6 +31,11 @@ def op2_byte_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_by_bytes(table(spark, sf_dir, "documents"), 8)
 
 
+def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What is left of every document without byte strings of earlier ones."""
+    return remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op4_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Personal data of every document."""
     return find_pii(table(spark, sf_dir, "documents"))
@@ -68,7 +74,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (op1_decontamination, op2_byte_shards, op4_pii, op5_sentencepiece, op6_jaccard_join, op7_secret_scan, op8_exact_top_k, op9_token_counts, op10_quality)
+    for f in (op1_decontamination, op2_byte_shards, op3_suffix_dedup, op4_pii, op5_sentencepiece, op6_jaccard_join, op7_secret_scan, op8_exact_top_k, op9_token_counts, op10_quality)
 }
 
 ORACLE: dict[str, str] = {
