@@ -20,9 +20,8 @@ WINDOW, SHARE = 16, 0.8
 
 
 def tokens(text: Column) -> Column:
-    """Lower-case runs of letters and digits, in order; none for a null text."""
-    cut = F.split(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+", " "), " ")
-    return F.filter(cut, lambda t: t != "")
+    """Lower-case runs of letters and digits, in order; one empty token for a text without any."""
+    return F.split(F.trim(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+", " ")), " ")
 
 
 def _seed(toks: Column, at: Column, mask: str) -> Column:
@@ -32,61 +31,66 @@ def _seed(toks: Column, at: Column, mask: str) -> Column:
     return F.when(whole, F.xxhash64(F.lit(mask), *picked))
 
 
-def item_seeds(benchmark: DataFrame, masks: tuple[str, ...]) -> DataFrame:
-    """(seed, mask, item_id, item_tokens, bpos, prev): prev is the same mask's hash one place to the left."""
-    items = benchmark.select("item_id", tokens(F.col("text")).alias("item_tokens")).filter(F.col("item_id").isNotNull() & (F.size("item_tokens") > 0)).dropDuplicates(["item_id", "item_tokens"])
+def item_tokens(benchmark: DataFrame) -> DataFrame:
+    """(item_id, item_tokens) of the items that have tokens, without repeats."""
+    items = benchmark.filter("item_id is not null").select("item_id", tokens(F.col("text")).alias("item_tokens"))
+    return items.filter(F.get("item_tokens", F.lit(0)) != "").dropDuplicates(["item_id", "item_tokens"])
+
+
+def item_seeds(items: DataFrame, masks: tuple[str, ...]) -> DataFrame:
+    """(seed, mask, item_id, bpos, prev): prev is the same mask's hash one place to the left."""
     at = items.select("item_id", "item_tokens", F.posexplode("item_tokens").alias("bpos", "t")).drop("t")
-    n = F.size("item_tokens")
     every = F.array(*[
         F.struct(F.lit(k).alias("mask"), _seed(F.col("item_tokens"), F.col("bpos"), m).alias("seed"), F.when(F.col("bpos") > 0, _seed(F.col("item_tokens"), F.col("bpos") - 1, m)).alias("prev"))
         for k, m in enumerate(masks)
     ])
-    rows = at.select("item_id", "item_tokens", "bpos", F.explode(every).alias("s")).select("item_id", "item_tokens", "bpos", "s.*").filter("seed is not null")
-    shortest = min(len(m) for m in MASKS)
-    solid = F.when(F.size("item_tokens") < shortest, F.size("item_tokens"))  # items shorter than any mask match as a whole
-    own = reduce(lambda c, k: c.when(F.col("mask") == k, F.lit(len(masks[k])) == solid), range(len(MASKS), len(masks)), F.when(F.col("mask") < len(MASKS), solid.isNull()))
-    return rows.filter(F.coalesce(own & n.isNotNull(), F.lit(False)))
+    rows = at.select("item_id", F.size("item_tokens").alias("n"), "bpos", F.explode(every).alias("s")).select("item_id", "n", "bpos", "s.*").filter("seed is not null")
+    short = F.col("n") < min(map(len, MASKS))  # items shorter than any mask match as a whole
+    own = reduce(lambda c, k: c.when(F.col("mask") == k, short & (F.col("n") == len(masks[k]))), range(len(MASKS), len(masks)), F.when(F.col("mask") < len(MASKS), ~short))
+    return rows.filter(own).select("seed", "mask", "item_id", "bpos", "prev")
 
 
-def window_matches(toks: Column, item: Column, shift: Column) -> Column:
-    """The most equal tokens in any window of min(WINDOW, item length) places, the item laid at `shift`."""
-    width = F.least(F.lit(WINDOW), F.size(item))
-    same = F.transform(item, lambda t, i: F.coalesce((F.get(toks, i + shift) == t).cast("int"), F.lit(0)))
-    sums = F.transform(
-        F.sequence(F.lit(0), F.size(item) - width),
-        lambda i: F.aggregate(F.slice(same, i + 1, width), F.lit(0), lambda a, b: a + b),
-    )
-    return F.array_max(sums)
+def best_window(places: Column, width: Column) -> Column:
+    """The most of the sorted places that lie in any window of `width`."""
+    return F.array_max(F.transform(places, lambda p, i: F.size(F.filter(F.slice(places, i + 1, width), lambda q: q < p + width))))
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, most_broadcast: int = 2_000_000) -> DataFrame:
     """(doc_id, item_id, matched, width): documents that overlap an item, and the best window of each pair.
 
-    An overlap has at least ceil(0.8 * width) equal tokens in some window of width = min(16, item tokens) places,
-    and is found where at least one mask lies on equal tokens of it; any window whose substitutions leave four equal tokens
-    in a mask's places is found. Items with fewer than five tokens must occur whole. Null and empty texts and items
-    overlap nothing; null doc_ids and item_ids are left out; repeated rows give one row per pair; further columns are
-    ignored; empty tables give no rows. Item seeds are broadcast up to `most_broadcast` rows; beyond, hits are found
-    by a shuffled join and the documents with hits are read again to be verified.
+    An overlap has at least ceil(0.8 * width) equal tokens in some window of width = min(16, item tokens) places, and
+    is found where a mask lies on equal tokens of it. Items with fewer than five tokens must occur whole. Null and
+    empty texts and items overlap nothing; null doc_ids and item_ids are left out; repeated rows give one row per
+    pair; further columns are ignored; empty tables give no rows. Item seeds are broadcast up to `most_broadcast`
+    rows; beyond, hits are found by a shuffled join and the documents with hits are read again to be verified.
+
+    Places are exploded and hashed within generated code, where a row's token array is only referred to; nothing
+    that copies a row may stand between the two, so verification has no higher-order functions before it has left
+    the tokens behind.
     """
-    lengths = [r["n"] for r in benchmark.select(F.size(tokens(F.col("text"))).alias("n")).filter(f"n between 1 and {min(map(len, MASKS)) - 1}").distinct().orderBy("n").collect()]  # at most four numbers
+    lengths = [r["n"] for r in item_tokens(benchmark).select(F.size("item_tokens").alias("n")).filter(F.col("n") < min(map(len, MASKS))).distinct().orderBy("n").collect()]  # at most four numbers
     masks = MASKS + tuple("1" * n for n in lengths)
-    seeds = item_seeds(benchmark, masks)
+    items = item_tokens(benchmark)
+    seeds = item_seeds(items, masks)
     small = seeds.count() <= most_broadcast
     texts = docs.filter("doc_id is not null").select("doc_id", tokens(F.col("text")).alias("toks"))
     at = texts.select("doc_id", "toks", F.posexplode("toks").alias("pos", "t")).drop("t")
     every = F.array(*[F.struct(F.lit(k).alias("mask"), _seed(F.col("toks"), F.col("pos"), m).alias("seed")) for k, m in enumerate(masks)])
     shift = (F.col("pos") - F.col("bpos")).alias("shift")
-    need = F.ceil(F.lit(SHARE) * F.col("width"))
     if small:
         hits = at.select("doc_id", "toks", "pos", F.explode(every).alias("s")).select("doc_id", "toks", "pos", "s.mask", "s.seed").join(F.broadcast(seeds), ["seed", "mask"])
-        before = reduce(lambda c, k: c.when(F.col("mask") == k, F.when(F.col("pos") > 0, _seed(F.col("toks"), F.col("pos") - 1, masks[k]))), range(1, len(masks)), F.when(F.col("mask") == 0, F.when(F.col("pos") > 0, _seed(F.col("toks"), F.col("pos") - 1, masks[0]))))
-        first = hits.filter(F.col("prev").isNull() | before.isNull() | (before != F.col("prev")))
-        laid = first.select("doc_id", "item_id", "toks", "item_tokens", shift)
+        before = F.when(F.lit(False), F.lit(0).cast("long"))
+        for k, m in enumerate(masks):
+            before = before.when((F.col("mask") == k) & (F.col("pos") > 0), _seed(F.col("toks"), F.col("pos") - 1, m))
+        first = hits.filter(F.col("prev").isNull() | before.isNull() | (before != F.col("prev")))  # of a stretch of hits
+        laid = first.select("doc_id", "item_id", "toks", shift).join(F.broadcast(items), "item_id")
     else:
-        hits = at.select("doc_id", "pos", F.explode(every).alias("s")).select("doc_id", "pos", "s.mask", "s.seed").filter("seed is not null").join(seeds.drop("item_tokens", "prev"), ["seed", "mask"])
-        places = hits.select("doc_id", "item_id", shift).distinct()
-        items = benchmark.select("item_id", tokens(F.col("text")).alias("item_tokens"))
-        laid = places.join(texts, "doc_id").join(items, "item_id")
-    found = laid.select("doc_id", "item_id", window_matches(F.col("toks"), F.col("item_tokens"), F.col("shift")).cast("long").alias("matched"), F.least(F.lit(WINDOW), F.size("item_tokens")).cast("long").alias("width")).filter(F.col("matched") >= need)
+        hits = at.select("doc_id", "pos", F.explode(every).alias("s")).select("doc_id", "pos", "s.mask", "s.seed").filter("seed is not null").join(seeds.drop("prev"), ["seed", "mask"])
+        laid = hits.select("doc_id", "item_id", shift).distinct().join(texts, "doc_id").join(items, "item_id")
+    each = laid.select("doc_id", "item_id", "shift", "toks", "item_tokens", F.posexplode("item_tokens").alias("i", "want"))
+    equal = each.filter(F.get("toks", F.col("shift") + F.col("i")) == F.col("want")).select("doc_id", "item_id", "shift", "i", F.size("item_tokens").alias("n"))
+    runs = equal.groupBy("doc_id", "item_id", "shift").agg(F.sort_array(F.collect_set("i")).alias("places"), F.max("n").alias("n"))  # at most an item's tokens
+    width = F.least(F.lit(WINDOW), F.col("n"))
+    found = runs.select("doc_id", "item_id", best_window(F.col("places"), width).cast("long").alias("matched"), width.cast("long").alias("width"))
+    found = found.filter(F.col("matched") >= F.when(F.col("width") < min(map(len, MASKS)), F.col("width")).otherwise(F.ceil(F.lit(SHARE) * F.col("width"))))
     return found.groupBy("doc_id", "item_id").agg(F.max("matched").alias("matched"), F.max("width").alias("width"))
