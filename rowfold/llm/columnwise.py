@@ -6,34 +6,50 @@ the place of the new suffix in the order of all suffixes: the symbols of the
 transform, sorted stably, are the first symbols of the suffixes. The common
 prefix of a new suffix with its neighbour of the same first symbol is one more
 than the least common prefix between the places of the two symbols in the old
-order. The state (transform, common prefixes, owners) lies in sequential files
-that each round reads from front to back and writes anew.
+order. The state (transform, common prefixes, owners) of a collection beyond a
+bound lies in sequential files that each round reads from front to back and
+writes anew.
 """
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 from pathlib import Path
 
 import numpy as np
 
 
+KINDS = {"bwt": np.uint16, "lcp": np.uint8, "owner": np.int32, "offset": np.int32}
+
+
+class _Memory:
+    """The columns of the state of a small collection."""
+
+    def __init__(self):
+        self.columns: dict[str, np.ndarray] = {}
+
+    def write(self, **columns: np.ndarray) -> None:
+        self.columns |= {k: x.astype(KINDS[k], copy=False) for k, x in columns.items()}
+
+    def read(self, k: str) -> np.ndarray:
+        return self.columns[k]
+
+
 class _Files:
     """The columns of the state, each in a file of its own that is replaced after every round."""
 
-    KINDS = {"bwt": np.uint16, "lcp": np.uint8, "owner": np.int32, "offset": np.int32}
-
     def __init__(self, folder: str):
         self.folder = Path(folder)
 
     def write(self, **columns: np.ndarray) -> None:
         for k, x in columns.items():
             new = self.folder / f"{k}.new"
-            x.astype(self.KINDS[k], copy=False).tofile(new)
+            x.astype(KINDS[k], copy=False).tofile(new)
             new.replace(self.folder / k)
 
     def read(self, k: str) -> np.ndarray:
-        return np.fromfile(self.folder / k, self.KINDS[k])
+        return np.fromfile(self.folder / k, KINDS[k])
 
 
 class _Least:
@@ -58,23 +74,25 @@ class _Least:
         return out
 
 
-def suffix_order(data: np.ndarray, ends: np.ndarray, cap: int = 255, scratch: str | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def suffix_order(data: np.ndarray, ends: np.ndarray, cap: int = 255, in_memory: int = 64 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(bwt, lcp, owner, offset) in the order of all suffixes of the strings, the empty ones first.
 
     data: symbols 0 to 255 of all strings, one after another; ends: where each string ends. bwt: symbol + 1, or 0
     before a whole string. lcp: common prefix with the suffix before, at most `cap` (255 or less). Equal suffixes
-    lie by the order of their strings' earlier symbols, empty ones by string.
+    lie by the order of their strings' earlier symbols, empty ones by string. A state of more than `in_memory` bytes
+    lies in files, of which a round holds one or two columns at a time.
     """
     m = len(ends)
     begin = np.concatenate([[0], ends[:-1]])
     size = ends - begin
-    with tempfile.TemporaryDirectory(dir=scratch) as folder:
-        files = _Files(folder)
+    small = (len(data) + m) * sum(np.dtype(k).itemsize for k in KINDS.values()) <= in_memory
+    with contextlib.nullcontext() if small else tempfile.TemporaryDirectory() as folder:
+        files = _Memory() if small else _Files(folder)
         files.write(bwt=np.zeros(m), lcp=np.zeros(m), owner=np.arange(m), offset=size)
         place = np.arange(m)  # of each string's last inserted suffix
         for j in range(1, int(size.max(initial=0)) + 1):
             live = np.flatnonzero(size >= j)
-            bwt, lcp = files.read("bwt"), files.read("lcp")
+            bwt, lcp = files.read("bwt").copy() if small else files.read("bwt"), files.read("lcp")
             at = place[live]
             bwt[at] = data[ends[live] - j].astype(np.uint16) + 1
             order = np.argsort(bwt, kind="stable")  # of small integers, this is a counting sort
