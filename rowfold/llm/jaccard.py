@@ -22,11 +22,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowfold.llm.common import parts_for, slices, staged, text_bytes, utf8
+from rowfold.llm.common import parts_for, release, slices, staged, text_bytes, utf8
 from rowfold.llm.components import components
 from rowfold.llm.shingles import U, mix, set_keys, shingle_sets
 
-BATCH = 2 << 20
+BATCH = 1 << 20
 FREQUENT = 512  # nodes that hold a token before it counts as frequent
 WIDE = 24  # frequent tokens of a prefix beyond which a node is indexed by them singly
 LIST = 4096  # index entries compared in one piece
@@ -250,8 +250,8 @@ def _pairs_of(key: np.ndarray, node: np.ndarray, n: np.ndarray, alone: np.ndarra
     chunk; pairs of two minor nodes are taken in chunk 0 only."""
     out_a, out_b = [], []
     rows = np.flatnonzero(minor)
-    for at in range(0, len(rows), 64):
-        r = rows[at : at + 64]
+    for at in range(0, len(rows), 16):
+        r = rows[at : at + 16]
         other = comp[r][:, None] != comp[None, :]
         other &= ~minor[None, :] | ((node[r][:, None] < node[None, :]) & (chunk == 0))
         i, j = np.nonzero(other)
@@ -344,11 +344,13 @@ def jaccard_groups(docs: DataFrame, pct: int = 80, k: int = 5, id_col: str = "do
     columns are ignored. Sets that share a 64-bit key count as equal.
     """
     total = text_bytes(docs, text_col)
-    parts = parts_for(docs, total, 16 << 20)
+    parts = parts_for(docs, total, 8 << 20)
     sets = staged(_sets(docs, id_col, text_col, k), "jaccard-sets")
     blocks = _token_blocks(docs, text_col, k, parts).repartition(parts, "part").sortWithinPartitions("part")
     shared = _shared_tokens(blocks, parts).repartition(parts, "part").sortWithinPartitions("part")
     nodes = staged(_nodes(shared, pct), "jaccard-nodes")
+    del blocks, shared
+    release(docs.sparkSession)
     comp, second = _links(nodes, pct, parts)
     named = comp.select(F.col("node"), F.col("comp"))
     between = (
