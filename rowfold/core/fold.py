@@ -113,7 +113,7 @@ def run_fold(df: DataFrame, fold: Fold, cols: Sequence[str], by: Sequence[str] =
 
     if mode == "grouped":
 
-        def grouped(key: tuple, t: pa.Table) -> pa.Table:
+        def grouped(key, t):
             state = fold.zero()
             for b in t.select(range(k, t.num_columns)).to_batches():
                 state = fold.step(state, b)

@@ -102,7 +102,7 @@ def fm_bitmaps(df: DataFrame, col: str, maps: int = 64, by: Sequence[str] = ())
     """(by, map, bits): bit maps of lowest set bits with stochastic averaging; those of parts combine by bitwise or."""
     h = mixed(F.col(col).cast("long"), 1)
     m, rest = F.pmod(h, F.lit(maps)), F.floor(h / maps).cast("long")
-    return df.filter(F.col(col).isNotNull()).groupBy(*by, m.alias("map")).agg(F.bit_or(F.shiftleft(F.lit(1).cast("long"), _low_bit(rest).cast("int"))).alias("bits"))
+    return df.filter(F.col(col).isNotNull()).groupBy(*by, m.alias("map")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), _low_bit(rest).cast("int"))).alias("bits"))
 
 
 def fm_estimate(bitmaps: DataFrame, maps: int = 64, by: Sequence[str] = ()) -> DataFrame:

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from rowfold.core import validate
 from rowfold.core.bridge import matrix, packed, unpacked, vector
-from rowfold.core.fold import Fold, run_fold
+from rowfold.core.fold import Fold, _arrow_schema, run_fold
 from rowfold.functions.dist import t_two_sided
 
 RESULT = (
@@ -157,11 +157,11 @@ def _block(df: DataFrame, y: str, x: str, block: int) -> DataFrame:
                 data.append(g[i : i + block, j : j + block].tobytes())
         yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int32()), pa.array([k[1] for k in keys], pa.int32()), pa.array(data, pa.binary())], names=["bi", "bj", "data"])
 
-    def add(key, t: pa.Table) -> pa.Table:
+    def add(key, t):
         total = sum(np.frombuffer(v, np.float64) for v in t.column("data").to_pylist())
         return pa.table([pa.array([key[0].as_py()], pa.int32()), pa.array([key[1].as_py()], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["bi", "bj", "data"])
 
-    def finish(t: pa.Table) -> pa.Table:
+    def finish(t):
         parts = {(a, b): np.frombuffer(v, np.float64) for a, b, v in zip(*(t.column(c).to_pylist() for c in ("bi", "bj", "data")))}
         head = parts.pop((-1, -1))
         d = len(head) - 4
@@ -170,12 +170,8 @@ def _block(df: DataFrame, y: str, x: str, block: int) -> DataFrame:
             h, w = min(block, d - i), min(block, d - j)
             g[i : i + h, j : j + w] = v.reshape(h, w)
             g[j : j + w, i : i + h] = v.reshape(h, w).T
-        from rowfold.core.fold import _arrow_schema
-
         return pa.Table.from_pylist([solve(head[1], head[2], head[3], head[4:], g, int(head[0]))], schema=target)
 
-    from rowfold.core.fold import _arrow_schema
-
     target = _arrow_schema(df, RESULT)
     level = df.select(x, y).mapInArrow(partial, "bi int, bj int, data binary").groupBy("bi", "bj").applyInArrow(add, "bi int, bj int, data binary")
     return level.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(lambda t: finish(t.drop_columns("one")), RESULT)
