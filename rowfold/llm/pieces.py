@@ -33,6 +33,7 @@ class Pieces:
     """Lookup tables of a model, small enough to ship: a few hundred kilobytes for 32,000 pieces."""
 
     keys: np.ndarray  # sorted hashes
+    tables: tuple[np.ndarray, ...]  # by some bits of a hash, its place among the keys; what collides is in the next table
     ids: np.ndarray
     scores: np.ndarray
     longest: int
@@ -66,7 +67,38 @@ def load_pieces(model_file: str) -> Pieces:
     if (np.diff(keys[order]) == 0).any():
         raise ValueError("two pieces share a hash")
     scores = np.array([s for _, _, s in rows], np.float64)
-    return Pieces(keys[order], np.array([i for _, i, _ in rows], np.int32)[order], scores[order], max(len(p) for p, _, _ in rows), byte_ids, float(scores.min()) - 10.0, tuple(texts))
+    return Pieces(keys[order], _tables(keys[order]), np.array([i for _, i, _ in rows], np.int32)[order], scores[order], max(len(p) for p, _, _ in rows), byte_ids, float(scores.min()) - 10.0, tuple(texts))
+
+
+TABLE_BITS = 18
+
+
+def _slot(key: np.ndarray, table: int) -> np.ndarray:
+    return ((key * np.uint64(0xBF58476D1CE4E5B9 + 0x9E3779B97F4A7C16 * table & (1 << 64) - 1)) >> np.uint64(64 - TABLE_BITS)).astype(np.int64)
+
+
+def _tables(keys: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Direct tables over the sorted keys, each indexed by another product's high bits, until every key has a place."""
+    left, out = np.arange(len(keys)), []
+    while len(left):
+        slot = _slot(keys[left], len(out))
+        _, first = np.unique(slot, return_index=True)
+        t = np.full(1 << TABLE_BITS, -1, np.int32)
+        t[slot[first]] = left[first]
+        out.append(t)
+        left = np.delete(left, first)
+    return tuple(out)
+
+
+def probe(p: Pieces, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(place among the sorted keys, whether the key is there)."""
+    place, found = np.zeros(key.shape, np.int32), np.zeros(key.shape, bool)
+    for i, t in enumerate(p.tables):
+        at = t[_slot(key, i)]
+        hit = (at >= 0) & (p.keys[at] == key)
+        place[hit] = at[hit]
+        found |= hit
+    return place, found
 
 
 def hash_of(s: str) -> np.uint64:
@@ -91,8 +123,7 @@ def viterbi(words: np.ndarray, p: Pieces) -> tuple[np.ndarray, np.ndarray]:
     for j in range(1, length + 1):
         for k in range(min(p.longest, j), 0, -1):
             key = prefix[:, j] - prefix[:, j - k] * power[k]
-            at = np.minimum(np.searchsorted(p.keys, key), len(p.keys) - 1)
-            hit = p.keys[at] == key
+            at, hit = probe(p, key)
             if k == 1:
                 score = best[:, j - 1] + np.where(hit, p.scores[at], p.unknown)
                 ident = np.where(hit, p.ids[at], -1)
@@ -114,8 +145,8 @@ def viterbi_long(word: np.ndarray, p: Pieces) -> tuple[np.ndarray, np.ndarray]:
         h = np.zeros(length, np.uint64)
         for k in range(1, min(p.longest, length) + 1):
             h = h[: length - k + 1] * BASE + word[k - 1 :] + np.uint64(1)
-            at = np.minimum(np.searchsorted(p.keys, h), len(p.keys) - 1)
-            where = np.flatnonzero(p.keys[at] == h)
+            at, hit = probe(p, h)
+            where = np.flatnonzero(hit)
             found.append((where + k, np.full(len(where), k), p.ids[at[where]], p.scores[at[where]]))
     end = np.concatenate([x[0] for x in found])
     size, ident, score = (np.concatenate([x[i] for x in found]) for i in (1, 2, 3))

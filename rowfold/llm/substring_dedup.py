@@ -28,7 +28,7 @@ from rowfold.llm.shingles import PLACES, U, mix, powers
 
 BATCH = 1 << 20
 ANCHOR = 20  # bytes of the strings whose least hash is a window's anchor
-AT_ONCE = 16_000  # strings of one construction
+AT_ONCE = 3_000  # strings of one construction
 
 
 def prefix_hash(raw: np.ndarray) -> np.ndarray:
