@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from rowfold.llm import pieces
 from rowfold.llm.common import table
-from rowfold.llm.decontaminate import contaminated
+from rowfold.llm.decontaminate import MASKS, contaminated
 from rowfold.llm.jaccard import jaccard_groups
 from rowfold.llm.pii import find_pii
 from rowfold.llm.quality import classify
@@ -77,7 +77,30 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     for f in (op1_decontamination, op2_byte_shards, op3_suffix_dedup, op4_pii, op5_sentencepiece, op6_jaccard_join, op7_secret_scan, op8_exact_top_k, op9_token_counts, op10_quality)
 }
 
+_MASKED = " union all ".join(
+    f"select id, pos, concat_ws('|', {k}, " + ", ".join(f"toks[pos + {i + 1}]" for i, c in enumerate(m) if c == "1") + f") as seed from {{t}}p where pos + {len(m)} <= len(toks)" for k, m in enumerate(MASKS)
+)
+_TOKENS = "list_filter(string_split_regex(trim(regexp_replace(lower(coalesce(text, '')), '[^\\p{L}\\p{N}]+', ' ', 'g')), ' '), lambda w: w <> '')"
+_WORDS = "list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+'), lambda w: w <> '')"
+
 ORACLE: dict[str, str] = {
+    "op1_decontamination": f"""
+        with d as materialized (select doc_id as id, {_TOKENS} as toks from documents), b as materialized (select item_id as id, {_TOKENS} as toks from benchmark),
+        dp as (select id, toks, unnest(range(len(toks))) as pos from d), bp as (select id, toks, unnest(range(len(toks))) as pos from b),
+        ds as ({_MASKED.format(t='d')}), bs as materialized ({_MASKED.format(t='b')}),
+        a as materialized (select distinct ds.id as doc_id, bs.id as item_id, ds.pos - bs.pos as shift from ds join bs using (seed)),
+        e as (select doc_id, item_id, shift, b.toks as item, d.toks as toks, unnest(range(len(b.toks))) as i from a join d on d.id = doc_id join b on b.id = item_id),
+        m as (select doc_id, item_id, shift, len(item) as n, i from e where shift + i >= 0 and shift + i < len(toks) and toks[shift + i + 1] = item[i + 1]),
+        w as (select x.doc_id, x.item_id, least(16, x.n) as width, x.i, count(*) as hit from m x join m y on x.doc_id = y.doc_id and x.item_id = y.item_id and x.shift = y.shift and y.i >= x.i and y.i < x.i + least(16, x.n) group by x.doc_id, x.item_id, x.shift, x.n, x.i)
+        select doc_id, item_id, max(hit)::bigint as matched, max(width)::bigint as width from w where hit >= ceil(0.8 * width) group by 1, 2""",
+    "op6_jaccard_join": f"""
+        with recursive d as materialized (select doc_id, {_WORDS} as w from documents),
+        s as materialized (select distinct doc_id, unnest(case when len(w) >= 5 then list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) when len(w) > 0 then [array_to_string(w, ' ')] else [] end) as g from d),
+        n as materialized (select doc_id, count(*) as n from s group by 1),
+        p as (select a.doc_id as a, b.doc_id as b, count(*) as c from s a join s b on a.g = b.g and a.doc_id <> b.doc_id group by 1, 2),
+        l as materialized (select a, b from p join n x on x.doc_id = a join n y on y.doc_id = b where 100 * c >= 80 * (x.n + y.n - c)),
+        r(a, b) as (select doc_id, doc_id from d union select r.a, l.b from r join l on l.a = r.b)
+        select d.doc_id, coalesce(n.n, 0) as n_shingles, min(r.b) as component_id from d join r on r.a = d.doc_id left join n on n.doc_id = d.doc_id group by 1, 2""",
     "op8_exact_top_k": """
         with v as (
           select vec_id, list_transform(embedding, lambda x: cast(floor(256 * cast(x as double)) as bigint)) as q
