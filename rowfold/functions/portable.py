@@ -9,9 +9,10 @@ M = 2147483647
 
 
 def mixed(*terms: Column | int) -> Column:
-    """A number in [0, M) from integers: a linear form run through a multiplicative generator."""
+    """A number in [0, M) from integers: a linear form, squared, run through a multiplicative generator."""
     form = sum(((t if isinstance(t, Column) else F.lit(t)).cast("long") * w for t, w in zip(terms, (7919, 104729, 1299709))), F.lit(12345).cast("long"))
-    return F.pmod(F.pmod(form, F.lit(M)) * F.lit(16807), F.lit(M))
+    v = F.pmod(form, F.lit(M))
+    return F.pmod(F.pmod(v * v + F.lit(12345), F.lit(M)) * F.lit(16807), F.lit(M))
 
 
 def uniform(*terms: Column | int) -> Column:
@@ -20,7 +21,8 @@ def uniform(*terms: Column | int) -> Column:
 
 def mixed_sql(*terms: str) -> str:
     form = " + ".join(f"cast({t} as bigint) * {w}" for t, w in zip(terms, (7919, 104729, 1299709)))
-    return f"((({form} + 12345) % {M}) * 16807) % {M}"
+    v = f"(({form} + 12345) % {M})"
+    return f"((({v} * {v} + 12345) % {M}) * 16807) % {M}"
 
 
 def uniform_sql(*terms: str) -> str:

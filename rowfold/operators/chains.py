@@ -297,57 +297,65 @@ def mcmc_driver(packed: DataFrame, trans: np.ndarray, n_iter: int = 20, burn_in:
 
 
 class _CrfFold(Fold):
-    """A chain of gradient steps over a partition's documents (doc: array of struct<features array<int>, label int>);
-    models are averaged by tokens. The model is dense in hashed features."""
+    """A chain of gradient steps over a partition's documents (doc: array of struct<features array<int>, label int>), each
+    weight with a step that shrinks with its own past gradients. Models are averaged weight by weight over the chains that
+    touched it, so that what is rare is not thinned out. The model is dense in hashed features."""
 
-    schema = "n long, w array<double>, loss double"
+    schema = "n long, w array<double>, g array<double>, loss double"
 
-    def __init__(self, w: np.ndarray, dim: int, labels: int, step: float, l2: float):
-        self.w, self.dim, self.labels, self.alpha, self.l2 = w, dim, labels, step, l2
+    def __init__(self, w: np.ndarray, g: np.ndarray, dim: int, labels: int, step: float, l2: float):
+        self.w, self.g, self.dim, self.labels, self.alpha, self.l2 = w, g, dim, labels, step, l2
 
     def zero(self):
         return None
 
     def step(self, s, batch):
-        n, w, loss = s or (0, self.w.copy(), 0.0)
-        k = self.labels
+        n, w, g, touched, loss = s or (0, self.w.copy(), self.g.copy(), np.zeros_like(self.w), 0.0)
+        k, cut = self.labels, self.dim * self.labels
+        em, tr = w[:cut].reshape(self.dim, k), w[cut:].reshape(k, k)
         for doc in batch.column(0).to_pylist():
-            em, tr = w[: self.dim * k].reshape(self.dim, k), w[self.dim * k :].reshape(k, k)
-            feats, y = [t["features"] for t in doc], [t["label"] for t in doc]
-            e = np.array([em[f].sum(0) if f else np.zeros(k) for f in feats])
+            feats, y = [t["features"] for t in doc], np.array([t["label"] for t in doc])
+            rows, size = np.array([f for t in feats for f in t], np.int64), [len(t) for t in feats]
+            token = np.repeat(np.arange(len(feats)), size)
+            e = np.zeros((len(feats), k))
+            np.add.at(e, token, em[rows])
             z, p, pairs = marginals(e, tr)
-            own = sum(e[t, y[t]] for t in range(len(y))) + sum(tr[y[t - 1], y[t]] for t in range(1, len(y)))
-            loss += z - own
-            a = self.alpha / max(1, len(y)) ** 0.5
-            for t, f in enumerate(feats):
-                g = -p[t]
-                g[y[t]] += 1
-                if f:
-                    np.add.at(em, f, a * g)
-            gt = -pairs
-            for t in range(1, len(y)):
-                gt[y[t - 1], y[t]] += 1
-            tr += a * gt
-            w *= 1 - a * self.l2
+            loss += z - e[np.arange(len(y)), y].sum() - tr[y[:-1], y[1:]].sum()
+            up = -p
+            up[np.arange(len(y)), y] += 1
+            grad = np.zeros_like(w)
+            np.add.at(grad[:cut].reshape(self.dim, k), rows, up[token])
+            own = grad[cut:].reshape(k, k)
+            own -= pairs
+            np.add.at(own, (y[:-1], y[1:]), 1)
+            live = np.flatnonzero(grad)
+            d = grad[live] - self.l2 * w[live]
+            g[live] += d * d
+            w[live] += self.alpha * d / np.sqrt(1e-3 + g[live])
+            touched[live] += np.abs(grad[live])
             n += len(y)
-        return (n, w, loss)
+        return (n, w, g, touched, loss)
 
     def merge(self, a, b):
         if a is None or b is None:
             return b if a is None else a
-        return (a[0] + b[0], (a[0] * a[1] + b[0] * b[1]) / (a[0] + b[0]), a[2] + b[2])
+        both = a[3] + b[3]
+        safe = np.where(both > 0, both, 1)
+        mean = lambda x, y: np.where(both > 0, (x * a[3] + y * b[3]) / safe, x)
+        return (a[0] + b[0], mean(a[1], b[1]), np.maximum(a[2], b[2]), both, a[4] + b[4])
 
     def finish(self, s):
-        return [] if s is None else [{"n": s[0], "w": s[1].tolist(), "loss": s[2]}]
+        return [] if s is None else [{"n": s[0], "w": s[1].tolist(), "g": s[2].tolist(), "loss": s[4]}]
 
 
 def crf_fit(docs: DataFrame, dim: int, labels: int, epochs: int = 5, step: float = 0.5, l2: float = 1e-4) -> FitResult:
     """Weights by incremental gradients of the negative log-likelihood. docs: column doc, see above. dim bounds the model."""
     src = docs.select("doc").persist()
     w, log = np.zeros(dim * labels + labels * labels), IterationLog()
+    g = np.zeros_like(w)
     for i in range(1, epochs + 1):
-        r = run_fold(src, _CrfFold(w, dim, labels, step / (1 + 0.3 * (i - 1)), l2), ["doc"]).first()
-        w = np.array(r["w"])
+        r = run_fold(src, _CrfFold(w, g, dim, labels, step, l2), ["doc"]).first()
+        w, g = np.array(r["w"]), np.array(r["g"])
         log.append(i, loss=r["loss"] / max(1, r["n"]))
     src.unpersist()
     return FitResult((w[: dim * labels].reshape(dim, labels), w[dim * labels :].reshape(labels, labels)), log, epochs, True)
@@ -358,7 +366,7 @@ def crf_documents(tokens: DataFrame, dim: int, label: str | None = "label") -> D
     from rowfold.operators.textops import token_shape
 
     t = F.col("token")
-    own = F.array(F.concat(F.lit("w="), F.lower(t)), F.concat(F.lit("s="), F.regexp_replace(token_shape(t), r"(.)\1+", "$1+")), F.concat(F.lit("e="), F.substring(F.lower(t), -2, 2)), F.when(F.col("pos") == 0, "first").otherwise("bias"))
+    own = F.array(F.concat(F.lit("w="), F.regexp_replace(F.lower(t), "[0-9]", "0")), F.concat(F.lit("s="), F.regexp_replace(token_shape(t), r"(.)\1+", "$1")), F.concat(F.lit("e="), F.substring(F.regexp_replace(F.lower(t), "[0-9]", "0"), -2, 2)), F.concat(F.lit("n="), F.regexp_replace(t, "[^0-9]", "") != "", F.lit("/"), F.least(F.floor(F.length(t) / 4), F.lit(4)).cast("string")), F.when(F.col("pos") == 0, "first").otherwise("bias"))
     h = F.transform(own, lambda f: F.pmod(F.xxhash64(f), F.lit(dim)).cast("int"))
     lab = F.col(label).cast("int") if label else F.lit(0)
     return tokens.groupBy("doc_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", h.alias("features"), lab.alias("label")))), lambda s: F.struct(s["features"].alias("features"), s["label"].alias("label"))).alias("doc"))

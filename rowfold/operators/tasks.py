@@ -34,10 +34,10 @@ def tagged(tokens: DataFrame, rules) -> DataFrame:
     return tokens.withColumn("tag", rules(F.col("token")))
 
 
-def train_tagger(rows: DataFrame, labels: tuple[str, ...], dim: int = 2048, epochs: int = 4):
+def train_tagger(rows: DataFrame, labels: tuple[str, ...], dim: int = 2048, epochs: int = 4, step: float = 0.5):
     """A chain model of (doc_id, pos, token, tag)."""
     number = F.array_position(F.array(*map(F.lit, labels)), F.col("tag")) - 1
-    return C.crf_fit(C.crf_documents(rows.withColumn("label", number), dim), dim, len(labels), epochs)
+    return C.crf_fit(C.crf_documents(rows.withColumn("label", number), dim), dim, len(labels), epochs, step)
 
 
 def apply_tagger(tokens: DataFrame, model, labels: tuple[str, ...], dim: int = 2048, method: str = "viterbi") -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, Window
@@ -122,7 +123,12 @@ def approx_match(df: DataFrame, id_col: str, text_col: str, query: str, threshol
     words = F.split(F.trim(F.col("t")), r"\s+")
     each = cand.withColumn("w", words).select("doc_id", "w", F.explode(F.array(*[F.lit(n) for n in (k - 1, k, k + 1) if n > 0])).alias("n"))
     each = each.select("doc_id", "w", "n", F.explode(F.sequence(F.lit(1), F.greatest(F.size("w") - F.col("n") + 1, F.lit(1)))).alias("i"))
-    part = F.array_distinct(qgrams(F.array_join(F.slice("w", F.col("i"), F.col("n")), " "), q))
+    each = each.select("doc_id", F.lower(F.array_join(F.slice("w", F.col("i"), F.col("n")), " ")).alias("part"))
+    # a match lacks fewer grams than its prefix of the rarest ones holds, so a window without any of these is none
+    held = cand.agg(*[F.sum(F.lower("t").contains(g).cast("long")).alias(f"g{i}") for i, g in enumerate(grams)]).first()
+    rare = [g for _, g in sorted((held[f"g{i}"] or 0, g) for i, g in enumerate(grams))][: len(grams) - math.ceil(threshold * len(grams)) + 1]
+    each = each.filter(reduce(lambda a, b: a | b, [F.col("part").contains(g) for g in rare], F.lit(False)))
+    part = F.array_distinct(qgrams(F.col("part"), q))
     return each.select("doc_id", gram_similarity(part, lit).alias("s")).groupBy("doc_id").agg(F.max("s").alias("similarity")).filter(F.col("similarity") >= threshold)
 
 

@@ -257,7 +257,7 @@ def ner_model(spark, sf):
     """A trained tagger finds entities of held-out documents; sampled and best labelings both score."""
     labels = ("O", *T.ENTITIES)
     rows = T.tagged(_tokens(spark, sf), T.entity_rules).persist()
-    m = T.train_tagger(rows.filter("doc_id % 3 <> 0"), labels, 2048, 6)
+    m = T.train_tagger(rows.filter("doc_id % 3 <> 0"), labels, 2048, 4, 0.5)
     test = rows.filter("doc_id % 3 = 0")
     truth = C.spans(test)
     out = []
@@ -319,7 +319,7 @@ APPROX_SQL = RESOLVE_SQL.replace("p_partkey, round(s, 6)", "p_partkey as doc_id,
 def approx_match_window(spark, sf):
     """Windows of documents that match a phrase of the benchmark: those that hold it verbatim are found with similarity 1."""
     item = table(spark, sf, "benchmark").orderBy("item_id").first()["text"]
-    phrase = " ".join(item.split()[:5])
+    phrase = " ".join(item.split()[:8])
     d = table(spark, sf, "documents")
     m = X.approx_match(d, "doc_id", "text", phrase, 0.95, "window")
     holds = d.filter(F.lower("text").contains(phrase.lower())).select("doc_id")
