@@ -144,7 +144,7 @@ def profile(df: DataFrame, distinct: str = "hll", quartiles: bool = True) -> Dat
         plain = not isinstance(t, (T.ArrayType, T.MapType, T.StructType))
         key = c if plain else F.xxhash64(c)
         parts = {
-            "filled": F.count(c), "uniq": F.countDistinct(key) if distinct == "exact" else F.approx_count_distinct(key) if distinct == "hll" else F.lit(None).cast("long"),
+            "filled": F.count(c), "uniq": F.approx_count_distinct(key) if distinct == "hll" else F.lit(None).cast("long"),
             "least": text(F.min(c)) if plain else F.lit(None).cast("string"), "most": text(F.max(c)) if plain else F.lit(None).cast("string"),
             "mean": F.avg(measure) if measure is not None else F.lit(None).cast("double"), "std": F.stddev_samp(measure) if measure is not None else F.lit(None).cast("double"),
             "qs": F.percentile_approx(measure, [0.25, 0.5, 0.75], 10000) if measure is not None and quartiles else F.lit(None).cast("array<double>"),
@@ -152,7 +152,14 @@ def profile(df: DataFrame, distinct: str = "hll", quartiles: bool = True) -> Dat
         aggs += [v.alias(f"{k}{i}") for k, v in parts.items()]
         g = lambda k: F.col(f"{k}{i}")  # noqa: E731, B023
         rows.append(F.struct(F.lit(i).alias("pos"), F.lit(f.name).alias("column"), F.lit(t.simpleString()).alias("type"), F.col("n").alias("rows"), (F.col("n") - g("filled")).alias("nulls"), g("uniq").alias("distinct"), g("least").alias("min"), g("most").alias("max"), g("mean").alias("mean"), g("std").alias("std"), F.get(g("qs"), F.lit(0)).alias("q25"), F.get(g("qs"), F.lit(1)).alias("q50"), F.get(g("qs"), F.lit(2)).alias("q75")))
-    return df.agg(*aggs).select(F.explode(F.array(*rows)).alias("r")).select("r.*")
+    out = df.agg(*aggs).select(F.explode(F.array(*rows)).alias("r")).select("r.*")
+    if distinct != "exact":
+        return out
+    # one table of (column, value) is deduplicated for all columns together, so a row is not expanded once per column
+    # with all its other values beside it
+    keys = [F.struct(F.lit(i).alias("pos"), (F.col(validate.quoted(f.name)) if not isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)) else F.when(F.col(validate.quoted(f.name)).isNotNull(), F.xxhash64(validate.quoted(f.name)))).cast("string").alias("v")) for i, f in enumerate(df.schema.fields)]
+    seen = df.select(F.explode(F.array(*keys)).alias("k")).select("k.*").filter("v is not null").distinct().groupBy("pos").agg(F.count("*").alias("uniq"))
+    return out.join(F.broadcast(seen), "pos", "left").withColumn("distinct", F.coalesce("uniq", F.lit(0).cast("long"))).drop("uniq").select(*out.columns)
 
 
 def top_values(df: DataFrame, col: str, k: int = 10) -> DataFrame:
@@ -230,12 +237,12 @@ def stratified(df: DataFrame, key: str, col: str, shares: dict, seed: int = 0) -
 
 def poisson_times(u: Column, rate: float, most: int = 12) -> Column:
     """How often a row is drawn: the inverse distribution function of a Poisson number at u."""
-    p, cum, out = math.exp(-rate), 0.0, F.lit(0)
-    for k in range(most):
+    p, cum, out = math.exp(-rate), 0.0, None
+    for k in range(most):  # a chain of cases stops at the first that holds, mostly the first or second
         cum += p
-        out = out + (u >= cum).cast("int")
+        out = F.when(u < cum, k) if out is None else out.when(u < cum, k)
         p *= rate / (k + 1)
-    return out
+    return out.otherwise(most)
 
 
 def bootstrap(df: DataFrame, key: str, value: str, trials: int, m: int | None = None, seed: int = 0, with_replacement: bool = True) -> DataFrame:
