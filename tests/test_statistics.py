@@ -159,6 +159,15 @@ def test_dyadic_cover():
         assert got == list(range(a, b + 1))
 
 
+def test_cost_model_and_speedup():
+    from rowfold.plans.costs import fit_cost_model, speedup
+
+    runs = [(n, d, p, 0.3 + 1e-9 * d**3 + 2e-10 * n * d * d / p) for n in (10**5, 10**6) for d in (10, 80, 320) for p in (2, 8)]
+    m = fit_cost_model(runs)
+    assert m["per_row"] == pytest.approx(2e-10, rel=1e-3) and m["r2"] > 0.999
+    assert speedup({1: 8.0, 4: 2.5})[4] == {"speedup": 3.2, "efficiency": 0.8}
+
+
 def test_gain_ratio_by_hand():
     ratio, gain = _score([{"a": 4}, {"b": 4}], "gainratio")
     assert ratio == pytest.approx(1) and gain == pytest.approx(1)
