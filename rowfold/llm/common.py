@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 import uuid
 from collections.abc import Iterable, Iterator
 
@@ -40,8 +41,10 @@ def staged(df: DataFrame, what: str) -> DataFrame:
 def release(spark: SparkSession) -> None:
     """Let go of the shuffle files of finished steps now: Spark's cleaner drops them once the plans that made them have
     been collected, which otherwise waits for the driver's heap to fill."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # what the first round frees may hold more
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def parts_for(df: DataFrame, total_bytes: int, target: int) -> int:

@@ -324,6 +324,8 @@ def _links(nodes: DataFrame, pct: int, parts: int) -> tuple[DataFrame, DataFrame
     pairs = entries.join(pivot.select("key", F.col("p.node").alias("pivot"), F.col("p.n").alias("pn")), "key").filter((F.col("node") != F.col("pivot")) & fit(F.col("n"), F.col("pn")))
     pairs = pairs.select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct()
     first = staged(verified(pairs, nodes, pct), "jaccard-pivots")
+    del pivot, pairs
+    release(nodes.sparkSession)
     comp = staged(components(first), "jaccard-comps")
     placed = entries.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     lists = placed.groupBy("key").agg(F.count("*").alias("size"), F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.struct((F.col("alone") / F.col("n")).alias("s"), "comp")).alias("p")).filter("lo <> hi").select("key", F.col("p.comp").alias("main"), F.ceil(F.col("size") / LIST).cast("int").alias("chunks"))
@@ -344,7 +346,7 @@ def jaccard_groups(docs: DataFrame, pct: int = 80, k: int = 5, id_col: str = "do
     columns are ignored. Sets that share a 64-bit key count as equal.
     """
     total = text_bytes(docs, text_col)
-    parts = parts_for(docs, total, 8 << 20)
+    parts = parts_for(docs, total, 12 << 20)
     sets = staged(_sets(docs, id_col, text_col, k), "jaccard-sets")
     blocks = _token_blocks(docs, text_col, k, parts).repartition(parts, "part").sortWithinPartitions("part")
     shared = _shared_tokens(blocks, parts).repartition(parts, "part").sortWithinPartitions("part")
