@@ -1,26 +1,38 @@
 """Quality classifier: an interpolated modified Kneser-Ney model of trusted text.
 
-Texts are mapped to a closed alphabet of 48 symbols, so the n-grams of an order
-are bounded in number whatever the corpus. Counts of all trusted text are summed
-by n-gram; the counts, continuation counts and context totals of each order are
-joined shard by shard on their contexts to give one log-probability per n-gram.
-Every document's perplexity follows, and is held against quantiles of the
-trusted documents' own perplexities in its language.
+n-grams are of code points over an open vocabulary, so their tables grow with the
+trusted text. Counts, continuation counts and context totals of each order stay
+tables, joined shard by shard on their contexts. Documents are put into blocks of
+bounded size; each block's distinct n-grams are joined with the tables, order by
+order where they are unseen, and come back to the block to score its documents.
+A trusted document is scored as if the n-grams that only it holds were unseen.
+Every document's perplexity is held against quantiles of the trusted documents'
+own perplexities in its language.
+
+The same smoothing runs over a closed alphabet of 48 symbols, where all n-grams
+can be enumerated; it serves to check the smoothing and scores nothing.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import pyarrow.compute as pc
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rowfold.llm.common import slices, staged, utf8
 
 A = 48  # symbols
 ORDER = 4
+OPEN_ORDER = 5  # of the n-grams of code points
+START = 0x10FFFF  # no character; stands before a text
+POINTS = 0x110000
+BLOCK = 4 << 20  # bytes of text scored together
 #: Symbols: 0 start; 1-26 a-z; 27 A-Z; 28-35 other letters by their code; 36 digit; 37 space; 38 line end; then marks.
 MARKS = {".": 39, ",": 40, "!": 41, "?": 42, "|": 43, "'": 45, '"': 45, "-": 45, "(": 45, ")": 45, ":": 45, ";": 45, "/": 45}
 LOUD, OTHER = "#$%&*<>{}[]=~^_+\\@`", 47
@@ -93,39 +105,56 @@ def gram_counts(texts: DataFrame, text_col: str = "text") -> DataFrame:
     return texts.select(text_col).mapInArrow(work, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
 
 
-def kneser_ney(counts: DataFrame) -> DataFrame:
-    """(gram, logp) for every ORDER-gram seen, and (context, backoff) chains: columns order, gram, p.
+@dataclass(frozen=True)
+class Form:
+    """How n-grams are written: their order, the number of symbols, and the columns without the first or last symbol."""
+
+    order: int
+    symbols: int
+    suffix: Callable[[int], Column]  # of an m-gram
+    context: Callable[[int], Column]
+
+
+CLOSED = Form(ORDER, A, lambda m: F.pmod(F.col("gram"), F.lit(A ** (m - 1))), lambda m: F.floor(F.col("gram") / A).cast("long"))
+OPEN = Form(OPEN_ORDER, POINTS, lambda m: F.substring("gram", 2, m - 1), lambda m: F.substring("gram", 1, m - 1))
+
+
+def kneser_ney_tables(counts: DataFrame, form: Form) -> dict[int, tuple[DataFrame, DataFrame]]:
+    """By order m: (gram, p) of the m-grams seen, interpolated, and (ctx, gamma), the weight that unseen symbols after
+    each seen context give to the lower order.
 
     Discounts of 1, 2 and 3 or more follow from the counts of counts of each order. The highest order uses counts,
-    lower orders the number of distinct symbols before. Returned are, for each order m, p of the seen m-grams
-    (interpolated) and the weight `gamma` that unseen symbols after each seen context give to the lower order.
+    lower orders the number of distinct symbols before.
     """
-    level = staged(counts.select(F.lit(ORDER).alias("m"), "gram", "n"), "kn-counts")
-    levels = {ORDER: level}
-    for m in range(ORDER - 1, 0, -1):  # continuation counts: distinct symbols before the gram
-        levels[m] = staged(levels[m + 1].groupBy(F.pmod(F.col("gram"), F.lit(A**m)).alias("gram")).agg(F.count("*").alias("n")).select(F.lit(m).alias("m"), "gram", "n"), f"kn-counts{m}")
-    lower, frames = None, []
-    for m in range(1, ORDER + 1):
+    levels = {form.order: staged(counts.select("gram", "n"), "kn-counts")}
+    for m in range(form.order - 1, 0, -1):  # continuation counts: distinct symbols before the gram
+        levels[m] = staged(levels[m + 1].groupBy(form.suffix(m + 1).alias("gram")).agg(F.count("*").alias("n")), f"kn-counts{m}")
+    out: dict[int, tuple[DataFrame, DataFrame]] = {}
+    for m in range(1, form.order + 1):
         c = levels[m]
         t = {r["k"]: r["t"] for r in c.filter("n <= 4").groupBy(F.col("n").alias("k")).agg(F.count("*").alias("t")).collect()}
         t1, t2, t3, t4 = (t.get(k, 0) for k in (1, 2, 3, 4))
         y = t1 / (t1 + 2 * t2) if t1 and t2 else 0.5
         d1, d2, d3 = (min(max(d, 0.05), cap) for d, cap in ((1 - 2 * y * t2 / t1 if t1 else 0.5, 0.95), (2 - 3 * y * t3 / t2 if t2 else 1.0, 1.9), (3 - 4 * y * t4 / t3 if t3 else 1.5, 2.9)))
-        ctx = F.floor(F.col("gram") / A).cast("long")
-        totals = c.groupBy(ctx.alias("ctx")).agg(F.sum("n").alias("total"), *(F.sum(F.when(k, 1).otherwise(0)).alias(f"t{i}") for i, k in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") >= 3))))
-        totals = totals.withColumn("gamma", (d1 * F.col("t1") + d2 * F.col("t2") + d3 * F.col("t3")) / F.col("total"))
-        own = c.withColumn("ctx", ctx).join(totals, "ctx")
+        totals = c.groupBy(form.context(m).alias("ctx")).agg(F.sum("n").alias("total"), *(F.sum(F.when(k, 1).otherwise(0)).alias(f"t{i}") for i, k in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") >= 3))))
+        totals = staged(totals.select("ctx", "total", ((d1 * F.col("t1") + d2 * F.col("t2") + d3 * F.col("t3")) / F.col("total")).alias("gamma")), f"kn-totals{m}")
+        own = c.withColumn("ctx", form.context(m)).join(totals, "ctx")
         cut = F.when(F.col("n") == 1, d1).when(F.col("n") == 2, d2).otherwise(d3)
-        own = own.withColumn("seen", (F.col("n") - cut) / F.col("total")).withColumn("suffix", F.pmod(F.col("gram"), F.lit(A ** (m - 1))))
-        if lower is None:
-            p = own.select(F.lit(m).alias("m"), "gram", (F.col("seen") + F.col("gamma") / A).alias("p"))
+        own = own.withColumn("seen", (F.col("n") - cut) / F.col("total")).withColumn("suffix", form.suffix(m))
+        if m == 1:
+            p = own.select("gram", (F.col("seen") + F.col("gamma") / form.symbols).alias("p"))
         else:
-            p = own.join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("below")), "suffix").select(F.lit(m).alias("m"), "gram", (F.col("seen") + F.col("gamma") * F.col("below")).alias("p"))
-        lower = staged(p, f"kn-p{m}")
-        frames += [lower, totals.select(F.lit(-m).alias("m"), F.col("ctx").alias("gram"), F.col("gamma").alias("p"))]
-    out = frames[0]
-    for f in frames[1:]:
-        out = out.unionByName(f)
+            p = own.join(out[m - 1][0].select(F.col("gram").alias("suffix"), F.col("p").alias("below")), "suffix").select("gram", (F.col("seen") + F.col("gamma") * F.col("below")).alias("p"))
+        out[m] = staged(p, f"kn-p{m}"), totals.select("ctx", "gamma")
+    return out
+
+
+def kneser_ney(counts: DataFrame) -> DataFrame:
+    """The tables of the closed alphabet in one: (m, gram, p) of the m-grams seen, (-m, context, gamma) of their contexts."""
+    out = None
+    for m, (p, gamma) in kneser_ney_tables(counts, CLOSED).items():
+        both = p.select(F.lit(m).alias("m"), "gram", "p").unionByName(gamma.select(F.lit(-m).alias("m"), F.col("ctx").alias("gram"), F.col("gamma").alias("p")))
+        out = both if out is None else out.unionByName(both)
     return out
 
 
@@ -148,30 +177,160 @@ def dense_logp(model: DataFrame) -> np.ndarray:
     return np.log(below).astype(np.float32)
 
 
-def score(docs: DataFrame, logp: np.ndarray, text_col: str = "text") -> DataFrame:
-    """docs with perplexity (3 decimals; null for null or empty texts) and n_symbols. Other columns pass through."""
-    shipped = docs.sparkSession.sparkContext.broadcast(logp)
+def packed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(codes, counts, alphabet, digits): a 64-bit code for the OPEN_ORDER-gram that ends at each code point of the texts,
+    each text's number of code points, the code points by their place in a code, and the codes' base. Codes hold for
+    these texts alone."""
+    raw = "".join(x or "" for x in texts.to_pylist())
+    points = np.frombuffer(raw.encode("utf-32-le"), np.uint32).astype(np.int64)
+    size = pc.fill_null(pc.utf8_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    ends = np.cumsum(size)
+    line = np.insert(points, np.repeat(ends - size, OPEN_ORDER - 1), START)
+    here = np.bincount(line, minlength=POINTS) > 0
+    alphabet = np.flatnonzero(here)
+    line = (np.cumsum(here) - 1)[line]
+    at = np.arange(len(points)) + np.repeat((OPEN_ORDER - 1) * np.arange(len(size)), size)  # where each gram begins
+    base = len(alphabet)
+    if base**OPEN_ORDER >= 1 << 63:
+        return _packed_wide(line, at, alphabet), size, alphabet, np.array([base])
+    code = np.zeros(len(at), np.int64)
+    for i in range(OPEN_ORDER):
+        code = code * base + line[at + i]
+    return code, size, alphabet, np.array([base])
+
+
+def _packed_wide(line: np.ndarray, at: np.ndarray, alphabet: np.ndarray) -> np.ndarray:
+    """Codes over a large alphabet: the place of the first occurrence of each gram."""
+    ident, base = np.zeros(len(at), np.int64), len(alphabet)
+    for i in range(OPEN_ORDER):
+        _, first, ident = np.unique(ident * base + line[at + i], return_index=True, return_inverse=True)
+    return -1 - first[ident] if len(at) else ident
+
+
+def spelled(codes: np.ndarray, texts: pa.Array, alphabet: np.ndarray, base: int) -> pa.Array:
+    """The grams of packed codes as strings of OPEN_ORDER code points."""
+    if len(codes) and codes.min() < 0:
+        raw = "".join(x or "" for x in texts.to_pylist())
+        size = pc.fill_null(pc.utf8_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        begin = np.repeat(np.cumsum(size) - size, size)
+        back = np.arange(1 - OPEN_ORDER, 1) + (-1 - codes)[:, None]
+        points = np.frombuffer(raw.encode("utf-32-le"), np.uint32)
+        rows = np.where(back >= begin[-1 - codes][:, None], points[np.maximum(back, 0)], START)
+    else:
+        rows = np.zeros((len(codes), OPEN_ORDER), np.int64)
+        for i in range(OPEN_ORDER - 1, -1, -1):
+            rows[:, i] = alphabet[codes % base]
+            codes = codes // base
+    line = rows.astype("<u4").tobytes().decode("utf-32-le")
+    return pa.array([line[i : i + OPEN_ORDER] for i in range(0, len(line), OPEN_ORDER)], pa.string())
+
+
+def in_blocks(docs: DataFrame, text_col: str = "text", block_bytes: int = BLOCK) -> DataFrame:
+    """docs with a block and a row number, written once: consecutive rows of at most block_bytes of text, or one row."""
     at = docs.columns.index(text_col)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, at, 4 << 20):
-            codes, n = gram_codes(*symbols(b.column(at)))
-            upto = np.concatenate([[0.0], np.cumsum(shipped.value[codes], dtype=np.float64)])
-            ends = np.cumsum(n)
-            with np.errstate(invalid="ignore", divide="ignore"):
-                ppl = np.round(np.exp(-(upto[ends] - upto[ends - n]) / n), 3)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(ppl, mask=n == 0), pa.array(n)], names=[*b.schema.names, "perplexity", "n_symbols"])
+        first = TaskContext.get().partitionId() << 40
+        row, block, held = first, first, 0
+        for whole in batches:
+            for b in slices([whole], at, block_bytes):
+                _, off = utf8(b.column(at))
+                size = int(off[-1] - off[0])
+                if held and held + size > block_bytes:
+                    block, held = block + 1, 0
+                held += size
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array([block] * b.num_rows, pa.int64()), pa.array(np.arange(row, row + b.num_rows))], names=[*b.schema.names, "block", "row"])
+                row += b.num_rows
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(work, f"{fields}, perplexity double, n_symbols long")
+    return staged(docs.mapInArrow(work, f"{fields}, block long, row long"), "quality-blocks")
+
+
+def open_counts(docs: DataFrame) -> DataFrame:
+    """(gram, n, lo, hi) over texts with their row numbers: lo and hi are the least and greatest row that holds the gram."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches, 1, BLOCK):
+            codes, size, alphabet, base = packed(b.column(1))
+            row = np.repeat(b.column(0).to_numpy(), size)
+            g = pa.table({"code": codes, "row": row}).group_by("code").aggregate([("row", "count"), ("row", "min"), ("row", "max")])
+            grams = spelled(g["code"].to_numpy(), b.column(1), alphabet, int(base[0]))
+            yield pa.RecordBatch.from_arrays([grams, *(g[f"row_{k}"].combine_chunks() for k in ("count", "min", "max"))], names=["gram", "n", "lo", "hi"])
+
+    got = docs.select("row", "text").mapInArrow(work, "gram string, n long, lo long, hi long")
+    return got.groupBy("gram").agg(F.sum("n").alias("n"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+
+
+def gram_probabilities(grams: DataFrame, counts: DataFrame) -> DataFrame:
+    """(gram, p, held) of distinct OPEN_ORDER-grams, seen or not; held is the probability that a trusted text gets, to
+    which the n-grams that no other text holds are unseen. A join has at most one alphabet of rows for a key."""
+    model = kneser_ney_tables(counts, OPEN)
+    sole, wanted = {OPEN_ORDER: counts.select("gram", "lo", "hi")}, {OPEN_ORDER: grams}
+    for m in range(OPEN_ORDER - 1, 0, -1):
+        sole[m] = staged(sole[m + 1].groupBy(OPEN.suffix(m + 1).alias("gram")).agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")), f"kn-sole{m}")
+        wanted[m] = staged(wanted[m + 1].select(OPEN.suffix(m + 1).alias("gram")).distinct(), f"kn-wanted{m}")
+    below = None
+    for m in range(1, OPEN_ORDER + 1):
+        p, gamma = model[m]
+        got = wanted[m].join(p.join(sole[m].filter("lo = hi").select("gram", F.lit(True).alias("sole")), "gram", "left"), "gram", "left")
+        got = got.withColumn("ctx", OPEN.context(m)).join(gamma, "ctx", "left").withColumn("gamma", F.coalesce("gamma", F.lit(1.0)))
+        if below is None:
+            got = got.withColumn("q", F.lit(1.0 / POINTS)).withColumn("q0", F.col("q"))
+        else:
+            got = got.withColumn("suffix", OPEN.suffix(m)).join(below.select(F.col("gram").alias("suffix"), F.col("p").alias("q"), F.col("held").alias("q0")), "suffix")
+        unseen = F.col("p").isNull() | F.coalesce("sole", F.lit(False))
+        got = got.select("gram", F.coalesce("p", F.col("gamma") * F.col("q")).alias("p"), F.when(unseen, F.col("gamma") * F.col("q0")).otherwise(F.col("p")).alias("held"))
+        below = staged(got, f"kn-got{m}")
+    return below
+
+
+def score_open(rows: DataFrame, text_col: str = "text") -> DataFrame:
+    """rows (of in_blocks, with `sure` for trusted texts) without their text, with perplexity (3 decimals; null for null
+    or empty texts) and n_symbols. The model is of the trusted rows. Nothing of it is gathered or broadcast whole."""
+    counts = staged(open_counts(rows.filter("sure")), "quality-counts")
+
+    def distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            block = b.column(0).to_numpy()
+            cut = np.concatenate([[0], np.flatnonzero(np.diff(block)) + 1, [len(block)]])
+            for i, z in zip(cut[:-1].tolist(), cut[1:].tolist()):
+                own = b.column(1).slice(i, z - i)
+                codes, _, alphabet, base = packed(own)
+                grams = spelled(pc.unique(pa.array(codes)).to_numpy(), own, alphabet, int(base[0]))
+                yield pa.RecordBatch.from_arrays([pa.array([block[i]] * len(grams), pa.int64()), grams], names=["block", "gram"])
+
+    pairs = staged(rows.select("block", text_col).mapInArrow(distinct, "block long, gram string").distinct(), "quality-grams")
+    known = gram_probabilities(staged(pairs.select("gram").distinct(), "quality-distinct"), counts)
+    table = pairs.join(known, "gram").select("block", "gram", "p", "held")
+    rest = [f for f in rows.schema if f.name not in (text_col, "block", "row")]
+
+    def block(texts: pa.Table, table: pa.Table) -> pa.Table:
+        texts = texts.combine_chunks()
+        text = texts[text_col].combine_chunks() if texts.num_rows else pa.array([], pa.string())
+        codes, n, alphabet, base = packed(text)
+        seen = pc.unique(pa.array(codes))
+        grams = spelled(seen.to_numpy(), text, alphabet, int(base[0]))
+        where = pc.index_in(grams, table["gram"].combine_chunks()).to_numpy(zero_copy_only=False)
+        place = pc.index_in(pa.array(codes), seen).to_numpy(zero_copy_only=False)
+        p, held = (np.log(table[k].to_numpy())[where] if len(where) else np.zeros(0) for k in ("p", "held"))
+        upto, upto0 = (np.concatenate([[0.0], np.cumsum(x[place])]) if len(place) else np.zeros(1) for x in (p, held))
+        ends = np.cumsum(n)
+        sure = texts["sure"].to_numpy(zero_copy_only=False)
+        total = np.where(sure, upto0[ends] - upto0[ends - n], upto[ends] - upto[ends - n])
+        with np.errstate(invalid="ignore", divide="ignore"):
+            ppl = np.round(np.exp(-total / n), 3)
+        return pa.table([*(texts[f.name] for f in rest), pa.array(ppl, mask=n == 0), pa.array(n)], names=[*(f.name for f in rest), "perplexity", "n_symbols"])
+
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest)
+    return rows.drop("row").groupBy("block").cogroup(table.groupBy("block")).applyInArrow(block, f"{fields}, perplexity double, n_symbols long")
 
 
 def trusted(docs: DataFrame, labels: DataFrame, most: int = 2_000_000) -> DataFrame:
-    """The documents that a label calls good; none that any label calls bad or toxic. The ids of a label table of
+    """docs with `sure`: that a label calls the document good, and no label bad or toxic. The ids of a label table of
     up to `most` rows are broadcast; a larger one is joined by shuffle."""
-    good = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).filter("q = 1 and coalesce(t, 0) = 0").select("doc_id")
+    good = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).filter("q = 1 and coalesce(t, 0) = 0").select("doc_id", F.lit(True).alias("sure"))
     small = labels.count() <= most
-    return docs.join(F.broadcast(good) if small else good, "doc_id", "left_semi")
+    return docs.join(F.broadcast(good) if small else good, "doc_id", "left").withColumn("sure", F.coalesce("sure", F.lit(False)))
 
 
 def quantiles(scored: DataFrame, low: float, high: float, by: str = "lang") -> DataFrame:
@@ -194,11 +353,8 @@ def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float
     kept. Null or repeated ids keep their rows; further columns are ignored.
     """
     src = docs.select("doc_id", "lang", "text")
-    sure = trusted(src, labels)
-    counts = gram_counts(sure)
-    logp = dense_logp(kneser_ney(counts))
-    scored = staged(score(src, logp).drop("text"), "quality-scores")
-    ref = trusted(scored, labels)
+    scored = staged(score_open(in_blocks(trusted(src, labels))), "quality-scores")
+    ref = scored.filter("sure")
     both = ref.select("perplexity", F.col("lang")).unionByName(ref.select("perplexity", F.lit("*").alias("lang")))
     q = quantiles(both.withColumn("lang", F.coalesce("lang", F.lit("?"))), low, high)
     cuts = {r["lang"]: (r["lo"] / slack, r["hi"] * slack) for r in q.collect() if r["n_ref"] >= least or r["lang"] == "*"}  # one row per language

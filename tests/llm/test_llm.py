@@ -417,6 +417,44 @@ def test_classifier_on_held_out_documents(spark, empty):
     assert quality.classify(docs, labels.filter("false")).filter("keep").count() >= 240
 
 
+def test_open_model_tells_scripts_apart_and_matches_brute_force(spark):
+    rng = random.Random(12)
+    greek = ["".join(rng.choice(["και", "το", "λόγ", "ος", "την", "αν"]) for _ in range(rng.randint(1, 3))) for _ in range(80)]
+    rows = [(i, prose(rng, 60, greek)) for i in range(120)] + [(i, "".join(chr(rng.randint(0x370, 0x3FF)) if rng.random() < 0.8 else " " for _ in range(300))) for i in range(120, 160)]
+    rows += [(200, "".join(chr(0x4E00 + k) for k in range(9000))), (201, None), (202, "")]  # an alphabet too wide for packed codes
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(60)], "doc_id long, quality int, toxic int")
+    got = {r["doc_id"]: r for r in quality.classify(frame(spark, rows), labels, least=20).collect()}
+    assert sum(got[i]["keep"] for i in range(60, 120)) >= 57 and not any(got[i]["keep"] for i in [*range(120, 160), 200, 201, 202])
+    # brute force over the same counts
+    k, start = quality.OPEN_ORDER, chr(quality.START)
+    texts = dict(rows)
+    seen = Counter(g for i in range(60) for t in [start * (k - 1) + texts[i]] for g in (t[j : j + k] for j in range(len(texts[i]))))
+    levels = {k: seen}
+    for m in range(k - 1, 0, -1):
+        levels[m] = Counter(g[1:] for g in levels[m + 1])
+    cut, total, kinds = {}, {}, {}
+    for m, c in levels.items():
+        t1, t2, t3, t4 = (sum(v == x for v in c.values()) for x in (1, 2, 3, 4))
+        y = t1 / (t1 + 2 * t2) if t1 and t2 else 0.5
+        cut[m] = [min(max(d, 0.05), cap) for d, cap in ((1 - 2 * y * t2 / t1 if t1 else 0.5, 0.95), (2 - 3 * y * t3 / t2 if t2 else 1.0, 1.9), (3 - 4 * y * t4 / t3 if t3 else 1.5, 2.9))]
+        total[m], kinds[m] = Counter(), defaultdict(float)
+        for g, v in c.items():
+            total[m][g[:-1]] += v
+            kinds[m][g[:-1]] += cut[m][min(v, 3) - 1]
+
+    def p(g):
+        m = len(g)
+        if not m:
+            return 1 / quality.POINTS
+        n, all_ = levels[m][g], total[m][g[:-1]]
+        return p(g[1:]) if not all_ else ((n - cut[m][min(n, 3) - 1]) if n else 0) / all_ + kinds[m][g[:-1]] / all_ * p(g[1:])
+
+    for i in (70, 130, 200):
+        t = start * (k - 1) + texts[i]
+        want = math.exp(-sum(math.log(p(t[j : j + k])) for j in range(len(texts[i]))) / len(texts[i]))
+        assert got[i]["perplexity"] == pytest.approx(want, rel=1e-4, abs=2e-3)
+
+
 # the pipeline ------------------------------------------------------------------------------------------------------------
 
 
