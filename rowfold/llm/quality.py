@@ -7,7 +7,9 @@ bounded size; each block's distinct n-grams are joined with the tables, order by
 order where they are unseen, and come back to the block to score its documents.
 A trusted document is scored as if the n-grams that only it holds were unseen.
 Every document's perplexity is held against quantiles of the trusted documents'
-own perplexities in its language.
+own perplexities in its language and length class, drawn in to where labelled
+bad documents begin. A few toxic words hardly move a perplexity, so each word's
+odds of standing in toxic against trusted text give a second score.
 
 The same smoothing runs over a closed alphabet of 48 symbols, where all n-grams
 can be enumerated; it serves to check the smoothing and scores nothing.
@@ -25,14 +27,14 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rowfold.llm.common import slices, staged, utf8
+from rowfold.llm.common import release, slices, staged, utf8
 
 A = 48  # symbols
 ORDER = 4
 OPEN_ORDER = 5  # of the n-grams of code points
 START = 0x10FFFF  # no character; stands before a text
 POINTS = 0x110000
-BLOCK = 4 << 20  # bytes of text scored together
+BLOCK = 16 << 20  # bytes of text scored together; its distinct n-grams grow slower than it
 #: Symbols: 0 start; 1-26 a-z; 27 A-Z; 28-35 other letters by their code; 36 digit; 37 space; 38 line end; then marks.
 MARKS = {".": 39, ",": 40, "!": 41, "?": 42, "|": 43, "'": 45, '"': 45, "-": 45, "(": 45, ")": 45, ":": 45, ";": 45, "/": 45}
 LOUD, OTHER = "#$%&*<>{}[]=~^_+\\@`", 47
@@ -182,14 +184,14 @@ def packed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndar
     each text's number of code points, the code points by their place in a code, and the codes' base. Codes hold for
     these texts alone."""
     raw = "".join(x or "" for x in texts.to_pylist())
-    points = np.frombuffer(raw.encode("utf-32-le"), np.uint32).astype(np.int64)
+    points = np.frombuffer(raw.encode("utf-32-le"), np.uint32)
     size = pc.fill_null(pc.utf8_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
     ends = np.cumsum(size)
     line = np.insert(points, np.repeat(ends - size, OPEN_ORDER - 1), START)
     here = np.bincount(line, minlength=POINTS) > 0
     alphabet = np.flatnonzero(here)
-    line = (np.cumsum(here) - 1)[line]
-    at = np.arange(len(points)) + np.repeat((OPEN_ORDER - 1) * np.arange(len(size)), size)  # where each gram begins
+    line = (np.cumsum(here) - 1).astype(np.int32)[line]
+    at = np.arange(len(points), dtype=np.int32) + np.repeat(((OPEN_ORDER - 1) * np.arange(len(size))).astype(np.int32), size)  # where each gram begins
     base = len(alphabet)
     if base**OPEN_ORDER >= 1 << 63:
         return _packed_wide(line, at, alphabet), size, alphabet, np.array([base])
@@ -299,10 +301,11 @@ def score_open(rows: DataFrame, text_col: str = "text") -> DataFrame:
                 grams = spelled(pc.unique(pa.array(codes)).to_numpy(), own, alphabet, int(base[0]))
                 yield pa.RecordBatch.from_arrays([pa.array([block[i]] * len(grams), pa.int64()), grams], names=["block", "gram"])
 
-    pairs = staged(rows.select("block", text_col).mapInArrow(distinct, "block long, gram string").distinct(), "quality-grams")
+    pairs = staged(rows.select("block", text_col).mapInArrow(distinct, "block long, gram string"), "quality-grams")  # a block that comes in parts repeats some
     known = gram_probabilities(staged(pairs.select("gram").distinct(), "quality-distinct"), counts)
-    table = pairs.join(known, "gram").select("block", "gram", "p", "held")
-    rest = [f for f in rows.schema if f.name not in (text_col, "block", "row")]
+    table = pairs.join(known, "gram").select("block", "gram", F.log("p").cast("float").alias("p"), F.log("held").cast("float").alias("held"))
+    release(rows.sparkSession)
+    rest = [f for f in rows.schema if f.name not in (text_col, "block")]
 
     def block(texts: pa.Table, table: pa.Table) -> pa.Table:
         texts = texts.combine_chunks()
@@ -312,8 +315,8 @@ def score_open(rows: DataFrame, text_col: str = "text") -> DataFrame:
         grams = spelled(seen.to_numpy(), text, alphabet, int(base[0]))
         where = pc.index_in(grams, table["gram"].combine_chunks()).to_numpy(zero_copy_only=False)
         place = pc.index_in(pa.array(codes), seen).to_numpy(zero_copy_only=False)
-        p, held = (np.log(table[k].to_numpy())[where] if len(where) else np.zeros(0) for k in ("p", "held"))
-        upto, upto0 = (np.concatenate([[0.0], np.cumsum(x[place])]) if len(place) else np.zeros(1) for x in (p, held))
+        p, held = (table[k].to_numpy()[where] if len(where) else np.zeros(0) for k in ("p", "held"))
+        upto, upto0 = (np.concatenate([[0.0], np.cumsum(x[place], dtype=np.float64)]) if len(place) else np.zeros(1) for x in (p, held))
         ends = np.cumsum(n)
         sure = texts["sure"].to_numpy(zero_copy_only=False)
         total = np.where(sure, upto0[ends] - upto0[ends - n], upto[ends] - upto[ends - n])
@@ -322,15 +325,15 @@ def score_open(rows: DataFrame, text_col: str = "text") -> DataFrame:
         return pa.table([*(texts[f.name] for f in rest), pa.array(ppl, mask=n == 0), pa.array(n)], names=[*(f.name for f in rest), "perplexity", "n_symbols"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest)
-    return rows.drop("row").groupBy("block").cogroup(table.groupBy("block")).applyInArrow(block, f"{fields}, perplexity double, n_symbols long")
+    return rows.groupBy("block").cogroup(table.groupBy("block")).applyInArrow(block, f"{fields}, perplexity double, n_symbols long")
 
 
 def trusted(docs: DataFrame, labels: DataFrame, most: int = 2_000_000) -> DataFrame:
-    """docs with `sure`: that a label calls the document good, and no label bad or toxic. The ids of a label table of
+    """docs with `sure`, that a label calls the document good, and no label bad or toxic, and with `bad` and `toxic`, that some label says so. The ids of a label table of
     up to `most` rows are broadcast; a larger one is joined by shuffle."""
-    good = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).filter("q = 1 and coalesce(t, 0) = 0").select("doc_id", F.lit(True).alias("sure"))
+    good = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).selectExpr("doc_id", "q = 1 and coalesce(t, 0) = 0 as sure", "q = 0 as bad", "t = 1 as toxic")
     small = labels.count() <= most
-    return docs.join(F.broadcast(good) if small else good, "doc_id", "left").withColumn("sure", F.coalesce("sure", F.lit(False)))
+    return docs.join(F.broadcast(good) if small else good, "doc_id", "left").withColumns({k: F.coalesce(k, F.lit(False)) for k in ("sure", "bad", "toxic")})
 
 
 def quantiles(scored: DataFrame, low: float, high: float, by: str = "lang") -> DataFrame:
@@ -343,23 +346,73 @@ def quantiles(scored: DataFrame, low: float, high: float, by: str = "lang") -> D
     return run.groupBy(by).agg(F.min(F.when(F.col("upto") >= F.lit(low) * F.col("all"), F.col("v"))).alias("lo"), F.min(F.when(F.col("upto") >= F.lit(high) * F.col("all"), F.col("v"))).alias("hi"), F.max("all").alias("n_ref"))
 
 
+def toxicity(rows: DataFrame) -> DataFrame:
+    """(row, toxicity) of the rows that hold a word of labelled toxic texts: the greatest log odds of a word's share of
+    toxic against trusted texts. A labelled text does not count for its own words; two others must hold a word."""
+    word = F.explode(F.array_distinct(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"))).alias("word")
+    known = rows.filter("toxic or sure").select("toxic", "sure", word).filter("word <> ''")
+    seen = known.groupBy("word").agg(F.sum(F.col("toxic").cast("long")).alias("t"), F.sum(F.col("sure").cast("long")).alias("g")).filter("t >= 2")
+    n = rows.agg(F.sum(F.col("toxic").cast("long")).alias("t"), F.sum(F.col("sure").cast("long")).alias("g")).first()
+    nt, ng = n["t"] or 0, n["g"] or 0
+    seen = staged(seen.filter(F.col("t") * max(1, ng) > F.col("g") * max(1, nt)), "quality-words")
+    own = rows.select("row", "toxic", "sure", word).join(seen, "word")
+    t, g = F.col("t") - F.col("toxic").cast("long"), F.col("g") - F.col("sure").cast("long")
+    odds = F.log((t + 0.5) / (nt + 1)) - F.log((g + 0.5) / (ng + 1))
+    return own.filter(t >= 2).groupBy("row").agg(F.round(F.max(odds), 2).alias("toxicity"))
+
+
+def length_class(n: Column) -> Column:
+    """Classes of length by powers of four, up to 4096 symbols and more."""
+    return F.least(F.lit(6), F.floor(F.log(F.greatest(n, F.lit(1)).cast("double")) / F.log(F.lit(4.0)) + 1e-9)).cast("int")
+
+
+def cuts_of(scored: DataFrame, low: float, high: float, slack: float) -> DataFrame:
+    """(key, lo, hi, n_ref): the quantiles of the trusted rows of each key, widened by slack, but not past the nearest bad row."""
+    q = quantiles(scored.filter("sure"), low, high, "key")
+    bad = scored.filter("bad and perplexity is not null").select("key", "perplexity").join(q, "key")
+    near = bad.groupBy("key").agg(F.max(F.when(F.col("perplexity") < F.col("lo"), F.col("perplexity"))).alias("under"), F.min(F.when(F.col("perplexity") > F.col("hi"), F.col("perplexity"))).alias("over"))
+    lo, hi = F.col("lo") / slack, F.col("hi") * slack
+    return q.join(near, "key", "left").select("key", F.greatest(lo, F.least("lo", F.col("under") + 0.001)).alias("lo"), F.least(hi, F.greatest("hi", F.col("over") - 0.001)).alias("hi"), "n_ref")
+
+
+def toxic_cuts(scored: DataFrame) -> DataFrame:
+    """(key, cut, n_ref): beyond which toxicity the caught share of toxic rows most exceeds the lost share of trusted ones."""
+    bins = scored.groupBy("key", F.col("toxicity").alias("v")).agg(F.sum(F.col("sure").cast("long")).alias("g"), F.sum(F.col("toxic").cast("long")).alias("t"))
+    upto, total = Window.partitionBy("key").orderBy("v"), Window.partitionBy("key")
+    share = {k: F.sum(k).over(upto) / F.sum(k).over(total) for k in ("g", "t")}
+    run = bins.filter("g + t > 0").withColumns({"n_ref": F.least(F.sum("g").over(total), F.sum("t").over(total))})
+    run = run.filter("n_ref > 0").withColumn("gain", share["g"] - share["t"])
+    return run.groupBy("key").agg(F.max_by("v", F.struct("gain", "v")).alias("cut"), F.max("n_ref").alias("n_ref"))
+
+
 def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float = 0.995, slack: float = 1.05, least: int = 50) -> DataFrame:
-    """One row per input row: doc_id, lang, n_symbols, perplexity, lo, hi, keep.
+    """One row per input row: doc_id, lang, n_symbols, perplexity, lo, hi, toxicity, toxic_cut, keep.
 
     The model is trained on all trusted documents. A document is kept if its perplexity lies between the `low` and
-    `high` quantiles of the trusted documents in its language, widened by the factor `slack` on both sides; a language
-    with fewer than `least` trusted documents uses the quantiles of all languages together. Rejected are null and
-    empty texts; a null language is a language of its own. Without any trusted document, everything with text is
-    kept. Null or repeated ids keep their rows; further columns are ignored.
+    `high` quantiles of the trusted documents in its language and length class, widened on both sides by the factor
+    `slack` or up to the nearest labelled bad document, and if its toxicity is not beyond the cut that best parts the
+    labelled toxic from the trusted documents of its language. A class with fewer than `least` trusted documents uses the cuts of its language,
+    such a language those of all. Rejected are null and empty texts; a null language is a language of its own. Without
+    any trusted document, everything with text is kept. Null or repeated ids keep their rows; further columns are
+    ignored.
     """
     src = docs.select("doc_id", "lang", "text")
-    scored = staged(score_open(in_blocks(trusted(src, labels))), "quality-scores")
-    ref = scored.filter("sure")
-    both = ref.select("perplexity", F.col("lang")).unionByName(ref.select("perplexity", F.lit("*").alias("lang")))
-    q = quantiles(both.withColumn("lang", F.coalesce("lang", F.lit("?"))), low, high)
-    cuts = {r["lang"]: (r["lo"] / slack, r["hi"] * slack) for r in q.collect() if r["n_ref"] >= least or r["lang"] == "*"}  # one row per language
-    every = cuts.get("*", (0.0, float("inf")))
-    pairs = [x for k, v in sorted(cuts.items()) for x in (F.lit(k), F.struct(F.lit(v[0]).alias("lo"), F.lit(v[1]).alias("hi")))]
-    own = F.try_element_at(F.create_map(*pairs), F.coalesce("lang", F.lit("?"))) if pairs else F.lit(None).cast("struct<lo:double,hi:double>")
-    cut = scored.withColumn("lo", F.round(F.coalesce(own["lo"], F.lit(every[0])), 3)).withColumn("hi", F.round(F.coalesce(own["hi"], F.lit(every[1])), 3))
-    return cut.select("doc_id", "lang", "n_symbols", "perplexity", "lo", "hi", F.coalesce(F.col("perplexity").between(F.col("lo"), F.col("hi")), F.lit(False)).alias("keep"))
+    rows = in_blocks(trusted(src, labels))
+    scored = score_open(rows).join(toxicity(rows), "row", "left").withColumn("toxicity", F.coalesce("toxicity", F.lit(0.0)))
+    own, size = F.coalesce("lang", F.lit("?")), length_class(F.col("n_symbols")).cast("string")
+    scored = staged(scored.withColumns({"lang_key": F.concat(own, F.lit("/")), "key": F.concat(own, F.lit("/"), size)}), "quality-scores")
+    labelled = scored.filter("sure or bad or toxic")
+    keyed = labelled.drop("lang_key").unionByName(labelled.withColumn("key", F.col("lang_key")).drop("lang_key")).unionByName(labelled.withColumn("key", F.lit("*")).drop("lang_key"))
+    cuts = {r["key"]: (r["lo"], r["hi"]) for r in cuts_of(keyed, low, high, slack).collect() if r["n_ref"] >= least or r["key"] == "*"}  # some rows per language
+    tox = {r["key"]: r["cut"] for r in toxic_cuts(keyed.filter("key like '%/' or key = '*'")).collect() if r["n_ref"] >= least or r["key"] == "*"}
+
+    def of(table: dict, kind: str, *keys: str) -> Column:
+        if not table:
+            return F.lit(None).cast(kind)
+        put = F.create_map(*[x for k, v in sorted(table.items()) for x in (F.lit(k), F.struct(F.lit(v[0]).alias("lo"), F.lit(v[1]).alias("hi")) if isinstance(v, tuple) else F.lit(v))])
+        return F.coalesce(*(F.try_element_at(put, F.col(k)) for k in keys), F.try_element_at(put, F.lit("*")))
+
+    cut = scored.withColumn("cut", of(cuts, "struct<lo:double,hi:double>", "key", "lang_key")).withColumn("toxic_cut", F.coalesce(of(tox, "double", "lang_key"), F.lit(float("inf"))))
+    cut = cut.withColumn("lo", F.round(F.coalesce(F.col("cut.lo"), F.lit(0.0)), 3)).withColumn("hi", F.round(F.coalesce(F.col("cut.hi"), F.lit(float("inf"))), 3))
+    keep = F.coalesce(F.col("perplexity").between(F.col("lo"), F.col("hi")) & (F.col("toxicity") <= F.col("toxic_cut")), F.lit(False))
+    return cut.select("doc_id", "lang", "n_symbols", "perplexity", "lo", "hi", "toxicity", "toxic_cut", keep.alias("keep"))

@@ -455,6 +455,20 @@ def test_open_model_tells_scripts_apart_and_matches_brute_force(spark):
         assert got[i]["perplexity"] == pytest.approx(want, rel=1e-4, abs=2e-3)
 
 
+def test_classifier_catches_toxic_words_and_heeds_length(spark):
+    rng = random.Random(13)
+    stock = prose(rng, 60).split()
+    mark = lambda t, w: " ".join([*t.split()[:30], w, *t.split()[30:]])
+    rows = [(i, prose(rng, 150, stock)) for i in range(150)] + [(i, mark(prose(rng, 150, stock), rng.choice(["trash", "scum"]))) for i in range(150, 190)]
+    rows += [(i, "Zq " + chr(97 + i % 26) + "xj.") for i in range(200, 260)]  # trusted fragments that are hard to predict
+    junk = [(i, " ".join(w[::-1] if k % 2 else w for k, w in enumerate(prose(rng, 150, stock).split()))) for i in range(300, 320)]
+    labels = spark.createDataFrame([(i, 1, int(150 <= i < 190)) for i in [*range(100), *range(150, 170), *range(200, 260)]], "doc_id long, quality int, toxic int")
+    docs = spark.createDataFrame([(i, t, "en") for i, t in rows + junk], "doc_id long, text string, lang string")
+    keep = {r["doc_id"]: r["keep"] for r in quality.classify(docs, labels).collect()}
+    assert sum(keep[i] for i in range(100, 150)) >= 48
+    assert not any(keep[i] for i in range(150, 190)) and not any(keep[i] for i in range(300, 320))
+
+
 # the pipeline ------------------------------------------------------------------------------------------------------------
 
 
