@@ -1,7 +1,9 @@
 """Personal data: base patterns, and identifiers found by bootstrapped contexts.
 
 Base matches are seeds. Every seed, and every other identifier-like token, gives
-edges from lexical patterns (words beside it with its shape) to the instance.
+edges to the instance from lexical patterns (words beside it, with its shape and
+without) and from its shape alone. A shape adds to the weight of an instance, but
+only words beside it can name one, whatever its own shape.
 Scores pass over this bipartite graph a few times: a pattern is as good as the
 share of its instances that are trusted, an instance as good as its patterns
 together. Patterns that end with high confidence and enough support name the
@@ -28,6 +30,7 @@ IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 CARD = re.compile(r"[0-9](?:[ -]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 LIKE = re.compile(r"\S*[0-9@]\S*")
+GROUPS = re.compile(r"(?<!\S)[(+]*[0-9][0-9().+/-]*(?: [(+]*[0-9][0-9().+/-]*)+")  # numbers that one blank parts
 EDGE = " \t\r\n.,;:!?\"'()[]{}<>*#$%&|"
 WORD_BEFORE = re.compile(r"(\S+)\s+$")
 WORD_AFTER = re.compile(r"\s*(\S+)")
@@ -84,30 +87,37 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(emails(text) + ips(text) + cards(text) + phones(text))
 
 
+def short(s: str) -> str:
+    """The string, or its hash where it is long."""
+    return s if len(s) <= 64 else hashlib.sha256(s.encode()).hexdigest()
+
+
 def shape(s: str) -> str:
     """Digits become 9, letters a; runs of letters become one, runs of digits keep their length."""
-    return re.sub(r"a+", "a", "".join("9" if c.isdigit() else "a" if c.isalpha() else c for c in s[:64]))
+    return short(re.sub(r"a+", "a", "".join("9" if c.isdigit() else "a" if c.isalpha() else c for c in s)))
 
 
 def patterns(text: str, s: int, e: int) -> list[str]:
-    """The lexical patterns in which the instance [s, e) stands: word before, word after, both; each with its shape."""
+    """The lexical patterns in which the instance [s, e) stands: word before, word after, both; each with its shape and
+    without. Last its shape alone."""
     b = WORD_BEFORE.search(text[max(0, s - REACH) : s])
     a = WORD_AFTER.match(text[e : e + REACH])
     left, right, form = (b[1].lower() if b else "^"), (a[1].lower() if a else "$"), shape(text[s:e])
-    return [f"{left} _ | {form}", f"_ {right} | {form}", f"{left} _ {right} | {form}"]
+    beside = [f"{left} _", f"_ {right}", f"{left} _ {right}"]
+    return [*(f"{x} | {form}" for x in beside), *beside, f"| {form}"]
 
 
 def instances(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int]]:
-    """Identifier-like tokens beside the base spans: at least five characters with three digits or an @."""
+    """Identifier-like tokens beside the base spans, and groups of numbers that single blanks part: at least five
+    characters with three digits or an @."""
     out, at = [], 0
     taken = [(s, e) for s, _, e in base]
-    for m in LIKE.finditer(text):
-        s, e = m.span()
+    for s, e in sorted({m.span() for k in (LIKE, GROUPS) for m in k.finditer(text)}):
         while s < e and text[s] in EDGE:
             s += 1
         while e > s and text[e - 1] in EDGE:
             e -= 1
-        if e - s < 5 or e - s > 64:
+        if e - s < 5:
             continue
         while at < len(taken) and taken[at][1] <= s:
             at += 1
@@ -115,7 +125,7 @@ def instances(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, in
             continue
         if sum(c.isdigit() for c in text[s:e]) >= 3 or "@" in text[s:e]:
             out.append((s, e))
-    return out
+    return sorted(set(out))
 
 
 SPAN = pa.struct([("start", pa.int32()), ("kind", pa.int32()), ("end", pa.int32())])
@@ -135,7 +145,7 @@ def _extract(batches: Iterator[pa.RecordBatch], id_col: str) -> Iterator[pa.Reco
             out["base_sha256"].append(hashlib.sha256(spans_text(base, KINDS).encode()).hexdigest())
             out["base"].append([{"start": s, "kind": k, "end": e} for s, k, e in base])
             seen = [(s, e, k) for s, k, e in base] + [(s, e, -1) for s, e in instances(text, base)]
-            out["cand"].append([{"start": s, "end": e, "kind": k, "value": text[s:e].lower(), "patterns": patterns(text, s, e)} for s, e, k in seen])
+            out["cand"].append([{"start": s, "end": e, "kind": k, "value": short(text[s:e].lower()), "patterns": patterns(text, s, e)} for s, e, k in seen])
         yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(v, t) for v, t in zip(out.values(), kinds))], names=[id_col, *names])
 
 
@@ -175,13 +185,15 @@ def find_pii(docs: DataFrame, min_conf: float = 0.6, min_support: float = 3.0, i
     rows = staged(rows, "pii-rows")
     cand = rows.select("row", F.explode("cand").alias("c")).select("row", "c.*")
     edges = cand.select("value", "kind", F.explode("patterns").alias("pattern"))
-    promoted = score_patterns(edges).filter((F.col("conf") >= min_conf) & (F.col("support") >= min_support))
+    promoted = score_patterns(edges).filter(~F.col("pattern").startswith("| ")).filter((F.col("conf") >= min_conf) & (F.col("support") >= min_support))
     best = promoted.groupBy("pattern").agg(F.max(F.struct("conf", (-F.col("kind")).alias("k"))).alias("b")).select("pattern", F.col("b.conf").alias("conf"), (-F.col("b.k")).alias("kind"))
     named = cand.filter("kind < 0").select("row", "start", "end", F.explode("patterns").alias("pattern")).join(best, "pattern")
     named = named.groupBy("row", "start", "end").agg(F.max(F.struct("conf", (-F.col("kind")).alias("k"))).alias("b")).select("row", F.struct("start", (-F.col("b.k")).alias("kind"), "end").alias("s"))
     new = named.groupBy("row").agg(F.collect_list("s").alias("new"))  # the spans of one text
     none = F.array().cast("array<struct<start:int,kind:int,end:int>>")
     names = F.array(*map(F.lit, KINDS))
+    inner = lambda x: F.exists("new", lambda y: (y["start"] <= x["start"]) & (y["end"] >= x["end"]) & (y["end"] - y["start"] > x["end"] - x["start"]))
+    new = new.withColumn("new", F.filter("new", lambda x: ~inner(x)))  # a number within a named group
     out = rows.drop("cand").join(new, "row", "left").withColumn("new", F.coalesce("new", none))
     spans = F.transform(F.array_sort(F.concat("base", "new")), lambda x: F.concat_ws(":", F.get(names, x["kind"]), x["start"].cast("string"), x["end"].cast("string")))
     return out.select(id_col, *(f"n_{k}" for k in KINDS), "base_sha256", F.concat_ws(",", spans).alias("spans"), F.size("new").cast("long").alias("n_found"))

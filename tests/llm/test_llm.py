@@ -169,6 +169,19 @@ def test_pii_contexts_find_unseen_identifiers(spark, empty):
     assert pii.find_pii(empty).count() == 0
 
 
+def test_pii_contexts_find_identifiers_of_shapes_without_seeds(spark):
+    rng = random.Random(15)
+    cards = ["4111111111111111", "5500005555555559", "4012888888881881", "6011000990139424", "3530111333300000", "5105105105105100"]
+    rows = [(i, f"{prose(rng, 8)} card: {n} end {prose(rng, 5)}") for i, n in enumerate(cards)]
+    new = ["4111-11111-11111-1112", "078 05 1120", "9" + "ab1" * 30]
+    rows += [(100 + i, f"{prose(rng, 6)} card: {n} {prose(rng, 5)}") for i, n in enumerate(new)] + [(110, f"{prose(rng, 6)} item {new[0]} {prose(rng, 5)}")]
+    got = {r["doc_id"]: r["spans"] for r in pii.find_pii(frame(spark, rows)).collect()}
+    for i, n in enumerate(new):
+        a = dict(rows)[100 + i].index(n)
+        assert got[100 + i] == f"card:{a}:{a + len(n)}"
+    assert got[110] == ""
+
+
 # 5, 9 ------------------------------------------------------------------------------------------------------------------
 
 
