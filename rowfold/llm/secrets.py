@@ -1,7 +1,9 @@
 """Secret scan: fixed patterns, and a battery of randomness tests under false-discovery control.
 
-Beside the three base patterns, every long unbroken token is a candidate. Its
-encoding is inferred from its characters; three tests ask whether it looks like
+Beside the three base patterns, every long unbroken token is a candidate. Where no
+single encoding holds all of it, its longest parts that one encoding holds are
+candidates instead: it is cut at '=' with something behind it, and where '/' or '+'
+meets '-' or '_'. The encoding is inferred from the characters; three tests ask whether it looks like
 uniform draws from that alphabet (chi-squared of the symbol counts, runs about
 the median symbol, lag-one serial correlation). A token that passes them is
 reported only if it is also improbable as text: the likelihood ratio of uniform
@@ -62,6 +64,30 @@ def encoding_of(token: str) -> str | None:
     return next((k for k, v in _SETS.items() if body <= v), None)
 
 
+PIECE = re.compile(r"[^=]+=*")
+
+
+def parts(token: str) -> list[tuple[int, int]]:
+    """(start, end) of the candidates of a token: itself if one encoding holds it, else in each piece between inner '='
+    the parts of at least 20 characters that one encoding holds, the longest first where they overlap."""
+    if encoding_of(token) is not None:
+        return [(0, len(token))]
+    out: list[tuple[int, int]] = []
+    for p in PIECE.finditer(token):
+        if p.end() - p.start() < 20:
+            continue
+        if encoding_of(p[0]) is not None:
+            out.append(p.span())
+            continue
+        found = [m.span() for k in ("+/", "_-") for m in re.finditer(rf"[A-Za-z0-9{k}]{{20,}}=*", p[0])]
+        own: list[tuple[int, int]] = []
+        for s, e in sorted(found, key=lambda x: (x[0] - x[1], x[0])):
+            if all(e <= a or s >= z for a, z in own):
+                own.append((s, e))
+        out += [(p.start() + s, p.start() + e) for s, e in own]
+    return sorted(out)
+
+
 def _normal_two_sided(z: float) -> float:
     return math.erfc(abs(z) / math.sqrt(2))
 
@@ -105,17 +131,18 @@ def candidates(text: str, taken: list[tuple[int, int, int]], log_q: np.ndarray,
     taken = sorted((s, e) for s, _, e in taken)
     at = 0
     for m in TOKEN.finditer(text):
-        s, e = m.span()
-        while at < len(taken) and taken[at][1] <= s:
-            at += 1
-        if at < len(taken) and taken[at][0] < e:
-            continue
-        enc = encoding_of(m[0])
-        if enc is None or enc == "decimal" or not m[0].rstrip("="):
-            continue
-        stratum = f"{enc}/{min(8, int(math.log2(e - s) * 2))}"
-        ok = battery(m[0], enc) >= alpha
-        out.append((s, e, stratum, max(0, min(400, int(log_e(m[0], enc, log_q) / STEP))), ok))
+        for s, e in ((m.start() + i, m.start() + z) for i, z in parts(m[0])):
+            while at < len(taken) and taken[at][1] <= s:
+                at += 1
+            if at < len(taken) and taken[at][0] < e:
+                continue
+            token = text[s:e]
+            enc = encoding_of(token)
+            if enc is None or not token.rstrip("="):
+                continue
+            stratum = f"{enc}/{min(8, int(math.log2(e - s) * 2))}"
+            ok = battery(token, enc) >= alpha
+            out.append((s, e, stratum, max(0, min(400, int(log_e(token, enc, log_q) / STEP))), ok))
     return out
 
 

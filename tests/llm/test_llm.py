@@ -317,6 +317,21 @@ def test_secrets_base_and_random(spark, empty):
     assert secrets.find_secrets(empty).count() == 0
 
 
+def test_secrets_within_assignments_paths_and_digits():
+    rng = random.Random(14)
+    draw = lambda k, n: "".join(rng.choice(secrets.ALPHABETS[k]) for _ in range(n))
+    key, pat, num = draw("base64", 39) + "A", draw("base62", 36), draw("decimal", 60)
+    log_q = np.full(256, math.log(1 / 200))
+    for before, secret in (("aws_secret_access_key=", key), ("GITHUB_PAT=", "ghp_" + pat), ("?sig=", pat + "=="), ("id: ", num), ("a_b-c=", num)):
+        t = f"see {before}{secret} end"
+        at = t.index(secret)
+        got = secrets.candidates(t, [], log_q, 0.001)
+        assert (at, at + len(secret)) in [x[:2] for x in got], t
+    t = "my-long_path-name/" + pat
+    assert any(s <= t.index(pat) and e == len(t) for s, e, *_ in secrets.candidates(t, [], log_q, 0.001))
+    assert secrets.candidates("x " + num, [], log_q, 0.0)[0][2].startswith("decimal/")
+
+
 def test_battery_levels():
     rng = random.Random(1)
     p = [secrets.battery("".join(rng.choice("0123456789abcdef") for _ in range(64)), "hex") for _ in range(400)]
