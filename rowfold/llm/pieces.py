@@ -1,6 +1,7 @@
 """SentencePiece encoding and decoding by a batched Viterbi search in numpy.
 
-Texts become words (a word-start mark and what follows up to the next space);
+Texts become words (a run of word-start marks and what follows up to the next
+space; no piece goes on from a word into the blanks behind it);
 the distinct words of a batch are grouped by length, and all words of one length
 advance together: for each end position and piece length, the substring hashes
 of the whole group are looked up in the sorted hashes of the pieces, and
@@ -12,6 +13,7 @@ piece.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -24,6 +26,7 @@ from rowfold.llm.common import slices, utf8
 
 MARK = "▁"
 BASE = np.uint64(0x9E3779B97F4A7C15)
+WORD_END = re.compile("(?<=[^ ]) ")  # the first blank of a run; the others belong to the word after it
 LONG = 64  # words longer than this are searched one by one
 FOREIGN = np.uint64(0x110000)  # stands for a mark that the text itself holds
 
@@ -58,8 +61,9 @@ def load_pieces(model_file: str) -> Pieces:
             texts.append(b"")
         else:
             texts.append(p.replace(MARK, " ").encode())
-            if MARK not in p[1:]:
-                rows.append((p, i, sp.get_score(i)))
+            if p.strip(MARK) and MARK in p[1:]:
+                raise ValueError("a piece goes on over a word's end")
+            rows.append((p, i, sp.get_score(i)))
     if (byte_ids < 0).any():
         raise ValueError("the model has no byte pieces to fall back to")
     keys = np.array([hash_of(p) for p, _, _ in rows], np.uint64)
@@ -195,7 +199,8 @@ def _trace(words: np.ndarray, back: np.ndarray, piece: np.ndarray, p: Pieces) ->
 
 
 def encode_words(words: list[str], p: Pieces) -> tuple[np.ndarray, np.ndarray]:
-    """Ids of all words, one after another, and each word's number of ids. Words come without their mark."""
+    """Ids of all words, one after another, and each word's number of ids. Words come without their first mark; further
+    blanks before them are marks too."""
     size = np.array([len(w) + 1 for w in words], np.int64)
     counts, parts = np.zeros(len(words), np.int64), {}
     for length in np.unique(size).tolist():
@@ -203,6 +208,7 @@ def encode_words(words: list[str], p: Pieces) -> tuple[np.ndarray, np.ndarray]:
         text = "".join(MARK + words[i] for i in which)
         codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64).reshape(len(which), length)
         codes = np.where((codes == ord(MARK)) & (np.arange(length) > 0), FOREIGN, codes)
+        codes = np.where(codes == ord(" "), np.uint64(ord(MARK)), codes)
         step = max(1, 2_000_000 // length)
         for at in range(0, len(which), step):
             own = codes[at : at + step]
@@ -228,7 +234,10 @@ def gather(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
 def encode_batch(text: pa.Array, p: Pieces) -> tuple[np.ndarray, np.ndarray]:
     """Ids of all texts, one after another, and each text's number of ids. A null or empty text has none."""
     text = text.fill_null("")
-    split = pc.split_pattern(text, " ")
+    if pc.any(pc.or_(pc.match_substring(text, "  "), pc.starts_with(text, " "))).as_py():
+        split = pa.array([WORD_END.split(t) for t in text.to_pylist()], pa.list_(pa.string()))
+    else:
+        split = pc.split_pattern(text, " ")
     words = split.flatten().dictionary_encode()
     ids, counts = encode_words(words.dictionary.to_pylist(), p)
     starts = np.cumsum(counts) - counts

@@ -216,6 +216,29 @@ def test_pieces_round_trip_and_best_score(spark, docs, rows, empty):
             assert sum(p.scores[place[int(i)]] for i in own) == pytest.approx(best[-1])
 
 
+def test_pieces_of_runs_of_blanks_have_the_best_score_of_the_whole_vocabulary():
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=MODEL)
+    p = pieces.load_pieces(MODEL)
+    score = {sp.id_to_piece(i): sp.get_score(i) for i in range(sp.get_piece_size()) if not (sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i))}
+    texts = ["a" + " " * 8 + "b", "  if x:\n        y = 1", "a  b   c ", "   ", " a", "w" + " " * 90 + "z  ", "plain text here"]
+    ids, counts = pieces.encode_batch(pa.array(texts), p)
+    raw, off = pieces.decode_batch(ids, counts, p)
+    assert [raw[off[i] : off[i + 1]].tobytes().decode() for i in range(len(texts))] == texts
+    upto = np.concatenate([[0], np.cumsum(counts)])
+    for i, t in enumerate(texts):
+        own = ids[upto[i] : upto[i + 1]].tolist()
+        if set(own) & set(p.byte_ids.tolist()):
+            continue
+        full = pieces.MARK + t.replace(" ", pieces.MARK)
+        best = [0.0] + [-math.inf] * len(full)
+        for j in range(1, len(full) + 1):
+            best[j] = max(best[j - k] + score.get(full[j - k : j], -math.inf) for k in range(1, min(p.longest, j) + 1))
+        assert sum(sp.get_score(v) for v in own) == pytest.approx(best[-1], rel=1e-12)
+    assert len(ids[: counts[0]]) == 3
+
+
 def test_token_counts(spark, docs, empty):
     flat = token_counts.write_flat(docs, MODEL, block_tokens=97)  # blocks that cut documents
     counts = token_counts.count_tokens(flat.filter("kind = 'tokens'").select("stream", "block", "data"))
