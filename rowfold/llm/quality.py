@@ -1,336 +1,30 @@
-"""Quality classifier: an interpolated modified Kneser-Ney model of trusted text.
-
-n-grams are of code points over an open vocabulary, so their tables grow with the
-trusted text. Counts, continuation counts and context totals of each order stay
-tables, joined shard by shard on their contexts. Documents are put into blocks of
-bounded size; each block's distinct n-grams are joined with the tables, order by
-order where they are unseen, and come back to the block to score its documents.
-A trusted document is scored as if the n-grams that only it holds were unseen.
-Every document's perplexity is held against quantiles of the trusted documents'
-own perplexities in its language and length class, drawn in to where labelled
-bad documents begin. A few toxic words hardly move a perplexity, so each word's
-odds of standing in toxic against trusted text give a second score.
-
-The same smoothing runs over a closed alphabet of 48 symbols, where all n-grams
-can be enumerated; it serves to check the smoothing and scores nothing.
+"""Quality classifier: perplexity under a Kneser-Ney model of trusted text, and the odds of toxic words.
+
+The model is in kneser_ney: its counts are sharded tables that documents meet by
+joins. Every document's perplexity is held against quantiles of the trusted
+documents' own perplexities in its language and length class, drawn in to where
+labelled bad documents begin; a trusted document is scored as if the n-grams that
+only it holds were unseen. A few toxic words hardly move a perplexity, so the
+words that many toxic texts and few trusted ones hold give a second score.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
-from dataclasses import dataclass
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rowfold.llm.common import release, slices, staged, utf8
-
-A = 48  # symbols
-ORDER = 4
-OPEN_ORDER = 5  # of the n-grams of code points
-START = 0x10FFFF  # no character; stands before a text
-POINTS = 0x110000
-BLOCK = 16 << 20  # bytes of text scored together; its distinct n-grams grow slower than it
-#: Symbols: 0 start; 1-26 a-z; 27 A-Z; 28-35 other letters by their code; 36 digit; 37 space; 38 line end; then marks.
-MARKS = {".": 39, ",": 40, "!": 41, "?": 42, "|": 43, "'": 45, '"': 45, "-": 45, "(": 45, ")": 45, ":": 45, ";": 45, "/": 45}
-LOUD, OTHER = "#$%&*<>{}[]=~^_+\\@`", 47
-
-
-def symbol_table() -> np.ndarray:
-    """Symbols of the Unicode code points below 0x250; all above are one symbol."""
-    t = np.full(0x251, OTHER, np.uint8)
-    for c in range(0x250):
-        s = chr(c)
-        if "a" <= s <= "z":
-            t[c] = 1 + c - ord("a")
-        elif "A" <= s <= "Z":
-            t[c] = 27
-        elif s.isalpha():
-            t[c] = 28 + c % 8
-        elif s.isdigit():
-            t[c] = 36
-        elif s in "\n\r":
-            t[c] = 38
-        elif s.isspace():
-            t[c] = 37
-        elif s in MARKS:
-            t[c] = MARKS[s]
-        elif s in LOUD:
-            t[c] = 44
-        elif c >= 0x20:
-            t[c] = 46
-    return t
-
-
-TABLE = symbol_table()
-
-
-def symbols(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Symbols of all texts, each after ORDER - 1 start symbols, and where each text begins (and the end)."""
-    joined = "".join(x or "" for x in text.to_pylist())
-    code = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
-    size = np.array([len(x.as_py() or "") for x in text], np.int64)
-    ends = np.cumsum(size)
-    body = TABLE[np.minimum(code, 0x250)]
-    return np.insert(body, np.repeat(ends - size, ORDER - 1), 0), np.concatenate([[0], ends + (ORDER - 1) * np.arange(1, len(size) + 1)])
-
-
-def gram_codes(sym: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Base-48 codes of the ORDER-grams that end at each real symbol, and the number of them in each text."""
-    code = np.zeros(max(0, len(sym) - ORDER + 1), np.int64)
-    for i in range(ORDER):
-        code = code * A + sym[i : len(sym) - ORDER + 1 + i]
-    inside = np.ones(len(code), bool)
-    for d in range(ORDER - 1):  # grams that run over into the next text
-        cut = starts[1:-1] - 1 - d
-        inside[cut[(cut >= 0) & (cut < len(code))]] = False
-    return code[inside], np.diff(starts) - (ORDER - 1)
-
-
-def gram_counts(texts: DataFrame, text_col: str = "text") -> DataFrame:
-    """(gram, n) over all texts; each task sums its own before anything is shuffled."""
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(A**ORDER, np.int64)
-        for b in slices(batches, 0, 4 << 20):
-            codes, _ = gram_codes(*symbols(b.column(0)))
-            total += np.bincount(codes, minlength=A**ORDER)
-        at = np.flatnonzero(total)
-        for i in range(0, len(at), 100_000):
-            own = at[i : i + 100_000]
-            yield pa.RecordBatch.from_arrays([pa.array(own), pa.array(total[own])], names=["gram", "n"])
-
-    return texts.select(text_col).mapInArrow(work, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-
-
-@dataclass(frozen=True)
-class Form:
-    """How n-grams are written: their order, the number of symbols, and the columns without the first or last symbol."""
-
-    order: int
-    symbols: int
-    suffix: Callable[[int], Column]  # of an m-gram
-    context: Callable[[int], Column]
-
-
-CLOSED = Form(ORDER, A, lambda m: F.pmod(F.col("gram"), F.lit(A ** (m - 1))), lambda m: F.floor(F.col("gram") / A).cast("long"))
-OPEN = Form(OPEN_ORDER, POINTS, lambda m: F.substring("gram", 2, m - 1), lambda m: F.substring("gram", 1, m - 1))
-
-
-def kneser_ney_tables(counts: DataFrame, form: Form) -> dict[int, tuple[DataFrame, DataFrame]]:
-    """By order m: (gram, p) of the m-grams seen, interpolated, and (ctx, gamma), the weight that unseen symbols after
-    each seen context give to the lower order.
-
-    Discounts of 1, 2 and 3 or more follow from the counts of counts of each order. The highest order uses counts,
-    lower orders the number of distinct symbols before.
-    """
-    levels = {form.order: staged(counts.select("gram", "n"), "kn-counts")}
-    for m in range(form.order - 1, 0, -1):  # continuation counts: distinct symbols before the gram
-        levels[m] = staged(levels[m + 1].groupBy(form.suffix(m + 1).alias("gram")).agg(F.count("*").alias("n")), f"kn-counts{m}")
-    out: dict[int, tuple[DataFrame, DataFrame]] = {}
-    for m in range(1, form.order + 1):
-        c = levels[m]
-        t = {r["k"]: r["t"] for r in c.filter("n <= 4").groupBy(F.col("n").alias("k")).agg(F.count("*").alias("t")).collect()}
-        t1, t2, t3, t4 = (t.get(k, 0) for k in (1, 2, 3, 4))
-        y = t1 / (t1 + 2 * t2) if t1 and t2 else 0.5
-        d1, d2, d3 = (min(max(d, 0.05), cap) for d, cap in ((1 - 2 * y * t2 / t1 if t1 else 0.5, 0.95), (2 - 3 * y * t3 / t2 if t2 else 1.0, 1.9), (3 - 4 * y * t4 / t3 if t3 else 1.5, 2.9)))
-        totals = c.groupBy(form.context(m).alias("ctx")).agg(F.sum("n").alias("total"), *(F.sum(F.when(k, 1).otherwise(0)).alias(f"t{i}") for i, k in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") >= 3))))
-        totals = staged(totals.select("ctx", "total", ((d1 * F.col("t1") + d2 * F.col("t2") + d3 * F.col("t3")) / F.col("total")).alias("gamma")), f"kn-totals{m}")
-        own = c.withColumn("ctx", form.context(m)).join(totals, "ctx")
-        cut = F.when(F.col("n") == 1, d1).when(F.col("n") == 2, d2).otherwise(d3)
-        own = own.withColumn("seen", (F.col("n") - cut) / F.col("total")).withColumn("suffix", form.suffix(m))
-        if m == 1:
-            p = own.select("gram", (F.col("seen") + F.col("gamma") / form.symbols).alias("p"))
-        else:
-            p = own.join(out[m - 1][0].select(F.col("gram").alias("suffix"), F.col("p").alias("below")), "suffix").select("gram", (F.col("seen") + F.col("gamma") * F.col("below")).alias("p"))
-        out[m] = staged(p, f"kn-p{m}"), totals.select("ctx", "gamma")
-    return out
-
-
-def kneser_ney(counts: DataFrame) -> DataFrame:
-    """The tables of the closed alphabet in one: (m, gram, p) of the m-grams seen, (-m, context, gamma) of their contexts."""
-    out = None
-    for m, (p, gamma) in kneser_ney_tables(counts, CLOSED).items():
-        both = p.select(F.lit(m).alias("m"), "gram", "p").unionByName(gamma.select(F.lit(-m).alias("m"), F.col("ctx").alias("gram"), F.col("gamma").alias("p")))
-        out = both if out is None else out.unionByName(both)
-    return out
-
-
-def dense_logp(model: DataFrame) -> np.ndarray:
-    """Log-probability of every ORDER-gram, seen or not: at most 48**4 numbers, so its size is bounded by the
-    alphabet and not by the corpus."""
-    got = model.toArrow()
-    m, gram, p = (got.column(i).to_numpy() for i in range(3))
-    below = np.full(1, 1.0 / A)
-    for k in range(1, ORDER + 1):
-        gamma = np.ones(A ** (k - 1))
-        own = m == -k
-        gamma[gram[own]] = p[own]
-        # an unseen gram: its context's weight times the probability of the gram without its first symbol
-        rest = np.tile(below, A).reshape(-1, A) if k > 1 else below.reshape(1, 1).repeat(A, axis=1)
-        full = (gamma[:, None] * rest).reshape(-1)
-        own = m == k
-        full[gram[own]] = p[own]
-        below = full
-    return np.log(below).astype(np.float32)
-
-
-def packed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(codes, counts, alphabet, digits): a 64-bit code for the OPEN_ORDER-gram that ends at each code point of the texts,
-    each text's number of code points, the code points by their place in a code, and the codes' base. Codes hold for
-    these texts alone."""
-    raw = "".join(x or "" for x in texts.to_pylist())
-    points = np.frombuffer(raw.encode("utf-32-le"), np.uint32)
-    size = pc.fill_null(pc.utf8_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
-    ends = np.cumsum(size)
-    line = np.insert(points, np.repeat(ends - size, OPEN_ORDER - 1), START)
-    here = np.bincount(line, minlength=POINTS) > 0
-    alphabet = np.flatnonzero(here)
-    line = (np.cumsum(here) - 1).astype(np.int32)[line]
-    at = np.arange(len(points), dtype=np.int32) + np.repeat(((OPEN_ORDER - 1) * np.arange(len(size))).astype(np.int32), size)  # where each gram begins
-    base = len(alphabet)
-    if base**OPEN_ORDER >= 1 << 63:
-        return _packed_wide(line, at, alphabet), size, alphabet, np.array([base])
-    code = np.zeros(len(at), np.int64)
-    for i in range(OPEN_ORDER):
-        code = code * base + line[at + i]
-    return code, size, alphabet, np.array([base])
-
-
-def _packed_wide(line: np.ndarray, at: np.ndarray, alphabet: np.ndarray) -> np.ndarray:
-    """Codes over a large alphabet: the place of the first occurrence of each gram."""
-    ident, base = np.zeros(len(at), np.int64), len(alphabet)
-    for i in range(OPEN_ORDER):
-        _, first, ident = np.unique(ident * base + line[at + i], return_index=True, return_inverse=True)
-    return -1 - first[ident] if len(at) else ident
-
-
-def spelled(codes: np.ndarray, texts: pa.Array, alphabet: np.ndarray, base: int) -> pa.Array:
-    """The grams of packed codes as strings of OPEN_ORDER code points."""
-    if len(codes) and codes.min() < 0:
-        raw = "".join(x or "" for x in texts.to_pylist())
-        size = pc.fill_null(pc.utf8_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
-        begin = np.repeat(np.cumsum(size) - size, size)
-        back = np.arange(1 - OPEN_ORDER, 1) + (-1 - codes)[:, None]
-        points = np.frombuffer(raw.encode("utf-32-le"), np.uint32)
-        rows = np.where(back >= begin[-1 - codes][:, None], points[np.maximum(back, 0)], START)
-    else:
-        rows = np.zeros((len(codes), OPEN_ORDER), np.int64)
-        for i in range(OPEN_ORDER - 1, -1, -1):
-            rows[:, i] = alphabet[codes % base]
-            codes = codes // base
-    line = rows.astype("<u4").tobytes().decode("utf-32-le")
-    return pa.array([line[i : i + OPEN_ORDER] for i in range(0, len(line), OPEN_ORDER)], pa.string())
-
-
-def in_blocks(docs: DataFrame, text_col: str = "text", block_bytes: int = BLOCK) -> DataFrame:
-    """docs with a block and a row number, written once: consecutive rows of at most block_bytes of text, or one row."""
-    at = docs.columns.index(text_col)
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        first = TaskContext.get().partitionId() << 40
-        row, block, held = first, first, 0
-        for whole in batches:
-            for b in slices([whole], at, block_bytes):
-                _, off = utf8(b.column(at))
-                size = int(off[-1] - off[0])
-                if held and held + size > block_bytes:
-                    block, held = block + 1, 0
-                held += size
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array([block] * b.num_rows, pa.int64()), pa.array(np.arange(row, row + b.num_rows))], names=[*b.schema.names, "block", "row"])
-                row += b.num_rows
-
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return staged(docs.mapInArrow(work, f"{fields}, block long, row long"), "quality-blocks")
-
-
-def open_counts(docs: DataFrame) -> DataFrame:
-    """(gram, n, lo, hi) over texts with their row numbers: lo and hi are the least and greatest row that holds the gram."""
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, 1, BLOCK):
-            codes, size, alphabet, base = packed(b.column(1))
-            row = np.repeat(b.column(0).to_numpy(), size)
-            g = pa.table({"code": codes, "row": row}).group_by("code").aggregate([("row", "count"), ("row", "min"), ("row", "max")])
-            grams = spelled(g["code"].to_numpy(), b.column(1), alphabet, int(base[0]))
-            yield pa.RecordBatch.from_arrays([grams, *(g[f"row_{k}"].combine_chunks() for k in ("count", "min", "max"))], names=["gram", "n", "lo", "hi"])
-
-    got = docs.select("row", "text").mapInArrow(work, "gram string, n long, lo long, hi long")
-    return got.groupBy("gram").agg(F.sum("n").alias("n"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-
-
-def gram_probabilities(grams: DataFrame, counts: DataFrame) -> DataFrame:
-    """(gram, p, held) of distinct OPEN_ORDER-grams, seen or not; held is the probability that a trusted text gets, to
-    which the n-grams that no other text holds are unseen. A join has at most one alphabet of rows for a key."""
-    model = kneser_ney_tables(counts, OPEN)
-    sole, wanted = {OPEN_ORDER: counts.select("gram", "lo", "hi")}, {OPEN_ORDER: grams}
-    for m in range(OPEN_ORDER - 1, 0, -1):
-        sole[m] = staged(sole[m + 1].groupBy(OPEN.suffix(m + 1).alias("gram")).agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")), f"kn-sole{m}")
-        wanted[m] = staged(wanted[m + 1].select(OPEN.suffix(m + 1).alias("gram")).distinct(), f"kn-wanted{m}")
-    below = None
-    for m in range(1, OPEN_ORDER + 1):
-        p, gamma = model[m]
-        got = wanted[m].join(p.join(sole[m].filter("lo = hi").select("gram", F.lit(True).alias("sole")), "gram", "left"), "gram", "left")
-        got = got.withColumn("ctx", OPEN.context(m)).join(gamma, "ctx", "left").withColumn("gamma", F.coalesce("gamma", F.lit(1.0)))
-        if below is None:
-            got = got.withColumn("q", F.lit(1.0 / POINTS)).withColumn("q0", F.col("q"))
-        else:
-            got = got.withColumn("suffix", OPEN.suffix(m)).join(below.select(F.col("gram").alias("suffix"), F.col("p").alias("q"), F.col("held").alias("q0")), "suffix")
-        unseen = F.col("p").isNull() | F.coalesce("sole", F.lit(False))
-        got = got.select("gram", F.coalesce("p", F.col("gamma") * F.col("q")).alias("p"), F.when(unseen, F.col("gamma") * F.col("q0")).otherwise(F.col("p")).alias("held"))
-        below = staged(got, f"kn-got{m}")
-    return below
-
-
-def score_open(rows: DataFrame, text_col: str = "text") -> DataFrame:
-    """rows (of in_blocks, with `sure` for trusted texts) without their text, with perplexity (3 decimals; null for null
-    or empty texts) and n_symbols. The model is of the trusted rows. Nothing of it is gathered or broadcast whole."""
-    counts = staged(open_counts(rows.filter("sure")), "quality-counts")
-
-    def distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            block = b.column(0).to_numpy()
-            cut = np.concatenate([[0], np.flatnonzero(np.diff(block)) + 1, [len(block)]])
-            for i, z in zip(cut[:-1].tolist(), cut[1:].tolist()):
-                own = b.column(1).slice(i, z - i)
-                codes, _, alphabet, base = packed(own)
-                grams = spelled(pc.unique(pa.array(codes)).to_numpy(), own, alphabet, int(base[0]))
-                yield pa.RecordBatch.from_arrays([pa.array([block[i]] * len(grams), pa.int64()), grams], names=["block", "gram"])
-
-    pairs = staged(rows.select("block", text_col).mapInArrow(distinct, "block long, gram string"), "quality-grams")  # a block that comes in parts repeats some
-    known = gram_probabilities(staged(pairs.select("gram").distinct(), "quality-distinct"), counts)
-    table = pairs.join(known, "gram").select("block", "gram", F.log("p").cast("float").alias("p"), F.log("held").cast("float").alias("held"))
-    release(rows.sparkSession)
-    rest = [f for f in rows.schema if f.name not in (text_col, "block")]
-
-    def block(texts: pa.Table, table: pa.Table) -> pa.Table:
-        texts = texts.combine_chunks()
-        text = texts[text_col].combine_chunks() if texts.num_rows else pa.array([], pa.string())
-        codes, n, alphabet, base = packed(text)
-        seen = pc.unique(pa.array(codes))
-        grams = spelled(seen.to_numpy(), text, alphabet, int(base[0]))
-        where = pc.index_in(grams, table["gram"].combine_chunks()).to_numpy(zero_copy_only=False)
-        place = pc.index_in(pa.array(codes), seen).to_numpy(zero_copy_only=False)
-        p, held = (table[k].to_numpy()[where] if len(where) else np.zeros(0) for k in ("p", "held"))
-        upto, upto0 = (np.concatenate([[0.0], np.cumsum(x[place], dtype=np.float64)]) if len(place) else np.zeros(1) for x in (p, held))
-        ends = np.cumsum(n)
-        sure = texts["sure"].to_numpy(zero_copy_only=False)
-        total = np.where(sure, upto0[ends] - upto0[ends - n], upto[ends] - upto[ends - n])
-        with np.errstate(invalid="ignore", divide="ignore"):
-            ppl = np.round(np.exp(-total / n), 3)
-        return pa.table([*(texts[f.name] for f in rest), pa.array(ppl, mask=n == 0), pa.array(n)], names=[*(f.name for f in rest), "perplexity", "n_symbols"])
-
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest)
-    return rows.groupBy("block").cogroup(table.groupBy("block")).applyInArrow(block, f"{fields}, perplexity double, n_symbols long")
+from rowfold.llm.common import slices, staged
+from rowfold.llm.kneser_ney import SLICE, gram_counts, kneser_ney, score
 
 
 def trusted(docs: DataFrame, labels: DataFrame, most: int = 2_000_000) -> DataFrame:
-    """docs with `sure`, that a label calls the document good, and no label bad or toxic, and with `bad` and `toxic`, that some label says so. The ids of a label table of
-    up to `most` rows are broadcast; a larger one is joined by shuffle."""
+    """docs with `sure`, that a label calls the document good, and no label bad or toxic, and with `bad` and `toxic`, that
+    some label says so. The ids of a label table of up to `most` rows are broadcast; a larger one is joined by shuffle."""
     good = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).selectExpr("doc_id", "q = 1 and coalesce(t, 0) = 0 as sure", "q = 0 as bad", "t = 1 as toxic")
     small = labels.count() <= most
     return docs.join(F.broadcast(good) if small else good, "doc_id", "left").withColumns({k: F.coalesce(k, F.lit(False)) for k in ("sure", "bad", "toxic")})
@@ -346,19 +40,59 @@ def quantiles(scored: DataFrame, low: float, high: float, by: str = "lang") -> D
     return run.groupBy(by).agg(F.min(F.when(F.col("upto") >= F.lit(low) * F.col("all"), F.col("v"))).alias("lo"), F.min(F.when(F.col("upto") >= F.lit(high) * F.col("all"), F.col("v"))).alias("hi"), F.max("all").alias("n_ref"))
 
 
-def toxicity(rows: DataFrame) -> DataFrame:
-    """(row, toxicity) of the rows that hold a word of labelled toxic texts: the greatest log odds of a word's share of
-    toxic against trusted texts. A labelled text does not count for its own words; two others must hold a word."""
-    word = F.explode(F.array_distinct(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"))).alias("word")
-    known = rows.filter("toxic or sure").select("toxic", "sure", word).filter("word <> ''")
-    seen = known.groupBy("word").agg(F.sum(F.col("toxic").cast("long")).alias("t"), F.sum(F.col("sure").cast("long")).alias("g")).filter("t >= 2")
+def words_of(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """(words, text): lower-case runs of letters and digits of all texts, and the text of each."""
+    lists = pc.split_pattern_regex(pc.utf8_lower(pc.fill_null(texts, "")), r"[^\p{L}\p{N}]+")
+    return lists.flatten(), pc.list_parent_indices(lists).to_numpy()
+
+
+def texts_with(texts: DataFrame, only: list[str] | None = None, text_col: str = "text") -> DataFrame:
+    """(word, n): in how many texts a word stands, for all words or those given; tasks add up their own."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches, 0, SLICE):
+            word, text = words_of(b.column(0))
+            t = pa.table({"word": word, "text": text})
+            if only is not None:
+                t = t.filter(pc.is_in(word, pa.array(only, pa.string())))
+            n = t.filter(pc.not_equal(t["word"], "")).group_by(["word", "text"]).aggregate([]).group_by("word").aggregate([("text", "count")])
+            yield pa.RecordBatch.from_arrays([n["word"].combine_chunks().cast(pa.string()), n["text_count"].combine_chunks()], names=["word", "n"])
+
+    return texts.select(text_col).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+
+
+def toxic_words(rows: DataFrame, share: float, odds: float) -> tuple[list[tuple[str, int, int]], int, int]:
+    """((word, toxic texts, trusted texts) of toxic words, number of toxic texts, of trusted texts).
+
+    A toxic word stands in at least two and the given share of the toxic texts, which bounds their number by the
+    mean number of words of a toxic text over the share; its odds of toxic against trusted texts are at least `odds`."""
     n = rows.agg(F.sum(F.col("toxic").cast("long")).alias("t"), F.sum(F.col("sure").cast("long")).alias("g")).first()
     nt, ng = n["t"] or 0, n["g"] or 0
-    seen = staged(seen.filter(F.col("t") * max(1, ng) > F.col("g") * max(1, nt)), "quality-words")
-    own = rows.select("row", "toxic", "sure", word).join(seen, "word")
-    t, g = F.col("t") - F.col("toxic").cast("long"), F.col("g") - F.col("sure").cast("long")
-    odds = F.log((t + 0.5) / (nt + 1)) - F.log((g + 0.5) / (ng + 1))
-    return own.filter(t >= 2).groupBy("row").agg(F.round(F.max(odds), 2).alias("toxicity"))
+    often = {r["word"]: r["n"] for r in texts_with(rows.filter("toxic")).filter(F.col("n") >= max(2, share * nt)).collect()} if nt else {}
+    good = {r["word"]: r["n"] for r in texts_with(rows.filter("sure"), sorted(often)).collect()} if often and ng else {}
+    out = [(w, t, good.get(w, 0)) for w, t in sorted(often.items())]
+    return [x for x in out if (x[1] + 0.5) * (ng + 1) >= odds * (x[2] + 0.5) * (nt + 1)], nt, ng
+
+
+def word_odds(words: list[tuple[str, int, int]], nt: int, ng: int):
+    """A function of (texts, rows) that gives each text the greatest log odds of its toxic words, or 0. A labelled text does
+    not count for its own words; two others must hold a word."""
+    known = [w for w, _, _ in words]
+    t_all, g_all = (np.array([x[i] for x in words], np.float64) for i in (1, 2))
+
+    def of(texts: pa.Array, rows: pa.RecordBatch) -> pa.Array:
+        out = np.zeros(len(texts))
+        if known:
+            word, text = words_of(texts)
+            at = pc.index_in(word, pa.array(known, pa.string()))
+            hit = pc.is_valid(at).to_numpy(zero_copy_only=False)
+            k, text = at.drop_null().to_numpy(), text[hit]
+            own = {c: rows.column(rows.schema.get_field_index(c)).to_numpy(zero_copy_only=False).astype(np.float64)[text] for c in ("toxic", "sure")}
+            t, g = t_all[k] - own["toxic"], g_all[k] - own["sure"]
+            np.maximum.at(out, text, np.where(t >= 2, np.log((t + 0.5) / (nt + 1)) - np.log((g + 0.5) / (ng + 1)), 0.0))
+        return pa.array(np.round(out, 2))
+
+    return of
 
 
 def length_class(n: Column) -> Column:
@@ -367,12 +101,14 @@ def length_class(n: Column) -> Column:
 
 
 def cuts_of(scored: DataFrame, low: float, high: float, slack: float) -> DataFrame:
-    """(key, lo, hi, n_ref): the quantiles of the trusted rows of each key, widened by slack, but not past the nearest bad row."""
+    """(key, lo, hi, n_ref): the quantiles of the trusted rows of each key, widened by slack and by the uncertainty of a
+    quantile of few rows (1 over the root of their number), but not past the nearest bad row."""
     q = quantiles(scored.filter("sure"), low, high, "key")
     bad = scored.filter("bad and perplexity is not null").select("key", "perplexity").join(q, "key")
     near = bad.groupBy("key").agg(F.max(F.when(F.col("perplexity") < F.col("lo"), F.col("perplexity"))).alias("under"), F.min(F.when(F.col("perplexity") > F.col("hi"), F.col("perplexity"))).alias("over"))
-    lo, hi = F.col("lo") / slack, F.col("hi") * slack
-    return q.join(near, "key", "left").select("key", F.greatest(lo, F.least("lo", F.col("under") + 0.001)).alias("lo"), F.least(hi, F.greatest("hi", F.col("over") - 0.001)).alias("hi"), "n_ref")
+    wide = slack * (1 + 1 / F.sqrt("n_ref"))
+    lo, hi = F.col("lo") / wide, F.col("hi") * wide
+    return q.join(near, "key", "left").select("key", F.greatest(lo, F.least("lo", F.coalesce(F.col("under") + 0.001, lo))).alias("lo"), F.least(hi, F.greatest("hi", F.coalesce(F.col("over") - 0.001, hi))).alias("hi"), "n_ref")
 
 
 def toxic_cuts(scored: DataFrame) -> DataFrame:
@@ -385,34 +121,31 @@ def toxic_cuts(scored: DataFrame) -> DataFrame:
     return run.groupBy("key").agg(F.max_by("v", F.struct("gain", "v")).alias("cut"), F.max("n_ref").alias("n_ref"))
 
 
-def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float = 0.995, slack: float = 1.05, least: int = 50) -> DataFrame:
+def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float = 0.995, slack: float = 1.05, least: int = 50, toxic_share: float = 0.002, toxic_odds: float = 4.0, id_col: str = "doc_id") -> DataFrame:
     """One row per input row: doc_id, lang, n_symbols, perplexity, lo, hi, toxicity, toxic_cut, keep.
 
     The model is trained on all trusted documents. A document is kept if its perplexity lies between the `low` and
     `high` quantiles of the trusted documents in its language and length class, widened on both sides by the factor
-    `slack` or up to the nearest labelled bad document, and if its toxicity is not beyond the cut that best parts the
-    labelled toxic from the trusted documents of its language. A class with fewer than `least` trusted documents uses the cuts of its language,
-    such a language those of all. Rejected are null and empty texts; a null language is a language of its own. Without
-    any trusted document, everything with text is kept. Null or repeated ids keep their rows; further columns are
-    ignored.
+    `slack`, more for few documents, or up to the nearest labelled bad document, and if its toxicity is not beyond the cut that best parts the
+    labelled toxic from the trusted documents of its language. A class with fewer than `least` trusted documents uses
+    the cuts of its language, such a language those of all. toxic_share and toxic_odds: what makes a word toxic.
+    Rejected are null and empty texts; a null language is a language of its own. Without any trusted document,
+    everything with text is kept. Null or repeated ids keep their rows, and rows of one id its label; an empty table gives none;
+    further columns are ignored. n-grams of one shard with equal 64-bit keys, found by chance only, share a probability.
     """
-    src = docs.select("doc_id", "lang", "text")
-    rows = in_blocks(trusted(src, labels))
-    scored = score_open(rows).join(toxicity(rows), "row", "left").withColumn("toxicity", F.coalesce("toxicity", F.lit(0.0)))
-    own, size = F.coalesce("lang", F.lit("?")), length_class(F.col("n_symbols")).cast("string")
-    scored = staged(scored.withColumns({"lang_key": F.concat(own, F.lit("/")), "key": F.concat(own, F.lit("/"), size)}), "quality-scores")
-    labelled = scored.filter("sure or bad or toxic")
-    keyed = labelled.drop("lang_key").unionByName(labelled.withColumn("key", F.col("lang_key")).drop("lang_key")).unionByName(labelled.withColumn("key", F.lit("*")).drop("lang_key"))
-    cuts = {r["key"]: (r["lo"], r["hi"]) for r in cuts_of(keyed, low, high, slack).collect() if r["n_ref"] >= least or r["key"] == "*"}  # some rows per language
-    tox = {r["key"]: r["cut"] for r in toxic_cuts(keyed.filter("key like '%/' or key = '*'")).collect() if r["n_ref"] >= least or r["key"] == "*"}
-
-    def of(table: dict, kind: str, *keys: str) -> Column:
-        if not table:
-            return F.lit(None).cast(kind)
-        put = F.create_map(*[x for k, v in sorted(table.items()) for x in (F.lit(k), F.struct(F.lit(v[0]).alias("lo"), F.lit(v[1]).alias("hi")) if isinstance(v, tuple) else F.lit(v))])
-        return F.coalesce(*(F.try_element_at(put, F.col(k)) for k in keys), F.try_element_at(put, F.lit("*")))
-
-    cut = scored.withColumn("cut", of(cuts, "struct<lo:double,hi:double>", "key", "lang_key")).withColumn("toxic_cut", F.coalesce(of(tox, "double", "lang_key"), F.lit(float("inf"))))
-    cut = cut.withColumn("lo", F.round(F.coalesce(F.col("cut.lo"), F.lit(0.0)), 3)).withColumn("hi", F.round(F.coalesce(F.col("cut.hi"), F.lit(float("inf"))), 3))
+    src = trusted(docs.select(F.col(id_col).alias("doc_id"), "lang", "text"), labels)
+    model = kneser_ney(gram_counts(src.filter("sure")))
+    scored = score(src, model, word_odds(*toxic_words(src, toxic_share, toxic_odds))).withColumnRenamed("extra", "toxicity")
+    own = F.coalesce("lang", F.lit("?"))
+    scored = staged(scored.withColumns({"lang_key": F.concat(own, F.lit("/")), "key": F.concat(own, F.lit("/"), length_class(F.col("n_symbols")).cast("string"))}), "quality-scores")
+    labelled = scored.filter("sure or bad or toxic").select("key", "lang_key", "perplexity", "toxicity", "sure", "bad", "toxic")
+    keyed = labelled.withColumn("key", F.explode(F.array("key", "lang_key", F.lit("*")))).drop("lang_key")
+    cuts = staged(cuts_of(keyed, low, high, slack).filter((F.col("n_ref") >= least) | (F.col("key") == "*")).select("key", "lo", "hi"), "quality-cuts")
+    tox = staged(toxic_cuts(keyed.filter("key like '%/' or key = '*'")).filter((F.col("n_ref") >= least) | (F.col("key") == "*")).select("key", "cut"), "quality-toxic-cuts")
+    for name, table, key, cols in (("own", cuts, "key", ("lo", "hi")), ("lang", cuts, "lang_key", ("lo", "hi")), ("all", cuts, F.lit("*"), ("lo", "hi")), ("lang", tox, "lang_key", ("cut",)), ("all", tox, F.lit("*"), ("cut",))):
+        col = F.col(key) if isinstance(key, str) else key
+        scored = scored.join(table.select(F.col("key").alias("k"), *(F.col(c).alias(f"{name}_{c}") for c in cols)), col == F.col("k"), "left").drop("k")
+    first = lambda c, names, none: F.round(F.coalesce(*(F.col(f"{n}_{c}") for n in names), F.lit(none)), 3)
+    cut = scored.withColumns({"lo": first("lo", ("own", "lang", "all"), 0.0), "hi": first("hi", ("own", "lang", "all"), float("inf")), "toxic_cut": first("cut", ("lang", "all"), float("inf"))})
     keep = F.coalesce(F.col("perplexity").between(F.col("lo"), F.col("hi")) & (F.col("toxicity") <= F.col("toxic_cut")), F.lit(False))
-    return cut.select("doc_id", "lang", "n_symbols", "perplexity", "lo", "hi", "toxicity", "toxic_cut", keep.alias("keep"))
+    return cut.select(F.col("doc_id").alias(id_col), "lang", "n_symbols", "perplexity", "lo", "hi", "toxicity", "toxic_cut", keep.alias("keep"))

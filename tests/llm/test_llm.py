@@ -13,7 +13,7 @@ import pyarrow as pa
 import pytest
 
 import corpus_pipeline
-from rowfold.llm import columnwise, decontaminate, jaccard, pieces, pii, quality, secrets, sharding, shingles, substring_dedup, token_counts, topk
+from rowfold.llm import columnwise, decontaminate, jaccard, kneser_ney, pieces, pii, quality, secrets, sharding, shingles, substring_dedup, token_counts, topk
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, part int, size string, node string, w double"
@@ -437,18 +437,37 @@ def test_decontamination(spark, most):
 
 
 def test_kneser_ney_adds_up_to_one(spark):
-    rng = random.Random(6)
-    docs = spark.createDataFrame([(prose(rng, 50),) for _ in range(40)] + [(None,), ("",)], "text string")
-    logp = quality.dense_logp(quality.kneser_ney(quality.gram_counts(docs)))
-    p = np.exp(logp.astype(np.float64)).reshape(-1, quality.A)
-    assert p.shape[0] == quality.A ** (quality.ORDER - 1) and np.allclose(p.sum(1), 1, atol=1e-3)
-
-
-def test_gram_codes_do_not_cross_texts():
-    sym, starts = quality.symbols(pa.array(["ab", "", None, "c"]))
-    codes, n = quality.gram_codes(sym, starts)
-    a = quality.A
-    assert n.tolist() == [2, 0, 0, 1] and codes.tolist() == [1, a + 2, 3]
+    rng = random.Random(3)
+    words = frame(spark, [(i, prose(rng, 40)) for i in range(20)])
+    model = kneser_ney.kneser_ney(kneser_ney.gram_counts(words)).collect()
+    share, left = ({(r["m"], r["hi"], r["lo"]): r[k] for r in model if r[k] is not None} for k in ("a", "g"))
+    for m in range(1, 6):  # what a context gives to the symbols after it, and to shorter contexts
+        total = Counter()
+        for (length, hi, lo), a in share.items():
+            if length == m:
+                h, w = kneser_ney.context(np.array([hi]), np.array([lo]), m)
+                total[m - 1, int(h[0]), int(w[0])] += a
+        assert total and all(v + left[k] == pytest.approx(1) for k, v in total.items())
+
+
+def test_gram_chain_and_packing(monkeypatch):
+    monkeypatch.setattr(kneser_ney, "WINDOW", 3)  # windows that end within a text
+    texts = pa.array(["abcab", "", None, "c" * 7, "".join(chr(0x4E00 + k) for k in range(9))])
+    found = [(hi[i], lo[i], t) for hi, lo, at, text in kneser_ney.windows(texts) for i, t in zip(at.tolist(), text.tolist())]
+    spell = lambda hi, lo: "".join(chr(x) for x in (hi >> 42, hi >> 21 & kneser_ney.LOW, hi & kneser_ney.LOW, lo >> 21, lo & kneser_ney.LOW))
+    pad = chr(kneser_ney.START) * 4
+    assert [(spell(h, w), t) for h, w, t in found] == [((pad + x)[i : i + 5], t) for t, x in enumerate(texts.to_pylist()) for i in range(len(x or ""))]
+    hi, lo, _ = kneser_ney.distinct(*(np.array([f[k] for f in found]) for k in (0, 1)))
+    levels = kneser_ney.chain(hi, lo)
+    grams = {spell(h, w) for h, w in zip(hi.tolist(), lo.tolist())}
+    for k, m in enumerate(range(5, 0, -1)):
+        longer, shorter = levels[k], levels[k + 1]
+        s, c = kneser_ney.suffix(longer[0], longer[1], m), kneser_ney.context(longer[0], longer[1], m)
+        assert (shorter[0][longer[2]] == s[0]).all() and (shorter[1][longer[3]] == c[1]).all()
+        grams = {g[1:] for g in grams} | {g[:-1] for g in grams}
+        assert len(shorter[0]) == len(grams)
+    counts, h, w, n = kneser_ney.unpack_grams(kneser_ney.pack_grams(np.array([len(hi)]), hi, lo, np.arange(len(hi))), 1, 1)
+    assert counts.tolist() == [len(hi)] and (h == hi).all() and (w == lo).all() and (n == np.arange(len(hi))).all()
 
 
 def test_classifier_on_held_out_documents(spark, empty):
@@ -477,7 +496,7 @@ def test_open_model_tells_scripts_apart_and_matches_brute_force(spark):
     got = {r["doc_id"]: r for r in quality.classify(frame(spark, rows), labels, least=20).collect()}
     assert sum(got[i]["keep"] for i in range(60, 120)) >= 57 and not any(got[i]["keep"] for i in [*range(120, 160), 200, 201, 202])
     # brute force over the same counts
-    k, start = quality.OPEN_ORDER, chr(quality.START)
+    k, start = kneser_ney.ORDER, chr(kneser_ney.START)
     texts = dict(rows)
     seen = Counter(g for i in range(60) for t in [start * (k - 1) + texts[i]] for g in (t[j : j + k] for j in range(len(texts[i]))))
     levels = {k: seen}
@@ -496,7 +515,7 @@ def test_open_model_tells_scripts_apart_and_matches_brute_force(spark):
     def p(g):
         m = len(g)
         if not m:
-            return 1 / quality.POINTS
+            return 1 / kneser_ney.POINTS
         n, all_ = levels[m][g], total[m][g[:-1]]
         return p(g[1:]) if not all_ else ((n - cut[m][min(n, 3) - 1]) if n else 0) / all_ + kinds[m][g[:-1]] / all_ * p(g[1:])
 
