@@ -433,6 +433,27 @@ def test_decontamination(spark, most):
     assert decontaminate.contaminated(frame(spark, rows), b.filter("false"), most).count() == 0
 
 
+@pytest.mark.parametrize("most", [1_000_000, 0])
+def test_decontamination_of_short_items_and_of_ids_that_repeat(spark, most):
+    rng = random.Random(18)
+    items = [(n, prose(rng, n)) for n in (5, 6, 7, 8)]
+    rows, at = [], 0
+    for n, p in items:  # every single change of every item
+        for k in range(n):
+            v = p.split()
+            v[k] = "changed"
+            rows.append((at, prose(rng, 6) + " " + " ".join(v) + " " + prose(rng, 6)))
+            at += 1
+    whole = prose(rng, 16).split()
+    rows += [(900, " ".join(whole[:8])), (900, " ".join(whole[8:]))]  # two texts of one id, each with half of an item
+    halves = [(50, " ".join(whole)), (60, " ".join(whole[:8] + ["other"] * 8)), (60, " ".join(["else"] * 8 + whole[8:]))]
+    rows.append((901, " ".join(whole[:8] + ["third"] + whole[8:])))
+    b = spark.createDataFrame(items + halves, "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): r["matched"] for r in decontaminate.contaminated(frame(spark, rows), b, most).collect()}
+    assert set(got) == overlap_brute(rows, items + halves) and len(got) == 26
+    assert all(got[i, n] == n - 1 for i, n in got)
+
+
 # 10 --------------------------------------------------------------------------------------------------------------------
 
 
