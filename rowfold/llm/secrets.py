@@ -5,11 +5,12 @@ single encoding holds all of it, its longest parts that one encoding holds are
 candidates instead: it is cut at '=' with something behind it, and where '/' or '+'
 meets '-' or '_'. The encoding is inferred from the characters; three tests ask whether it looks like
 uniform draws from that alphabet (chi-squared of the symbol counts, runs about
-the median symbol, lag-one serial correlation). A token that passes them is
-reported only if it is also improbable as text: the likelihood ratio of uniform
-draws against the corpus' own character frequencies is an e-value, which grows
-with length, and a Benjamini-Hochberg cut over all candidates of the same
-encoding and length class bounds the expected share of false reports.
+the median symbol, lag-one serial correlation). The likelihood ratio of uniform
+draws against the corpus' own character frequencies is an e-value against the
+hypothesis that a token is text; it grows with length, and counts as nothing where
+the battery refuses the token. Over all candidates of one encoding and length
+class, the e-values' form of Benjamini and Hochberg's step-up rule bounds the
+expected share of false reports. The battery also judges the base matches' values.
 """
 
 from __future__ import annotations
@@ -119,6 +120,23 @@ def battery(token: str, encoding: str) -> float:
     return min(1.0, 3 * min(p_chi, p_runs, p_ser))
 
 
+def base_values(text: str) -> list[tuple[int, int, int, str]]:
+    """(start, kind, end, value) of the base spans, in order; value is what would be secret."""
+    out = []
+    for s, k, e in sorted(base_spans(text)):
+        out.append((s, k, e, ASSIGN.match(text, s, e)[2] if k == 0 else text[s:e]))
+    return out
+
+
+def base_p(values: list[str]) -> str:
+    """The battery's p-values of values, comma-joined; '-' where no one encoding holds a value or it has no symbols."""
+    out = []
+    for v in values:
+        enc = encoding_of(v) if v.rstrip("=") else None
+        out.append("-" if enc is None else f"{battery(v, enc):.4f}")
+    return ",".join(out)
+
+
 def log_e(token: str, encoding: str, log_q: np.ndarray) -> float:
     """Log likelihood ratio of uniform draws from the encoding against the corpus' character frequencies."""
     body = token.rstrip("=")
@@ -167,10 +185,11 @@ ROW = "base array<struct<start:int,kind:int,end:int>>, cand array<struct<start:i
 
 
 def find_secrets(docs: DataFrame, fdr: float = 0.01, alpha: float = 0.001, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per input row: id, n_assign, n_access, n_hex, base_sha256, spans, n_random.
+    """One row per input row: id, n_assign, n_access, n_hex, base_sha256, spans, n_random, base_p.
 
     fdr: expected share of false reports among reported random tokens, held in each class of encoding and
-    length; alpha: level at which the battery refuses a token. A null text counts as empty (no spans); ids may
+    length; alpha: level at which the battery refuses a token. base_p: the battery's p-value of each base span's value,
+    in order, '-' where it has no single encoding. A null text counts as empty (no spans); ids may
     be null or repeated; an empty table gives no rows; further columns are ignored. No text is cut.
     """
     n = char_counts(docs, text_col)
@@ -178,33 +197,36 @@ def find_secrets(docs: DataFrame, fdr: float = 0.01, alpha: float = 0.001, id_co
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out: dict[str, list] = {k: [] for k in ("n_assign", "n_access", "n_hex", "base_sha256", "base", "cand")}
+            out: dict[str, list] = {k: [] for k in ("n_assign", "n_access", "n_hex", "base_sha256", "base_p", "base", "cand")}
             for text in b.column(1).to_pylist():
                 text = text or ""
-                base = sorted(base_spans(text))
+                values = base_values(text)
+                base = [v[:3] for v in values]
+                out["base_p"].append(base_p([v[3] for v in values]))
                 for i, k in enumerate(("n_assign", "n_access", "n_hex")):
                     out[k].append(sum(x[1] == i for x in base))
                 out["base_sha256"].append(hashlib.sha256(spans_text(base, KINDS).encode()).hexdigest())
                 out["base"].append([dict(zip(("start", "kind", "end"), x)) for x in base])
                 out["cand"].append([dict(zip(("start", "end", "stratum", "bin", "ok"), x)) for x in candidates(text, base, log_q, alpha)])
-            kinds = [pa.int64()] * 3 + [pa.string(), pa.list_(pa.struct([("start", pa.int32()), ("kind", pa.int32()), ("end", pa.int32())])), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("stratum", pa.string()), ("bin", pa.int32()), ("ok", pa.bool_())]))]
+            kinds = [pa.int64()] * 3 + [pa.string()] * 2 + [pa.list_(pa.struct([("start", pa.int32()), ("kind", pa.int32()), ("end", pa.int32())])), pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("stratum", pa.string()), ("bin", pa.int32()), ("ok", pa.bool_())]))]
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(v, t) for v, t in zip(out.values(), kinds))], names=[id_col, *out])
 
     src = docs.select(id_col, text_col)
-    found = staged(src.mapInArrow(scan, f"{id_col} {dict(src.dtypes)[id_col]}, n_assign long, n_access long, n_hex long, base_sha256 string, {ROW}"), "secrets")
+    found = staged(src.mapInArrow(scan, f"{id_col} {dict(src.dtypes)[id_col]}, n_assign long, n_access long, n_hex long, base_sha256 string, base_p string, {ROW}"), "secrets")
     cut = fdr_cuts(found.select(F.explode("cand").alias("c")).select("c.*"), fdr)
     passing = F.filter("cand", lambda c: c["ok"] & F.coalesce(c["bin"] >= F.try_element_at(cut, c["stratum"]), F.lit(False))) if cut is not None else F.filter("cand", lambda c: F.lit(False))
     own = found.withColumn("new", F.transform(passing, lambda c: F.struct(c["start"].alias("start"), F.lit(3).alias("kind"), c["end"].alias("end"))))
     names = F.array(*map(F.lit, KINDS))
     spans = F.transform(F.array_sort(F.concat("base", "new")), lambda x: F.concat_ws(":", F.get(names, x["kind"]), x["start"].cast("string"), x["end"].cast("string")))
-    return own.select(id_col, "n_assign", "n_access", "n_hex", "base_sha256", F.concat_ws(",", spans).alias("spans"), F.size("new").cast("long").alias("n_random"))
+    return own.select(id_col, "n_assign", "n_access", "n_hex", "base_sha256", F.concat_ws(",", spans).alias("spans"), F.size("new").cast("long").alias("n_random"), "base_p")
 
 
 def fdr_cuts(cand: DataFrame, fdr: float):
     """A map column from stratum to the least bin that is reported, or None without candidates.
 
-    1/e bounds the p-value of the hypothesis "this is text"; bins are at most 401 for each of at most 64 strata,
-    so the table that comes to the driver is bounded.
+    Among the m candidates of a stratum, the k of largest e-values are reported for the largest k of which each has at
+    least m / (fdr k); those that the battery refuses have an e-value of 0, so they count in m and never in k. Bins are
+    at most 401 for each of at most 72 strata, so the table that comes to the driver is bounded.
     """
     bins = cand.groupBy("stratum", "bin").agg(F.count("*").alias("n"), F.sum(F.col("ok").cast("long")).alias("n_ok")).collect()
     total: dict[str, int] = {}
@@ -213,7 +235,7 @@ def fdr_cuts(cand: DataFrame, fdr: float):
     cuts, seen = {}, {}
     for r in sorted(bins, key=lambda r: -r["bin"]):
         k = r["stratum"]
-        seen[k] = seen.get(k, 0) + r["n"]
-        if math.exp(-r["bin"] * STEP) <= fdr * seen[k] / total[k]:
+        seen[k] = seen.get(k, 0) + r["n_ok"]
+        if seen[k] and math.exp(r["bin"] * STEP) >= total[k] / (fdr * seen[k]):
             cuts[k] = r["bin"]
     return F.create_map(*[F.lit(x) for kv in sorted(cuts.items()) for x in kv]) if cuts else None

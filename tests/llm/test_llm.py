@@ -355,6 +355,30 @@ def test_secrets_within_assignments_paths_and_digits():
     assert secrets.candidates("x " + num, [], log_q, 0.0)[0][2].startswith("decimal/")
 
 
+def test_unseen_secrets_are_found_and_prose_is_not(spark):
+    """Planted keys of five encodings and three lengths: the share found, and no word of prose reported."""
+    rng = random.Random(21)
+    rows, planted = [], {}
+    for i in range(300):
+        enc = ("HEX", "base32", "base62", "base64", "base64url")[i % 5]
+        key = "".join(rng.choice(secrets.ALPHABETS[enc]) for _ in range((32, 40, 64)[i % 3]))
+        rows.append((i, f"{prose(rng, 30)} key {key} {prose(rng, 30)}"))
+        planted[i] = key
+    rows += [(1000 + i, prose(rng, 40) + " " + "".join(prose(rng, 9).split()) + " " + "ab" * 16 + " " + prose(rng, 9).replace(" ", "-")) for i in range(300)]
+    got = {r["doc_id"]: r for r in secrets.find_secrets(frame(spark, rows)).collect()}
+    whole = [i for i, key in planted.items() if f"random:{dict(rows)[i].index(key)}:{dict(rows)[i].index(key) + len(key)}" in got[i]["spans"]]
+    assert len(whole) >= 0.95 * len(planted)
+    assert sum(got[1000 + i]["n_random"] for i in range(300)) <= 3
+
+
+def test_battery_judges_base_values(spark):
+    rng = random.Random(2)
+    hexes = "".join(rng.choice("0123456789abcdef") for _ in range(40))
+    rows = [(0, f"password = zzzzzzzzzzzzzzzzzzzzzzzzzzzz and {hexes}"), (1, "token: ......"), (2, "nothing")]
+    got = {r["doc_id"]: r["base_p"].split(",") for r in secrets.find_secrets(frame(spark, rows)).collect()}
+    assert float(got[0][0]) < 1e-3 < float(got[0][1]) and got[1] == ["-"] and got[2] == [""]
+
+
 def test_battery_levels():
     rng = random.Random(1)
     p = [secrets.battery("".join(rng.choice("0123456789abcdef") for _ in range(64)), "hex") for _ in range(400)]
