@@ -17,6 +17,7 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -149,7 +150,7 @@ def _extract(batches: Iterator[pa.RecordBatch], id_col: str) -> Iterator[pa.Reco
         yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(v, t) for v, t in zip(out.values(), kinds))], names=[id_col, *names])
 
 
-def score_patterns(edges: DataFrame, rounds: int = 2, trust: float = 0.5) -> DataFrame:
+def score_patterns(edges: DataFrame, rounds: int = 3, trust: float = 0.5) -> DataFrame:
     """edges (pattern, value, kind; kind -1 for no seed) to (pattern, kind, conf, support).
 
     conf = trusted weight / (instances + 1). A value that seeds show with a kind has weight 1 for it; others
@@ -197,3 +198,32 @@ def find_pii(docs: DataFrame, min_conf: float = 0.6, min_support: float = 3.0, i
     out = rows.drop("cand").join(new, "row", "left").withColumn("new", F.coalesce("new", none))
     spans = F.transform(F.array_sort(F.concat("base", "new")), lambda x: F.concat_ws(":", F.get(names, x["kind"]), x["start"].cast("string"), x["end"].cast("string")))
     return out.select(id_col, *(f"n_{k}" for k in KINDS), "base_sha256", F.concat_ws(",", spans).alias("spans"), F.size("new").cast("long").alias("n_found"))
+
+
+def without_spans(text: str, spans: str) -> str:
+    """The text with every span replaced by its kind in angle brackets; of overlapping spans the union, by the first's kind."""
+    out, at, done = [], 0, -1
+    for kind, s, e in (x.split(":") for x in spans.split(",")):
+        if int(s) >= done:
+            out += [text[at : int(s)], f"<{kind}>"]
+        done = at = max(at, int(e))
+    return "".join([*out, text[at:]])
+
+
+def redacted(docs: DataFrame, text_col: str = "text", size_col: str = "n_chars") -> DataFrame:
+    """docs with a column `spans` (as find_pii gives them, or null), without their spans; the length column follows the text.
+    Rows without spans stay as they are."""
+    at, size, spans = (docs.columns.index(c) for c in (text_col, size_col, "spans"))
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            hit = pc.is_valid(b.column(spans)).to_numpy(zero_copy_only=False)
+            cols = list(b.columns)
+            if hit.any():
+                found = b.column(spans).to_pylist()
+                texts = [without_spans(t or "", s) if s else t for t, s in zip(b.column(at).to_pylist(), found)]
+                n = [len(t) if s else k for t, s, k in zip(texts, found, b.column(size).to_pylist())]
+                cols[at], cols[size] = pa.array(texts, pa.string()), pa.array(n, b.schema.field(size).type)
+            yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
+
+    return docs.mapInArrow(work, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema))

@@ -121,8 +121,8 @@ def toxic_cuts(scored: DataFrame) -> DataFrame:
     return run.groupBy("key").agg(F.max_by("v", F.struct("gain", "v")).alias("cut"), F.max("n_ref").alias("n_ref"))
 
 
-def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float = 0.995, slack: float = 1.05, least: int = 50, toxic_share: float = 0.002, toxic_odds: float = 4.0, id_col: str = "doc_id") -> DataFrame:
-    """One row per input row: doc_id, lang, n_symbols, perplexity, lo, hi, toxicity, toxic_cut, keep.
+def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float = 0.995, slack: float = 1.05, least: int = 50, toxic_share: float = 0.002, toxic_odds: float = 4.0, carry: tuple[str, ...] = ()) -> DataFrame:
+    """One row per input row: doc_id, lang, n_symbols, perplexity, lo, hi, toxicity, toxic_cut, keep, and the columns to carry.
 
     The model is trained on all trusted documents. A document is kept if its perplexity lies between the `low` and
     `high` quantiles of the trusted documents in its language and length class, widened on both sides by the factor
@@ -133,19 +133,19 @@ def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float
     everything with text is kept. Null or repeated ids keep their rows, and rows of one id its label; an empty table gives none;
     further columns are ignored. n-grams of one shard with equal 64-bit keys, found by chance only, share a probability.
     """
-    src = trusted(docs.select(F.col(id_col).alias("doc_id"), "lang", "text"), labels)
+    src = trusted(docs.select("doc_id", "lang", "text", *carry), labels)
     model = kneser_ney(gram_counts(src.filter("sure")))
     scored = score(src, model, word_odds(*toxic_words(src, toxic_share, toxic_odds))).withColumnRenamed("extra", "toxicity")
     own = F.coalesce("lang", F.lit("?"))
-    scored = staged(scored.withColumns({"lang_key": F.concat(own, F.lit("/")), "key": F.concat(own, F.lit("/"), length_class(F.col("n_symbols")).cast("string"))}), "quality-scores")
-    labelled = scored.filter("sure or bad or toxic").select("key", "lang_key", "perplexity", "toxicity", "sure", "bad", "toxic")
-    keyed = labelled.withColumn("key", F.explode(F.array("key", "lang_key", F.lit("*")))).drop("lang_key")
+    scored = staged(scored.withColumns({"_lang": F.concat(own, F.lit("/")), "_class": F.concat(own, F.lit("/"), length_class(F.col("n_symbols")).cast("string"))}), "quality-scores")
+    labelled = scored.filter("sure or bad or toxic").select("_class", "_lang", "perplexity", "toxicity", "sure", "bad", "toxic")
+    keyed = labelled.withColumn("key", F.explode(F.array("_class", "_lang", F.lit("*"))))
     cuts = staged(cuts_of(keyed, low, high, slack).filter((F.col("n_ref") >= least) | (F.col("key") == "*")).select("key", "lo", "hi"), "quality-cuts")
     tox = staged(toxic_cuts(keyed.filter("key like '%/' or key = '*'")).filter((F.col("n_ref") >= least) | (F.col("key") == "*")).select("key", "cut"), "quality-toxic-cuts")
-    for name, table, key, cols in (("own", cuts, "key", ("lo", "hi")), ("lang", cuts, "lang_key", ("lo", "hi")), ("all", cuts, F.lit("*"), ("lo", "hi")), ("lang", tox, "lang_key", ("cut",)), ("all", tox, F.lit("*"), ("cut",))):
+    for name, table, key, cols in (("own", cuts, "_class", ("lo", "hi")), ("lang", cuts, "_lang", ("lo", "hi")), ("all", cuts, F.lit("*"), ("lo", "hi")), ("lang", tox, "_lang", ("cut",)), ("all", tox, F.lit("*"), ("cut",))):
         col = F.col(key) if isinstance(key, str) else key
-        scored = scored.join(table.select(F.col("key").alias("k"), *(F.col(c).alias(f"{name}_{c}") for c in cols)), col == F.col("k"), "left").drop("k")
+        scored = scored.join(table.select(F.col("key").alias("_key"), *(F.col(c).alias(f"{name}_{c}") for c in cols)), col == F.col("_key"), "left").drop("_key")
     first = lambda c, names, none: F.round(F.coalesce(*(F.col(f"{n}_{c}") for n in names), F.lit(none)), 3)
     cut = scored.withColumns({"lo": first("lo", ("own", "lang", "all"), 0.0), "hi": first("hi", ("own", "lang", "all"), float("inf")), "toxic_cut": first("cut", ("lang", "all"), float("inf"))})
     keep = F.coalesce(F.col("perplexity").between(F.col("lo"), F.col("hi")) & (F.col("toxicity") <= F.col("toxic_cut")), F.lit(False))
-    return cut.select(F.col("doc_id").alias(id_col), "lang", "n_symbols", "perplexity", "lo", "hi", "toxicity", "toxic_cut", keep.alias("keep"))
+    return cut.select("doc_id", "lang", "n_symbols", "perplexity", "lo", "hi", "toxicity", "toxic_cut", keep.alias("keep"), *carry)

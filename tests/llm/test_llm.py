@@ -11,6 +11,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from rowfold.llm import columnwise, decontaminate, jaccard, kneser_ney, pieces, pii, quality, secrets, sharding, shingles, substring_dedup, token_counts, topk
@@ -609,3 +610,33 @@ def test_pipeline_stages(spark, tmp_path):
     text = spark.read.parquet(f"{tmp_path}/3").filter("doc_id = 44").first()
     assert "<email>" in text["text"] and "a.b@c.de" not in text["text"] and text["n_chars"] == len(text["text"])
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == len(kept[4])
+
+
+def test_redaction_of_spans_that_overlap():
+    assert pii.without_spans("ab 12 cd 34 ef", "ip:3:5,card:4:9,phone:12:14") == "ab <ip>34 <phone>"
+    assert pii.without_spans("x" * 3, "email:0:3") == "<email>"
+
+
+def test_pipeline_of_rows_without_ids_repeated_ids_and_no_rows(spark, tmp_path):
+    rng = random.Random(12)
+    stock = prose(rng, 300).split()
+    item = prose(rng, 30, stock)
+    good = [(i, prose(rng, 120, stock)) for i in range(60)]
+    mail = f"{prose(rng, 90, stock)} mail a.b@c.de now and {prose(rng, 40, stock)}"
+    odd = [(None, prose(rng, 120, stock)), (None, prose(rng, 120, stock)), (None, mail), (None, prose(rng, 100, stock) + " " + item), (70, prose(rng, 120, stock)), (70, prose(rng, 120, stock)), (70, mail + " so"), (71, good[3][1]), (71, good[3][1]), (None, good[4][1])]
+    rows = [*good, *odd, (72, odd[4][1]), (73, "w " * 50000)]
+    frame(spark, rows).withColumn("key", F.lit("clash")).withColumn("spans", F.lit("clash")).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, 1, 0) for i in range(60)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([(0, item)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    of = lambda df: Counter((r["doc_id"], r["text"]) for r in df.collect())
+    kept = of(corpus_pipeline.near_duplicates(spark, docs, str(tmp_path)))
+    assert max(kept.values()) == 1 and set(kept) == set(rows) - {(71, good[3][1]), (None, good[4][1]), (72, odd[4][1]), (70, mail + " so"), (None, mail)} | ({(70, mail + " so")})
+    clean = of(corpus_pipeline.decontamination(spark, docs, str(tmp_path)))
+    assert clean == Counter(rows) - Counter([odd[3]])
+    safe = corpus_pipeline.private_data(spark, docs, str(tmp_path)).collect()
+    assert len(safe) == len(rows) and sum("<email>" in r["text"] for r in safe) == 2 and not any("a.b@c.de" in r["text"] or r["n_chars"] != len(r["text"]) for r in safe)
+    good_only = of(corpus_pipeline.quality(spark, docs, str(tmp_path)))
+    assert not any(i == 73 for i, _ in good_only) and good_only[odd[0]] == 1 and good_only[71, good[3][1]] == 2 and good_only[odd[4]] == 1
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs.filter("false"), str(tmp_path)).count() == 0
