@@ -3,6 +3,10 @@
 A stage takes (spark, docs, sf_dir) and returns a DataFrame; docs has the columns of
 documents, and so have the results of all stages but the last. Each result is
 written as Parquet and read again as the next stage's docs.
+
+Decisions are tied to a row's id and text together, so rows without an id, and unlike
+texts under one id, are each treated by their own text; rows that repeat both
+share a decision. Further columns are dropped; an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -14,58 +18,46 @@ from rowfold.llm import pieces
 from rowfold.llm.common import staged, table
 from rowfold.llm.decontaminate import contaminated
 from rowfold.llm.jaccard import jaccard_groups
-from rowfold.llm.pii import KINDS, find_pii
+from rowfold.llm.pii import find_pii, redacted
 from rowfold.llm.quality import classify
 from rowfold.llm.queries import PIECE_MODEL
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
+def keyed(docs: DataFrame) -> DataFrame:
+    """docs with a key that names a row's id and text, in order of id, without an id last."""
+    key = F.struct(F.col("doc_id").isNull().alias("none"), F.coalesce("doc_id", F.lit(0)).cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"))
+    return docs.select(*COLUMNS).withColumn("key", key)
+
+
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier rejects go, and with them those without text; a null doc_id goes too, since
-    no decision can be tied to it. Repeated rows with one id share their decision: all stay if any is kept."""
-    docs = docs.select(*COLUMNS)
-    kept = classify(docs, table(spark, sf_dir, "labels")).filter("keep").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi").select(*COLUMNS)
+    """Documents that the classifier rejects go, and with them those without text."""
+    docs = keyed(docs)
+    kept = classify(docs, table(spark, sf_dir, "labels"), carry=("key",)).filter("keep").select("key").distinct()
+    return docs.join(kept, "key", "left_semi").select(*COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates the document with the least id stays; of rows that repeat an id, one."""
-    docs = docs.select(*COLUMNS)
-    first = jaccard_groups(docs).filter("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(first, "doc_id", "left_semi").select(*COLUMNS).dropDuplicates(["doc_id"])
+    """Of each group of near duplicates the document with the least id stays; of rows that repeat id and text, one."""
+    docs = keyed(docs)
+    first = jaccard_groups(docs, id_col="key").filter("key = component_id").select("key").distinct()
+    return docs.join(first, "key", "left_semi").dropDuplicates(["key"]).select(*COLUMNS)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that overlap an item of the benchmark go."""
-    docs = docs.select(*COLUMNS)
-    hit = contaminated(docs, table(spark, sf_dir, "benchmark")).select("doc_id").distinct()
-    return docs.join(hit, "doc_id", "left_anti").select(*COLUMNS)
+    docs = keyed(docs)
+    hit = contaminated(docs.select(F.col("key").alias("doc_id"), "text"), table(spark, sf_dir, "benchmark")).select(F.col("doc_id").alias("key")).distinct()
+    return docs.join(hit, "key", "left_anti").select(*COLUMNS)
 
 
 def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every span of personal data becomes its kind in angle brackets; n_chars follows the new text. Where spans overlap,
     their union is replaced, by the kind of the first."""
-    docs = docs.select(*COLUMNS)
-    spans = find_pii(docs).filter("spans <> ''").select("doc_id", "spans")
-    both = docs.join(spans, "doc_id", "left")
-    span = F.transform(
-        F.split("spans", ","),
-        lambda s: F.struct(F.split_part(s, F.lit(":"), F.lit(2)).cast("int").alias("a"), F.split_part(s, F.lit(":"), F.lit(3)).cast("int").alias("z"), F.split_part(s, F.lit(":"), F.lit(1)).alias("k")),
-    )
-    # fold over the spans in order: what has been written so far, and up to where the text has been used
-    start = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
-    fold = F.aggregate(
-        span,
-        start,
-        lambda acc, s: F.struct(
-            F.when(s["a"] >= acc["at"], F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, s["a"] - acc["at"]), F.lit("<"), s["k"], F.lit(">"))).otherwise(acc["out"]).alias("out"),
-            F.greatest(acc["at"], s["z"]).alias("at"),
-        ),
-        lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text") - acc["at"])),
-    )
-    text = F.when(F.col("spans").isNull(), F.col("text")).otherwise(fold)
-    return both.withColumn("text", text).withColumn("n_chars", F.when(F.col("spans").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long"))).select(*COLUMNS)
+    docs = keyed(docs)
+    spans = find_pii(docs, id_col="key").filter("spans <> ''").select("key", "spans").dropDuplicates(["key"])
+    return redacted(docs.join(spans, "key", "left").select(*COLUMNS, "spans")).select(*COLUMNS)
 
 
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
