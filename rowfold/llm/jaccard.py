@@ -29,7 +29,7 @@ from rowfold.llm.shingles import U, mix, set_keys, shingle_sets
 BATCH = 1 << 20
 FREQUENT = 512  # nodes that hold a token before it counts as frequent
 WIDE = 24  # frequent tokens of a prefix beyond which a node is indexed by them singly
-LIST = 4096  # index entries compared in one piece
+GROUP = 512  # index entries of one key on one side of a comparison cell
 BITS = 1024
 
 
@@ -245,17 +245,18 @@ def verified(pairs: DataFrame, nodes: DataFrame, pct: int) -> DataFrame:
     return pairs.join(x, "a").join(y, "b").filter(100 * both >= pct * (F.col("na") + F.col("nb") - both)).select("a", "b")
 
 
-def _pairs_of(key: np.ndarray, node: np.ndarray, n: np.ndarray, alone: np.ndarray, place: np.ndarray, role: np.ndarray, comp: np.ndarray, minor: np.ndarray, chunk: int, bits: np.ndarray, pct: int) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of one index entry in different components that pass all filters. Every minor node is present in every
-    chunk; pairs of two minor nodes are taken in chunk 0 only."""
+def _pairs_of(left: np.ndarray, right: np.ndarray, key: np.ndarray, node: np.ndarray, n: np.ndarray, alone: np.ndarray, place: np.ndarray, role: np.ndarray, comp: np.ndarray, bits: np.ndarray, pct: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of rows of one index entry, one from each side, in different components, that pass all filters. Where both
+    sides are the same rows, each pair is taken once."""
     out_a, out_b = [], []
-    rows = np.flatnonzero(minor)
-    for at in range(0, len(rows), 16):
-        r = rows[at : at + 16]
-        other = comp[r][:, None] != comp[None, :]
-        other &= ~minor[None, :] | ((node[r][:, None] < node[None, :]) & (chunk == 0))
+    once = len(left) == len(right) and (left == right).all()
+    for at in range(0, len(left), 64):
+        r = left[at : at + 64]
+        other = comp[r][:, None] != comp[right][None, :]
+        if once:
+            other &= node[r][:, None] < node[right][None, :]
         i, j = np.nonzero(other)
-        i = r[i]
+        i, j = r[i], right[j]
         swap = (n[i] > n[j]) | ((n[i] == n[j]) & (node[i] > node[j]))
         s, t = np.where(swap, j, i), np.where(swap, i, j)  # s is the smaller set
         need = overlap_needed(n[s], n[t], pct)
@@ -276,30 +277,31 @@ def _pairs_of(key: np.ndarray, node: np.ndarray, n: np.ndarray, alone: np.ndarra
 
 
 def _close_pairs(entries: DataFrame, pct: int) -> DataFrame:
-    """(a, b) from entries (key, chunk, node, n, alone, place, role, comp, minor, bits), sorted by key and chunk."""
+    """(a, b) from entries (key, i, j, g, node, n, alone, place, role, comp, bits), sorted by key, i and j: a cell (i, j) of
+    a key compares its rows of group i with those of group j."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list = []
 
         def done(rows: list) -> pa.RecordBatch:
             t = pa.Table.from_batches(rows)
-            key, chunk, node, n, alone, place, role, comp = (t.column(i).to_numpy() for i in range(8))
-            minor = t.column(8).to_numpy(zero_copy_only=False)
-            bits = np.frombuffer(b"".join(t.column(9).to_pylist()), np.uint8).reshape(len(key), BITS // 8)
-            cuts = np.flatnonzero((np.diff(key) != 0) | (np.diff(chunk) != 0)) + 1
+            key, i, j, g, *cols = (t.column(k).to_numpy() for k in range(10))
+            bits = np.frombuffer(b"".join(t.column(10).to_pylist()), np.uint8).reshape(len(key), BITS // 8)
+            cuts = np.flatnonzero((np.diff(key) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
             a, b = [], []
-            for i, j in zip([0, *cuts], [*cuts, len(key)]):
-                x, y = _pairs_of(key[i:j], node[i:j], n[i:j], alone[i:j], place[i:j], role[i:j], comp[i:j], minor[i:j], int(chunk[i]), bits[i:j], pct)
+            for u, z in zip([0, *cuts], [*cuts, len(key)]):
+                own = [c[u:z] for c in cols]
+                x, y = _pairs_of(np.flatnonzero(g[u:z] == i[u]), np.flatnonzero(g[u:z] == j[u]), key[u:z], *own, bits[u:z], pct)
                 a.append(x)
                 b.append(y)
             a, b = np.concatenate(a), np.concatenate(b)
             both = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0)
             return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
 
-        for batch in batches:  # whole (key, chunk) groups at a time; a group has at most about LIST rows besides its minor ones
-            k, c = np.asarray(batch.column(0)), np.asarray(batch.column(1))
-            cuts = np.flatnonzero((np.diff(k) != 0) | (np.diff(c) != 0))
-            if held and len(k) and (np.asarray(held[-1].column(0))[-1], np.asarray(held[-1].column(1))[-1]) != (k[0], c[0]):
+        for batch in batches:  # whole cells at a time; a cell has at most about 2 GROUP rows
+            cell = np.stack([np.asarray(batch.column(k)).astype(np.int64) for k in range(3)])
+            cuts = np.flatnonzero((np.diff(cell) != 0).any(axis=0))
+            if held and batch.num_rows and [held[-1].column(k)[-1].as_py() for k in range(3)] != cell[:, 0].tolist():
                 yield done(held)
                 held = []
             if len(cuts):
@@ -311,7 +313,7 @@ def _close_pairs(entries: DataFrame, pct: int) -> DataFrame:
         if held:
             yield done(held)
 
-    cols = ["key", "chunk", "node", "n", "alone", "place", "role", "comp", "minor", "bits"]
+    cols = ["key", "i", "j", "g", "node", "n", "alone", "place", "role", "comp", "bits"]
     return entries.select(*cols).mapInArrow(work, "a long, b long")
 
 
@@ -328,11 +330,19 @@ def _links(nodes: DataFrame, pct: int, parts: int) -> tuple[DataFrame, DataFrame
     release(nodes.sparkSession)
     comp = staged(components(first), "jaccard-comps")
     placed = entries.join(comp, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    lists = placed.groupBy("key").agg(F.count("*").alias("size"), F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.struct((F.col("alone") / F.col("n")).alias("s"), "comp")).alias("p")).filter("lo <> hi").select("key", F.col("p.comp").alias("main"), F.ceil(F.col("size") / LIST).cast("int").alias("chunks"))
+    lists = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.struct((F.col("alone") / F.col("n")).alias("s"), "comp")).alias("p"), F.count("*").alias("size")).filter("lo <> hi").select("key", "size", F.col("p.comp").alias("main"))
     live = placed.join(lists, "key").withColumn("minor", F.col("comp") != F.col("main"))
-    own = F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")
-    live = live.withColumn("chunk", F.explode(F.when(F.col("minor"), F.sequence(F.lit(0), F.col("chunks") - 1)).otherwise(F.array(own))))
-    live = live.join(nodes.select("node", "bits"), "node").repartition(parts, "key", "chunk").sortWithinPartitions("key", "chunk")
+    # groups of a key: first those of its minor nodes, then those of its main component; a cell pairs a minor group with one
+    # that is not before it, so no task holds a key and no pair of the main component is formed
+    minors = live.filter("minor").groupBy("key").agg(F.count("*").alias("minors"))
+    live = live.join(minors, "key").withColumns({"few": F.ceil(F.col("minors") / GROUP).cast("int"), "many": F.ceil((F.col("size") - F.col("minors")) / GROUP).cast("int")})
+    deal = F.xxhash64("node")
+    live = live.withColumn("g", F.when(F.col("minor"), F.pmod(deal, F.col("few"))).otherwise(F.col("few") + F.pmod(deal, F.greatest("many", F.lit(1)))).cast("int"))
+    before = F.when(F.col("g") > 0, F.transform(F.sequence(F.lit(0), F.least("g", "few") - 1), lambda k: F.struct(k.alias("i"), F.col("g").alias("j"))))
+    after = F.when(F.col("minor"), F.transform(F.sequence("g", F.col("few") + F.col("many") - 1), lambda k: F.struct(F.col("g").alias("i"), k.alias("j"))))
+    none = F.array().cast("array<struct<i:int,j:int>>")
+    live = live.withColumn("cell", F.explode(F.concat(F.coalesce(before, none), F.coalesce(after, none)))).select("key", "cell.i", "cell.j", "g", "node", "n", "alone", "place", "role", "comp")
+    live = live.join(nodes.select("node", "bits"), "node").repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j")
     second = verified(staged(_close_pairs(live, pct).distinct(), "jaccard-pairs"), nodes, pct)
     return comp, second
 
