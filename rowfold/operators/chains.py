@@ -14,6 +14,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -80,6 +81,38 @@ def viterbi_numpy(e: np.ndarray, trans: np.ndarray) -> tuple[float, list[int]]:
     return float(v.max()), path[::-1]
 
 
+def viterbi_batch(flat: np.ndarray, size: np.ndarray, trans: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(scores, paths one after another) of many chains, whose token scores lie one after another. All chains advance
+    together, the longer ones first, so that those that still run are a slice."""
+    n = len(trans)
+    begin = np.cumsum(size) - size
+    order = np.argsort(-size, kind="stable")
+    begin, length = begin[order], size[order]
+    longest = int(length[0]) if len(length) else 0
+    alive = np.searchsorted(-length, -np.arange(longest), side="left")  # chains with a token at each place
+    v = np.zeros((len(size), n))
+    back = []
+    for t in range(longest):
+        own = alive[t]
+        x = flat[begin[:own] + t]
+        if t:
+            s = v[:own, :, None] + trans[None]
+            b = s.argmax(1)
+            back.append(b.astype(np.int16))
+            x = x + np.take_along_axis(s, b[:, None, :], 1)[:, 0]
+        v[:own] = x
+    label = v.argmax(1)
+    path = np.empty(len(flat), np.int32)
+    for t in range(longest - 1, -1, -1):
+        own = alive[t]
+        path[begin[:own] + t] = label[:own]
+        if t:
+            label[:own] = back[t - 1][np.arange(own), label[:own]]
+    score = np.zeros(len(size))
+    score[order] = v.max(1)
+    return score, path
+
+
 def viterbi_top(e: np.ndarray, trans: np.ndarray, k: int) -> list[tuple[float, list[int]]]:
     """The k best labelings; ties by the lesser last label, then the better rank before."""
     n = len(trans)
@@ -116,19 +149,37 @@ def _per_document(packed: DataFrame, f, schema: str, names: list[str], kinds: li
     return packed.select("doc_id", "e").mapInArrow(work, f"doc_id {kind}, {schema}")
 
 
-def viterbi_kernel(packed: DataFrame, trans: np.ndarray, k: int = 1) -> DataFrame:
-    """(doc_id, rank, score, path), the k best labelings of each document."""
-
-    def best(_, e):
-        return [(r + 1, s, p) for r, (s, p) in enumerate(viterbi_top(e, trans, k))] if k > 1 else [(1, *viterbi_numpy(e, trans))]
+def viterbi_kernel(packed: DataFrame, trans: np.ndarray, k: int = 1, most: int = 1 << 20) -> DataFrame:
+    """(doc_id, rank, score, path), the k best labelings of each document; one without tokens has none. For k = 1 all
+    documents of a batch of up to `most` tokens (or one document) advance together."""
+    if k > 1:
+        best = lambda _, e: [(r + 1, s, p) for r, (s, p) in enumerate(viterbi_top(e, trans, k))]
+        return _per_document(packed, best, "rank int, score double, path array<int>", ["rank", "score", "path"], [pa.int32(), pa.float64(), pa.list_(pa.int32())])
+    kind, n = dict(packed.dtypes)["doc_id"], len(trans)
 
-    return _per_document(packed, best, "rank int, score double, path array<int>", ["rank", "score", "path"], [pa.int32(), pa.float64(), pa.list_(pa.int32())])
-
-
-def viterbi_driver(scores: DataFrame, trans: np.ndarray, longest: int) -> DataFrame:
-    """(doc_id, score, path) by one job a position over all documents; the state table holds each document's label scores
-    and paths and is staged every few rounds."""
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            off = np.asarray(whole.column(1).offsets)
+            at = 0
+            while at < whole.num_rows:
+                to = max(at + 1, int(np.searchsorted(off, off[at] + most, side="right")) - 1)
+                b, at = whole.slice(at, min(to, whole.num_rows) - at), to
+                b = b.filter(pc.fill_null(pc.greater(pc.list_value_length(b.column(1)), 0), False))
+                if not b.num_rows:
+                    continue
+                size = pc.list_value_length(b.column(1)).to_numpy().astype(np.int64)
+                score, path = viterbi_batch(np.asarray(b.column(1).flatten().flatten(), float).reshape(-1, n), size, trans)
+                paths = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(path))
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.ones(len(size), np.int32)), pa.array(score), paths], names=["doc_id", "rank", "score", "path"])
+
+    return packed.select("doc_id", "e").mapInArrow(work, f"doc_id {kind}, rank int, score double, path array<int>")
+
+
+def viterbi_driver(scores: DataFrame, trans: np.ndarray) -> DataFrame:
+    """(doc_id, score, path) by one job a position over all documents, as many as the longest has tokens; the state table
+    holds each document's label scores and paths and is staged every few rounds."""
     n = len(trans)
+    longest = (scores.agg(F.max("pos")).first()[0] or 0) + 1
     state = scores.filter("pos = 0").select("doc_id", F.col("s").alias("v"), F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda j: F.array(j)).alias("paths"))
     for p in range(1, longest):
         step = state.join(scores.filter(F.col("pos") == p).select("doc_id", F.col("s").alias("x")), "doc_id", "left")

@@ -244,9 +244,16 @@ def fit(
     for c in obj.columns:
         validate.columns(df, c)
     src = df.select(*obj.columns)
-    if solver != "gd" and shuffle != "none":
-        src = src.withColumn("__o", F.xxhash64(F.lit(seed), *obj.columns))
-        src = src.repartition("__o").sortWithinPartitions("__o").drop("__o") if mode != "serial" else src.coalesce(1).sortWithinPartitions("__o").drop("__o")
+
+    def dealt(rows: DataFrame, epoch: int) -> DataFrame:
+        """The rows in an order of their hashes that differs from epoch to epoch, dealt anew over the partitions."""
+        rows = rows.withColumn("__o", F.xxhash64(F.lit(seed), F.lit(epoch), *obj.columns))
+        return rows.repartition("__o").sortWithinPartitions("__o").drop("__o") if mode != "serial" else rows.coalesce(1).sortWithinPartitions("__o").drop("__o")
+
+    if shuffle not in ("once", "epoch", "none"):
+        raise validate.InputError("UNKNOWN_SHUFFLE", f"no order {shuffle!r}", "once, epoch or none")
+    if solver != "gd" and shuffle == "once":
+        src = dealt(src, 0)
     src = src.persist()
     w = obj.start() if start is None else np.array(start, float)
     log = IterationLog()
@@ -278,7 +285,8 @@ def fit(
         size = batch if solver == "minibatch" else 1
         steps = stepsize or Step.decay(0.1, 0.5)
         for i in range(1, max_iter + 1):
-            r = run_fold(src, _ChainFold(obj, w, steps(i), size, mode == "average"), obj.columns, mode="serial" if mode == "serial" else "tree").first()
+            own = dealt(src, i) if shuffle == "epoch" else src
+            r = run_fold(own, _ChainFold(obj, w, steps(i), size, mode == "average"), obj.columns, mode="serial" if mode == "serial" else "tree").first()
             w = np.array(r["w"])
             log.append(i, loss=r["loss"] / r["n"] + obj.penalty(w), step=steps(i))
             if stop(log):
@@ -297,13 +305,15 @@ def minimise_scalar(f_grad: Callable[[float], float], x: float, stepsize: Callab
     return path
 
 
-def low_rank(df: DataFrame, i: str, j: str, v: str, rank: int, mu: float = 0.05, epochs: int = 10, step: float = 0.05, blocks: int = 4, seed: int = 0) -> FitResult:
-    """Factors of a table of observed cells by incremental steps. Rows and columns fall into blocks x blocks strata; the
+def low_rank(df: DataFrame, i: str, j: str, v: str, rank: int, mu: float = 0.05, epochs: int = 10, step: float = 0.05, blocks: int | None = None, seed: int = 0, block_cells: int = 500_000) -> FitResult:
+    """Factors of a table of observed cells by incremental steps. Rows and columns fall into blocks x blocks strata (so
+    many that a stratum has about block_cells cells, at least 4 x 4); the
     strata of a diagonal share no factor row, so each diagonal is one parallel sub-epoch. Not convex: descent is all
     that can be expected. The factors stay tables (side, key, block, f)."""
     from rowfold.core.driver import stage
 
     cells = df.select(F.col(i).cast("string").alias("i"), F.col(j).cast("string").alias("j"), F.col(v).cast("double").alias("v")).dropna()
+    blocks = blocks or max(4, math.ceil(math.sqrt(cells.count() / block_cells)))
     cells = stage(cells.withColumn("bi", F.pmod(F.xxhash64("i"), F.lit(blocks)).cast("int")).withColumn("bj", F.pmod(F.xxhash64("j"), F.lit(blocks)).cast("int")), "cells")
     first = lambda c: F.transform(F.sequence(F.lit(1), F.lit(rank)), lambda k: (F.pmod(F.xxhash64(F.lit(seed), F.lit(c), "key", k), F.lit(1000)) / 1000.0 - 0.5) * 0.2 + 0.1)
     L = cells.groupBy(F.col("i").alias("key"), F.col("bi").alias("b")).agg(F.count("*").alias("n")).withColumn("f", first("i"))

@@ -118,7 +118,7 @@ def seed(df: DataFrame, x: str, k: int, method: str = "random", seed: int = 0, i
             if not total:
                 break
             # expected oversample * k rows a round, so what comes to the driver is bounded by the model
-            chosen += [np.array(r["x"]) for r in dist.filter(draw(i + 1) < oversample * k * F.col("w") / total).select("x").limit(int(20 * oversample * k)).collect()]
+            chosen += [np.array(r["x"]) for r in dist.filter(draw(i + 1) < oversample * k * F.col("w") / total).select("x").collect()]
         c = np.unique(np.array(chosen), axis=0)
         weight = np.array([r["n"] for r in sorted(run_fold(src, LloydFold(c, None, "sqeuclid"), ["x"]).collect(), key=lambda r: r["centre"])], float)
         picks = [int(weight.argmax())]
@@ -184,14 +184,22 @@ def kmeans(
 
             def fused(batches: Iterator[pa.RecordBatch], now=now) -> Iterator[pa.RecordBatch]:
                 total, count, sse = np.zeros(now.shape), np.zeros(len(now), np.int64), 0.0
-                for b in relabel(batches, now):
-                    x, at = matrix(b.column(1)), np.asarray(b.column(2))
+                id_type = None
+                for b in batches:
+                    id_type = b.column(0).type
+                    if not b.num_rows:
+                        continue
+                    x = matrix(b.column(1))
+                    at, dist = nearest(x, now, distance)
                     np.add.at(total, at, x)
                     count += np.bincount(at, minlength=len(now))
-                    sse += float(((x - now[at]) ** 2).sum())
-                    yield pa.RecordBatch.from_arrays([*b.columns, pa.nulls(b.num_rows, pa.int64()), pa.nulls(b.num_rows, pa.float64())], names=[*b.schema.names, "n", "sse"])
+                    sse += float(dist.sum())
+                    rows_out = [b.column(0), b.column(1), pa.array(at.astype(np.int32)), pa.array(at != np.asarray(b.column(2))), pa.nulls(len(x), pa.int64()), pa.nulls(len(x), pa.float64())]
+                    yield pa.RecordBatch.from_arrays(rows_out, names=["id", "x", "cid", "changed", "n", "sse"])
                 keep = np.flatnonzero(count)
-                yield pa.RecordBatch.from_arrays([pa.nulls(len(keep), pa.from_numpy_dtype(np.int64) if kind == "bigint" else pa.int32()), pa.array(total[keep].tolist(), pa.list_(pa.float64())), pa.array(keep.astype(np.int32)), pa.nulls(len(keep), pa.bool_()), pa.array(count[keep]), pa.array(np.where(np.arange(len(keep)) == 0, sse, 0.0))], names=["id", "x", "cid", "changed", "n", "sse"])
+                if not len(keep):
+                    return
+                yield pa.RecordBatch.from_arrays([pa.nulls(len(keep), id_type), pa.array(total[keep].tolist(), pa.list_(pa.float64())), pa.array(keep.astype(np.int32)), pa.nulls(len(keep), pa.bool_()), pa.array(count[keep]), pa.array(np.where(np.arange(len(keep)) == 0, sse, 0.0))], names=["id", "x", "cid", "changed", "n", "sse"])
 
             full = stage(rows.mapInArrow(fused, f"id {kind}, x array<double>, cid int, changed boolean, n long, sse double"), "kmeans-fused")
             part = full.filter("n is not null")

@@ -88,7 +88,7 @@ def _emissions(tokens):
 
 
 #: Whole short texts, all rows of their tables: passages for the forms that cost a job a token, and part names where the
-#: exact answer lists every labeling.
+#: exact answer lists every labeling. LONGEST bounds the recursion, which fails on a longer text.
 LONGEST = 64
 
 
@@ -113,7 +113,7 @@ def viterbi_kernel(spark, sf):
 
 
 def viterbi_driver(spark, sf):
-    return _best(C.viterbi_driver(_scores(spark, sf), TRANS, LONGEST))
+    return _best(C.viterbi_driver(_scores(spark, sf), TRANS))
 
 
 def viterbi_window(spark, sf):
@@ -125,8 +125,15 @@ def viterbi_recursive(spark, sf):
 
 
 def viterbi_all_documents(spark, sf):
-    """Every whole document by the numpy kernel, one row a document."""
-    return _best(C.viterbi_kernel(C.pack(_emissions(_tokens(spark, sf))), TRANS))
+    """Every whole document by the numpy kernel, one row a document. A text's tokens stay in its row, so nothing is shuffled."""
+    toks = F.regexp_extract_all("text", F.lit(r"([^ \n\t\r]+)"), F.lit(1))
+    row = lambda k: F.array(*map(F.lit, map(float, EMIT[k])))
+    e = F.transform(toks, lambda t: F.when(_shape_tag(t) == "lower", row("lower")).when(_shape_tag(t) == "title", row("title")).otherwise(row("other")))
+    return _best(C.viterbi_kernel(table(spark, sf, "documents").select("doc_id", e.alias("e")), TRANS))
+
+
+_STEP = ", ".join(f"'e{j}': e.e{j} + greatest({', '.join(f'v.e{k} + {int(TRANS[k, j])}' for k in range(LABELS))})" for j in range(LABELS))
+_EMITS = ", ".join(f"'e{j}': (case {{c}} when 'lower' then {EMIT['lower'][j]} when 'title' then {EMIT['title'][j]} else {EMIT['other'][j]} end)::bigint" for j in range(LABELS))
 
 
 def _emit_sql() -> str:
@@ -146,6 +153,13 @@ r(doc_id, pos, v0, v1, v2) as (select doc_id, pos, e0, e1, e2 from e where pos =
 select doc_id, arg_max(greatest(v0, v1, v2), pos)::bigint as score from r group by 1"""
 
 
+ALL_VITERBI_SQL = (
+    "with t as (select doc_id, list_filter(string_split_regex(text, '[ \\n\\t\\r]+'), lambda w: w <> '') as toks from documents), "
+    f"e as (select doc_id, list_transform(toks, lambda token: {{{{{_EMITS.format(c=_SHAPE_SQL)}}}}}) as es from t where len(toks) > 0), ".replace("{{", "{").replace("}}", "}")
+    + f"r as (select doc_id, list_reduce(es, lambda v, e: {{{_STEP}}}) as v from e) select doc_id, greatest(v.e0, v.e1, v.e2)::bigint as score from r"
+)
+
+
 def viterbi_topk(spark, sf):
     """Scores of the three best labelings."""
     return C.viterbi_kernel(C.pack(_names(spark, sf)), TRANS, 3).select("doc_id", "rank", F.col("score").cast("long").alias("score"))
@@ -165,7 +179,7 @@ def viterbi_paths_agree(spark, sf):
     s = _scores(spark, sf).persist()
     base = C.viterbi_kernel(C.pack(s), TRANS).select("doc_id", "path", "score")
     out = []
-    for name, df in (("fold", C.viterbi_fold(C.pack(s), TRANS)), ("driver", C.viterbi_driver(s, TRANS, LONGEST)), ("window", C.viterbi_window(s, TRANS))):
+    for name, df in (("fold", C.viterbi_fold(C.pack(s), TRANS)), ("driver", C.viterbi_driver(s, TRANS)), ("window", C.viterbi_window(s, TRANS))):
         j = base.join(df.select("doc_id", F.col("path").alias("p2"), F.col("score").alias("s2")), "doc_id")
         out.append((name, j.filter((F.col("score") != F.col("s2")) | (F.col("path") != F.col("p2"))).count() == 0))
     s.unpersist()
@@ -377,7 +391,7 @@ QUERIES = {f.__name__: f for f in (
 
 ORACLE = {
     "feat_regex": FEAT_REGEX_SQL, "feat_dict": FEAT_DICT_SQL, "feat_position": FEAT_POS_SQL, "feat_word": FEAT_WORD_SQL, "feat_edge": FEAT_EDGE_SQL, "features_all": FEAT_ALL_SQL,
-    **{f"viterbi_{v}": VITERBI_SQL for v in ("fold", "kernel", "driver", "window", "recursive")}, "viterbi_topk": TOPK_SQL,
+    **{f"viterbi_{v}": VITERBI_SQL for v in ("fold", "kernel", "driver", "window", "recursive")}, "viterbi_all_documents": ALL_VITERBI_SQL, "viterbi_topk": TOPK_SQL,
     "viterbi_paths_agree": "select unnest(['fold', 'driver', 'window']) as variant, true as agrees", "forward_backward": LOGZ_SQL,
     "mcmc_gibbs": "select true as near_exact", "mcmc_mh": "select true as near_exact", "mcmc_chains": "select true as mixed", "mcmc_coordination": "select true as driver_near, true as window_near",
     "crf_train": "select true as beats_majority, true as above_85, true as loss_falls", "hmm_counts": HMM_SQL, "pos_tags": POS_SQL, "ner_entities": NER_SQL,
