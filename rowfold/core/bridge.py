@@ -2,8 +2,58 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import Column
+from pyspark.sql import functions as F
+
+from rowfold.core.validate import InputError
+
+_CALLBACKS: dict[str, tuple[Callable, str]] = {}
+
+
+def register(name: str, schema: str) -> Callable[[Callable], Callable]:
+    """Name a function of numpy blocks, one for each argument column, whose result has a row for each of theirs; schema is
+    the result's type."""
+
+    def add(f: Callable) -> Callable:
+        _CALLBACKS[name] = (f, schema)
+        return f
+
+    return add
+
+
+def lookup(name: str) -> tuple[Callable, str]:
+    if name not in _CALLBACKS:
+        raise InputError("UNKNOWN_CALLBACK", f"no function is registered as {name!r}", ", ".join(sorted(_CALLBACKS)) or "none is")
+    return _CALLBACKS[name]
+
+
+def apply_named(name: str, *args: Column | str) -> Column:
+    """A registered function over columns, batch by batch: arrays of numbers come as (n, d) blocks, numbers as vectors."""
+    f, schema = lookup(name)
+
+    @F.arrow_udf(schema)
+    def call(*cols: pa.Array) -> pa.Array:
+        out = np.asarray(f(*[matrix(c) if pa.types.is_list(c.type) else vector(c) for c in cols]))
+        return pa.array(out) if out.ndim == 1 else pa.array(list(out))
+
+    return call(*args)
+
+
+@register("nearest_column", "bigint")
+def nearest_column(x: np.ndarray, flat: np.ndarray) -> np.ndarray:
+    """The nearest column of a matrix for each row's vector; the matrix comes column by column."""
+    d = x.shape[1]
+    m = flat.reshape(len(x), -1, d)
+    return np.round(((m - x[:, None, :]) ** 2).sum(2), 10).argmin(1)
+
+
+@register("dot", "double")
+def dot(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    return (x * y).sum(1)
 
 
 def matrix(column: pa.Array, width: int | None = None) -> np.ndarray:

@@ -27,8 +27,8 @@ from rowfold.llm.shingles import U, mix
 ORDER = 5
 START = 0x10FFFF  # no character; stands ORDER - 1 times before a text
 POINTS = 0x110000
-SLICE = 4 << 20  # bytes of text, or a single text
-WINDOW = 4 << 20  # code points looked at together
+SLICE = 2 << 20  # bytes of text, or a single text
+WINDOW = 2 << 20  # code points looked at together
 BLOCK = 16 << 20  # bytes of text that share their questions
 PRIME = 2147483647
 SHARD_ROWS = 1 << 20  # rows of the model in a shard
@@ -441,6 +441,6 @@ def score(docs: DataFrame, model: DataFrame, extra: Callable[[pa.Array, pa.Recor
     known = model.select(shard_sql(parts).alias("part"), F.lit(0).alias("kind"), "m", "hi", "lo", "a", "g", "sole", none("long").alias("block"), none("binary").alias("data"))
     asked = asked.select("part", F.lit(1).alias("kind"), none("int").alias("m"), *(none("long").alias(k) for k in ("hi", "lo")), *(none("double").alias(k) for k in ("a", "g")), none("boolean").alias("sole"), "block", "data")
     answers = known.unionByName(asked).repartition(parts, "part").sortWithinPartitions("part", "kind").mapInArrow(_answer, "block long, part int, data binary")
-    both = answers.unionByName(docs.mapInArrow(payloads, "block long, part int, data binary")).repartition(parts, "block").sortWithinPartitions("block", "part")
+    both = answers.unionByName(docs.mapInArrow(payloads, "block long, part int, data binary")).repartition(4 * parts, "block").sortWithinPartitions("block", "part")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name != text_col)
     return both.mapInArrow(meet, f"{fields}, perplexity double, n_symbols long" + (f", extra {extra_type}" if extra else ""))

@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator, Sequence
 from functools import reduce
-from collections.abc import Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -90,7 +92,8 @@ def feature_ids(features: DataFrame) -> DataFrame:
 def qgrams(c: Column, q: int = 3, pad: bool = False, lower: bool = True) -> Column:
     """All substrings of q characters in order; padded, each word gets q - 1 blanks before and one after."""
     s = F.lower(c) if lower else c
-    one = lambda w: F.when(F.length(w) >= q, F.transform(F.sequence(F.lit(1), F.length(w) - q + 1), lambda i: F.substring(w, i, F.lit(q)))).otherwise(F.array().cast("array<string>"))
+    # looking ahead from every place is one pass over the text; a substring by its place would count from the start each time
+    one = lambda w: F.regexp_extract_all(w, F.lit(rf"(?s)(?![\uDC00-\uDFFF])(?=(.{{{q}}}))"), F.lit(1))
     if not pad:
         return one(s)
     words = F.filter(F.split(s, r"[^\p{L}\p{N}]+"), lambda w: w != "")
@@ -102,34 +105,72 @@ def gram_similarity(a: Column, b: Column) -> Column:
     return F.try_divide(F.size(F.array_intersect(a, b)), F.size(F.array_union(a, b)))
 
 
+def gram_dice(a: Column, b: Column) -> Column:
+    """Dice coefficient of two gram arrays."""
+    return F.try_divide(2 * F.size(F.array_intersect(a, b)), F.size(F.array_distinct(a)) + F.size(F.array_distinct(b)))
+
+
+def within_edits(a: Column, b: Column, most: int) -> Column:
+    """Whether two strings are at most `most` edits apart; the length alone decides where it can."""
+    return (F.abs(F.length(a) - F.length(b)) <= most) & (F.levenshtein(a, b, most) >= 0)
+
+
 def build_qgram_index(df: DataFrame, id_col: str, text_col: str, q: int = 3) -> DataFrame:
     """(gram, doc_id): distinct within a text before anything is shuffled. Save it clustered by gram to prune reads."""
     return df.select(F.col(id_col).alias("doc_id"), F.explode(F.array_distinct(qgrams(F.col(text_col), q))).alias("gram")).select("gram", "doc_id")
 
 
+def _window_best(text: str, grams: frozenset, q: int, sizes: tuple[int, ...], need: int) -> float:
+    """The best similarity of a text's windows of some numbers of words with a query's grams, or 0 where no window shares
+    `need` of them. Windows are of words parted by one blank, lower-cased."""
+    words = text.lower().split()
+    t = " ".join(words)
+    n = len(t) - q + 1
+    if n <= 0 or not words:
+        return 0.0
+    upto = np.zeros(n + 1, np.int32)  # places of the query's grams, of which a window holds no fewer than distinct ones
+    np.cumsum(np.fromiter((t[i : i + q] in grams for i in range(n)), bool, n), out=upto[1:])
+    length = np.fromiter(map(len, words), np.int64, len(words))
+    start = np.cumsum(length + 1) - length - 1
+    best, seen = 0.0, set()
+    for k in sizes:
+        k = min(k, len(words))
+        if k in seen:
+            continue
+        seen.add(k)
+        a = start[: len(words) - k + 1]
+        z = np.maximum(start[k - 1 :] + length[k - 1 :] - q + 1, a)
+        for i in np.flatnonzero(upto[np.minimum(z, n)] - upto[np.minimum(a, n)] >= need).tolist():
+            own = {t[j : j + q] for j in range(int(a[i]), int(z[i]))}
+            shared = len(own & grams)
+            best = max(best, shared / (len(own) + len(grams) - shared))
+    return best
+
+
 def approx_match(df: DataFrame, id_col: str, text_col: str, query: str, threshold: float = 0.3, scope: str = "document", q: int = 3) -> DataFrame:
     """(doc_id, similarity) of texts that match the query approximately. document: similarity of the whole gram sets;
-    window: the best of all windows of as many words as the query has, give or take one. Candidates share enough grams."""
+    window: the best of all windows of as many words as the query has, give or take one. Candidates share enough grams;
+    only windows with enough of them are compared."""
     grams = sorted({query.lower()[i : i + q] for i in range(len(query) - q + 1)})
     lit = F.array(*map(F.lit, grams)) if grams else F.array().cast("array<string>")
     src = df.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("t"))
-    own = F.array_distinct(qgrams(F.col("t"), q))
     if scope == "document":
-        s = src.withColumn("g", own).withColumn("shared", F.size(F.array_intersect("g", lit)))
+        s = src.withColumn("g", F.array_distinct(qgrams(F.col("t"), q))).withColumn("shared", F.size(F.array_intersect("g", lit)))
         need = F.ceil(threshold * (F.size("g") + len(grams)) / (1 + threshold))
         return s.filter(F.col("shared") >= need).select("doc_id", gram_similarity(F.col("g"), lit).alias("similarity")).filter(F.col("similarity") >= threshold)
     k = len(query.split())
-    cand = src.filter(F.size(F.array_intersect(own, lit)) >= math.ceil(threshold * len(grams)))
-    words = F.split(F.trim(F.col("t")), r"\s+")
-    each = cand.withColumn("w", words).select("doc_id", "w", F.explode(F.array(*[F.lit(n) for n in (k - 1, k, k + 1) if n > 0])).alias("n"))
-    each = each.select("doc_id", "w", "n", F.explode(F.sequence(F.lit(1), F.greatest(F.size("w") - F.col("n") + 1, F.lit(1)))).alias("i"))
-    each = each.select("doc_id", F.lower(F.array_join(F.slice("w", F.col("i"), F.col("n")), " ")).alias("part"))
-    # a match lacks fewer grams than its prefix of the rarest ones holds, so a window without any of these is none
-    held = cand.agg(*[F.sum(F.lower("t").contains(g).cast("long")).alias(f"g{i}") for i, g in enumerate(grams)]).first()
-    rare = [g for _, g in sorted((held[f"g{i}"] or 0, g) for i, g in enumerate(grams))][: len(grams) - math.ceil(threshold * len(grams)) + 1]
-    each = each.filter(reduce(lambda a, b: a | b, [F.col("part").contains(g) for g in rare], F.lit(False)))
-    part = F.array_distinct(qgrams(F.col("part"), q))
-    return each.select("doc_id", gram_similarity(part, lit).alias("s")).groupBy("doc_id").agg(F.max("s").alias("similarity")).filter(F.col("similarity") >= threshold)
+    least, sizes = math.ceil(threshold * len(grams)), tuple(n for n in (k - 1, k, k + 1) if n > 0)
+    low = F.lower("t")
+    held = reduce(lambda a, b: a + b, [low.contains(g).cast("int") for g in grams if " " not in g], F.lit(0))  # without blanks, whose runs a window shortens
+    cand = src.filter(F.col("t").isNotNull() & (held >= least - sum(" " in g for g in grams)))
+    wanted = frozenset(grams)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            best = [_window_best(t, wanted, q, sizes, max(1, least)) for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(best, pa.float64())], names=["doc_id", "similarity"])
+
+    return cand.mapInArrow(work, f"doc_id {dict(cand.dtypes)['doc_id']}, similarity double").filter(F.col("similarity") >= threshold)
 
 
 def approx_join(left: DataFrame, right: DataFrame, left_id: str, left_text: str, right_id: str, right_text: str, threshold: float, q: int = 3) -> DataFrame:

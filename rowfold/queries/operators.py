@@ -5,12 +5,15 @@ from __future__ import annotations
 import os
 import tempfile
 
+import numpy as np
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from rowfold.core import validate
+from rowfold.core.bridge import apply_named
 from rowfold.core.driver import counted_iterations, recursive, shared_dir, stage, windowed_fold
-from rowfold.operators.kmeans import nearest_centre
+from rowfold.functions.portable import carter_wegman, carter_wegman_sql
+from rowfold.operators.kmeans import LloydFold, nearest_centre
 from rowfold.operators.ols import OlsFold, ols
 from rowfold.queries.base import table
 from rowfold.sources import io
@@ -236,6 +239,42 @@ def counted_series(spark, sf):
     return counted_iterations(spark, 10, lambda trials: n.join(F.broadcast(trials), F.lit(True)).groupBy("trial").agg(F.sum(F.col("n_nationkey") * (F.col("trial") + 1)).cast("long").alias("s")))
 
 
+@query("select o_orderkey, ntile(5) over w as nt, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd, nth_value(o_orderkey, 2) over (w rows between unbounded preceding and unbounded following) as second, first_value(o_orderkey) over w as lo, last_value(o_orderkey) over (w rows between unbounded preceding and unbounded following) as hi, dense_rank() over w as dr from orders window w as (partition by o_custkey order by o_totalprice, o_orderkey)")
+def win_distribution(spark, sf):
+    w = Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return table(spark, sf, "orders").select(
+        "o_orderkey", F.ntile(5).over(w).alias("nt"), _r(F.percent_rank().over(w), 6).alias("pr"), _r(F.cume_dist().over(w), 6).alias("cd"), F.nth_value("o_orderkey", 2).over(whole).alias("second"),
+        F.first("o_orderkey").over(w).alias("lo"), F.last("o_orderkey").over(whole).alias("hi"), F.dense_rank().over(w).alias("dr"),
+    )
+
+
+# subqueries ----------------------------------------------------------------------------------------------------------
+
+
+def _views(spark, sf, *names):
+    for n in names:
+        table(spark, sf, n).createOrReplaceTempView(f"rf_{n}")
+
+
+def _subquery(name: str, tables: tuple[str, ...], sql: str):
+    """The same text for both engines, over views of the tables."""
+
+    def q(spark, sf):
+        _views(spark, sf, *tables)
+        return spark.sql(sql.format(**{t: f"rf_{t}" for t in tables}))
+
+    q.__name__ = name
+    return query(sql.format(**{t: t for t in tables}))(q)
+
+
+_subquery("sub_exists", ("customer", "orders"), "select c_custkey from {customer} c where exists (select 1 from {orders} o where o.o_custkey = c.c_custkey and o.o_totalprice > 200000) and not exists (select 1 from {orders} o where o.o_custkey = c.c_custkey and o.o_orderstatus = 'P')")
+_subquery("sub_in", ("part", "lineitem"), "select p_partkey, p_brand from {part} where p_partkey in (select l_partkey from {lineitem} where l_quantity >= 49) and p_size not in (select p_size from {part} where p_retailprice < 905)")
+_subquery("sub_scalar", ("orders", "customer"), "select o_orderkey from {orders} o where o_totalprice > (select avg(o2.o_totalprice) * 1.2 from {orders} o2 where o2.o_custkey = o.o_custkey)")
+_subquery("sub_select_list", ("customer", "orders"), "select c_custkey, (select count(*) from {orders} o where o.o_custkey = c.c_custkey) as n from {customer} c")
+_subquery("sub_lateral", ("nation", "customer"), "select n.n_nationkey, t.c_custkey from {nation} n, lateral (select c_custkey from {customer} c where c.c_nationkey = n.n_nationkey order by c_acctbal desc, c_custkey limit 2) t")
+
+
 # sorts and sets ------------------------------------------------------------------------------------------------------
 
 
@@ -346,6 +385,21 @@ def udtf_tokenize(spark, sf):
     return spark.sql("SELECT item_id, t.pos, t.token FROM rf_benchmark, LATERAL tokenize(text) t")
 
 
+@query("select 'n_nationkey' as \"column\", count(*) as n, count(*) - count(n_nationkey) as nulls, sum(length(n_nationkey::varchar))::bigint as chars from nation union all select 'n_name', count(*), count(*) - count(n_name), sum(length(n_name))::bigint from nation union all select 'n_regionkey', count(*), count(*) - count(n_regionkey), sum(length(n_regionkey::varchar))::bigint from nation")
+def udtf_profile(spark, sf):
+    """A table function whose output follows from its table argument; what tasks saw is added up by column."""
+    register_all(spark)
+    table(spark, sf, "nation").createOrReplaceTempView("rf_nation")
+    return spark.sql("SELECT `column`, sum(n) AS n, sum(nulls) AS nulls, sum(chars) AS chars FROM profile_part(TABLE(rf_nation)) GROUP BY `column`")
+
+
+@query(_NEAR)
+def named_callback(spark, sf):
+    """A function called by its name, over blocks of vectors."""
+    m = F.array(*[F.lit(v) for c in _C for v in c])
+    return table(spark, sf, "customer").select("c_custkey", apply_named("nearest_column", F.array(F.col("c_acctbal") / 1000, F.col("c_nationkey").cast("double")), m).cast("int").alias("idx"))
+
+
 @query("select o_orderstatus, round(regr_slope(o_totalprice / 1000, o_custkey), 6) as slope, round(regr_intercept(o_totalprice / 1000, o_custkey), 4) as intercept from orders group by 1")
 def sql_ols_facade(spark, sf):
     register_all(spark)
@@ -476,6 +530,39 @@ def stream_keyed_state(spark, sf):
     return t.groupBy("user_id").agg(F.max("n").alias("n"), F.max_by("total", "n").alias("total")).select("user_id", "n", _r("total", 3).alias("total"))
 
 
+@query(f"select row, bucket, cast(sum(cnt) as bigint) as cnt from ({' union all '.join(f'select {r} as row, {carter_wegman_sql("user_id", r, 64)} as bucket, count(*) as cnt from events group by 2' for r in range(3))}) group by all")
+def stream_countmin(spark, sf):
+    """Cells of a count-min sketch kept up to date over micro-batches: the batch cells."""
+    s, cp, _ = _stream(spark, sf)
+    cells = F.explode(F.array(*[F.struct(F.lit(r).alias("row"), carter_wegman(F.col("user_id"), r, 64).alias("bucket")) for r in range(3)]))
+    c = s.select(cells.alias("c")).groupBy("c.row", "c.bucket").agg(F.count("*").alias("cnt"))
+    return st.drained(c, f"rf_c{os.urandom(3).hex()}", cp, "complete")
+
+
+@query("select time_bucket(interval 1 day, ts)::timestamp as start, count(*) as n, count(*) - count(value) as nulls, round(min(value), 4) as lo, round(max(value), 4) as hi, round(avg(value), 4) as mean, count(distinct event_type) as types from events group by 1")
+def stream_window_profile(spark, sf):
+    """A profile of every daily window."""
+    s, cp, _ = _stream(spark, sf)
+    v = F.col("value")
+    aggs = [F.count("*").alias("n"), F.sum(v.isNull().cast("long")).alias("nulls"), F.min(v).alias("lo"), F.max(v).alias("hi"), F.avg(v).alias("mean"), F.size(F.collect_set("event_type")).cast("long").alias("types")]
+    t = st.drained(st.tumbling(st.stamped(s, "ts", "1 hour"), "ts", "1 day", aggs), f"rf_p{os.urandom(3).hex()}", cp, "complete")
+    return t.select(F.col("start").cast("timestamp_ntz").alias("start"), "n", "nulls", *(_r(c).alias(c) for c in ("lo", "hi", "mean")), "types")
+
+
+_SEEDS = [[0.0, 5.0], [12.0, 5.0], [20.0, 50.0]]
+
+
+@query("with p as (select hour(ts) as x0, value as x1 from events), d as (select x0, x1, [" + ", ".join(f"round((x0 - {a}) ** 2 + (x1 - {b}) ** 2, 10)" for a, b in _SEEDS) + "] as d from p) select list_position(d, list_min(d))::int - 1 as centre, count(*) as n, round(avg(x0), 5) as x0, round(avg(x1), 5) as x1 from d group by 1")
+def stream_kmeans(spark, sf):
+    """One round of k-means over a stream: sums by centre are kept up to date, and the new centres follow from them."""
+    s, cp, _ = _stream(spark, sf)
+    x = s.select(F.array(F.hour("ts").cast("double"), F.col("value")).alias("x"))
+    q, store = st.fold(x, LloydFold(np.array(_SEEDS), None, "sqeuclid"), ["x"], cp)
+    q.awaitTermination()
+    rows = [(r["centre"], r["n"], *(float(t) / r["n"] for t in r["total"])) for r in store.result() if r["n"]]
+    return spark.createDataFrame(rows, "centre int, n long, x0 double, x1 double").select("centre", "n", _r("x0", 5).alias("x0"), _r("x1", 5).alias("x1"))
+
+
 @query("select true as late_rows_dropped, true as on_time_kept")
 def stream_late(spark, sf):
     """Rows far behind the watermark are dropped, others are kept."""

@@ -51,10 +51,44 @@ def register_all(spark: SparkSession) -> list[str]:
             for i, t in enumerate((text or "").split()):
                 yield i, t
 
+    from pyspark.sql.functions import AnalyzeArgument, AnalyzeResult
+    from pyspark.sql.types import LongType, StringType, StructType
+
+    @udtf
+    class profile_part:  # noqa: N801
+        """For each column of a table argument, of the rows that one task sees: rows, nulls, the least and greatest value as
+        text, and characters. Tasks' rows add up by column."""
+
+        @staticmethod
+        def analyze(t: AnalyzeArgument) -> AnalyzeResult:
+            if not t.isTable:
+                raise ValueError("profile_part takes a table")
+            out = StructType().add("column", StringType()).add("n", LongType()).add("nulls", LongType()).add("chars", LongType()).add("least", StringType()).add("greatest", StringType())
+            return AnalyzeResult(schema=out)
+
+        def __init__(self):
+            self.seen: dict = {}
+
+        def eval(self, row):
+            for c, v in row.asDict().items():
+                s = self.seen.setdefault(c, [0, 0, 0, None, None])
+                s[0] += 1
+                if v is None:
+                    s[1] += 1
+                    continue
+                s[2] += len(str(v))
+                s[3] = v if s[3] is None or v < s[3] else s[3]
+                s[4] = v if s[4] is None or v > s[4] else s[4]
+
+        def terminate(self):
+            for c, (n, nulls, chars, low, high) in self.seen.items():
+                yield c, n, nulls, chars, None if low is None else str(low), None if high is None else str(high)
+
     for f, name in ((ols_finish, "ols_finish"), (t_two_sided, "t_two_sided"), (norm_two_sided, "norm_two_sided"), (chi2_sf, "chi2_sf"), (nearest_centre, "nearest_centre")):
         spark.udf.register(name, f)
     spark.udtf.register("tokenize", tokenize)
-    return ["ols_finish", "t_two_sided", "norm_two_sided", "chi2_sf", "nearest_centre", "tokenize"]
+    spark.udtf.register("profile_part", profile_part)
+    return ["ols_finish", "t_two_sided", "norm_two_sided", "chi2_sf", "nearest_centre", "tokenize", "profile_part"]
 
 
 def flatten_result(df: DataFrame, as_: str = "columns") -> DataFrame:
