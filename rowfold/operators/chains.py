@@ -222,6 +222,19 @@ def viterbi_window(scores: DataFrame, trans: np.ndarray) -> DataFrame:
     return viterbi_fold(framed, trans)
 
 
+# --- likelihood ------------------------------------------------------------------------------------------------------
+
+
+def log_likelihood(scores: DataFrame, trans: np.ndarray) -> DataFrame:
+    """(doc_id, score, log_z, loglik) of given labelings: scores has (doc_id, pos, s, label), label a place in s. What a
+    labeling's labels and neighbours add up to, less the log of the sum over all labelings."""
+    w = F.array(*[F.array(*map(F.lit, map(float, row))) for row in trans])
+    prev = F.lag("label").over(Window.partitionBy("doc_id").orderBy("pos"))
+    own = scores.withColumn("prev", prev).groupBy("doc_id").agg(F.sum(F.get("s", F.col("label")) + F.coalesce(F.get(F.get(w, F.col("prev")), F.col("label")), F.lit(0.0))).alias("score"))
+    z = forward_backward(pack(scores.select("doc_id", "pos", "s")), trans).filter("pos = 0 and label = 0").select("doc_id", "log_z")
+    return own.join(z, "doc_id").withColumn("loglik", F.col("score") - F.col("log_z"))
+
+
 # --- exact marginals and sampling ------------------------------------------------------------------------------------
 
 

@@ -87,6 +87,19 @@ def _embed(spark, sf):
     return table(spark, sf, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("x"), "label")
 
 
+def kmeans_embed(spark, sf):
+    """Two rounds on the whole vectors, from the three of least id."""
+    src = _embed(spark, sf)
+    init = np.array([r["x"] for r in src.orderBy("vec_id").limit(3).collect()])
+    return _points_rows(km.kmeans(src, "x", 3, "vec_id", "fused", init=init, max_iter=2, min_frac_reassigned=-1))
+
+
+_EMBED_SQL = "with p as materialized (select vec_id, embedding::double[] as x from embeddings), c0 as materialized (select row_number() over (order by vec_id) - 1 as centre, x from p order by vec_id limit 3), " + ", ".join(
+    f"a{i} as materialized (select vec_id, any_value(p.x) as x, arg_min(centre, list_distance(p.x, c.x)) as centre from p, c{i - 1} c group by vec_id), c{i} as materialized (select centre, list(m order by i) as x from (select centre, i, avg(x[i]) as m from a{i}, range(1, 65) t(i) group by all) group by 1)"
+    for i in (1, 2)
+) + " select centre::int as centre, i::int - 1 as pos, round(x[i], 5) as value from c2, range(1, 65) t(i)"
+
+
 def kmeans_embed_descends(spark, sf):
     """Lloyd's objective never rises, for every seeding."""
     src = _embed(spark, sf).persist()
@@ -259,7 +272,7 @@ def predict_tree(spark, sf):
 
 def _svd(spark, sf, method):
     s, _ = svd(_embed(spark, sf), "x", 3, method, power_iters=30)
-    exact = np.linalg.svd(np.array([r["x"] for r in _embed(spark, sf).select("x").collect()]), compute_uv=False)[:3]
+    exact, _ = svd(_embed(spark, sf), "x", 3)
     return spark.createDataFrame([(i, bool(abs(s[i] - exact[i]) <= 1e-3 * exact[0])) for i in range(3)], "pos int, near_exact boolean")
 
 
@@ -303,7 +316,7 @@ def lda_topics(spark, sf):
     total = t.agg(F.sum("cnt")).first()[0]
     rows = []
     for m in ("gibbs", "vb"):
-        f = lda(t, 4, iters=4, method=m, buckets=4)
+        f = lda(t, 4, iters=4, method=m)
         rows.append((m, abs(f.frame.agg(F.sum("n")).first()[0] - total) < 1e-3 * total, f.log.rows[-1]["log_likelihood"] > f.log.rows[0]["log_likelihood"]))
     t.unpersist()
     return spark.createDataFrame(rows, "method string, tokens_kept boolean, likelihood_rises boolean")
@@ -312,7 +325,7 @@ def lda_topics(spark, sf):
 def lda_inference(spark, sf):
     """Topic shares of documents add up to 1."""
     t = _doc_terms(spark, sf)
-    f = lda(t, 3, iters=2, method="vb", buckets=4)
+    f = lda(t, 3, iters=2, method="vb")
     return lda_predict(t, f.frame, 3).groupBy("doc_id").agg(F.round(F.sum("share"), 6).alias("total"))
 
 
@@ -335,6 +348,16 @@ def assoc_pairs(spark, sf):
     return _level(spark, sf, 2)
 
 
+def assoc_pairs_fpgrowth(spark, sf):
+    """The engine's own pattern growth finds the same pairs."""
+    from pyspark.ml.fpm import FPGrowth
+
+    b = _baskets(spark, sf).groupBy("l_orderkey").agg(F.collect_set("p_type").alias("items"))
+    n = b.count()
+    f = FPGrowth(itemsCol="items", minSupport=0.01).fit(b).freqItemsets.filter(F.size("items") == 2)
+    return f.select(F.array_join(F.array_sort("items"), "|").alias("items"), F.col("freq").alias("n"), F.round(F.col("freq") / n, 6).alias("support"))
+
+
 def assoc_triples(spark, sf):
     return _level(spark, sf, 3)
 
@@ -360,9 +383,9 @@ from p join one l on l.i = lhs join one r on r.i = rhs, t where p.n >= ceil(0.05
 
 
 QUERIES = {f.__name__: f for f in (
-    kmeans_points_implicit, kmeans_points_explicit, kmeans_points_delta, kmeans_points_fused, kmeans_reassign_log, kmeans_passes, kmeans_embed_descends, kmeans_distances, predict_kmeans,
+    kmeans_points_implicit, kmeans_points_explicit, kmeans_points_delta, kmeans_points_fused, kmeans_reassign_log, kmeans_passes, kmeans_embed, kmeans_embed_descends, kmeans_distances, predict_kmeans,
     kmeans_quality, nb_categorical, nb_gaussian, nb_text, predict_nb, tree_root_gain, tree_root_infogain, tree_root_gini, tree_c45, tree_variants, predict_tree, svd_gram, svd_random, svd_lanczos,
-    blockmat_gram, lda_topics, lda_inference, assoc_items, assoc_pairs, assoc_triples, assoc_rules,
+    blockmat_gram, lda_topics, lda_inference, assoc_items, assoc_pairs, assoc_pairs_fpgrowth, assoc_triples, assoc_rules,
 )}
 
 ORACLE = {
@@ -383,5 +406,5 @@ ORACLE = {
     "blockmat_gram": BLOCK_SQL,
     "lda_topics": "select unnest(['gibbs', 'vb']) as method, true as tokens_kept, true as likelihood_rises",
     "lda_inference": "with t as (select doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) as term from documents), c as (select term from t group by 1 having count(distinct doc_id) >= 5) select distinct doc_id, 1.0::double as total from t join c using (term)",
-    "assoc_items": _level_sql(1), "assoc_pairs": _level_sql(2), "assoc_triples": _level_sql(3), "assoc_rules": RULES_SQL,
+    "assoc_items": _level_sql(1), "assoc_pairs": _level_sql(2), "assoc_pairs_fpgrowth": _level_sql(2), "kmeans_embed": _EMBED_SQL, "assoc_triples": _level_sql(3), "assoc_rules": RULES_SQL,
 }

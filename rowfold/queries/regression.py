@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 
 from rowfold.core.driver import iterate
 from rowfold.core.fold import run_fold
-from rowfold.functions.portable import uniform, uniform_sql
+from rowfold.functions import features
+from rowfold.functions.portable import M, uniform, uniform_sql
 from rowfold.operators import convex
 from rowfold.operators.descriptive import bootstrap, bootstrap_summary, cg_solve, triple_matvec
 from rowfold.operators.logistic import LogisticFold, logistic, logistic_grouped, logistic_many, predict_logistic
@@ -273,12 +274,111 @@ def _descends(spark, fit, last_below=1.0):
     return spark.createDataFrame([(rows[-1]["loss"] < rows[0]["loss"] * last_below, len(rows) > 0)], "loss_falls boolean, logged boolean")
 
 
+def _steps_sql(src: str, d: int, rounds: int, step: float, slope: str, l2: float = 0.0, mu: float = 0.0) -> str:
+    """CTEs w0 .. w{rounds} of batch gradient rounds with a fixed step. slope: the derivative of a row's loss by x.w, in
+    terms of z (x.w) and y; l2 and mu: the penalties, mu by soft threshold."""
+    ctes = [f"d as materialized ({src})", f"w0 as (select {', '.join(f'0.0::double as w{j}' for j in range(d))})"]
+    for k in range(1, rounds + 1):
+        g = [f"any_value(w{j}) - {step} * (avg(({slope}) * x{j}) + {l2} * any_value(w{j}))" for j in range(d)]
+        g = [f"sign({v}) * greatest(abs({v}) - {step * mu!r}, 0)" if mu else v for v in g]
+        z = " + ".join(f"x{j} * w{j}" for j in range(d))
+        ctes.append(f"w{k} as materialized (select {', '.join(f'{v} as w{j}' for j, v in enumerate(g))} from (select d.*, w.*, {z} as z from d, w{k - 1} w))")
+    return "with " + ", ".join(ctes)
+
+
+def _weights_sql(head: str, d: int, rounds: int) -> str:
+    return head + " " + " union all ".join(f"select {j} as pos, round(w{j}, 6) as w from w{rounds}" for j in range(d))
+
+
+def _weights(fit):
+    return fit.frame.select("pos", F.round("value", 6).alias("w"))
+
+
+_S = "(2 * y - 1)"
+_HINGE = f"case when {_S} * z < 1 then -{_S} else 0 end"
+_LOGISTIC = f"-{_S} / (1 + exp({_S} * z))"
+
+
 def sgd_lasso(spark, sf):
-    """A heavy penalty sets coefficients to exactly 0; a light one does not."""
+    """Twelve proximal rounds at three penalties, the heaviest of which leaves nothing."""
     src = _scaled(spark, sf).persist()
-    zeros = [int((np.abs(convex.fit(convex.Lasso(2, mu), src, "gd", stepsize=convex.Step.const(0.2), max_iter=25).state) < 1e-12).sum()) for mu in (1e-4, 1e4)]
+    rows = [(k, j, float(v)) for k, mu in enumerate((0.001, 0.05, 1e4)) for j, v in enumerate(convex.fit(convex.Lasso(2, mu), src, "gd", stepsize=convex.Step.const(0.1), max_iter=12, tol=0.0).state)]
     src.unpersist()
-    return spark.createDataFrame([(zeros[0], zeros[1])], "zeros_light int, zeros_heavy int")
+    return spark.createDataFrame(rows, "penalty int, pos int, w double").select("penalty", "pos", F.round("w", 6).alias("w"))
+
+
+LASSO_SQL = " union all ".join(f"select {k} as penalty, pos, w from ({_weights_sql(_steps_sql(f'select x0, x1 / 10 as x1, y / 100 as y from ({DOC_SQL})', 2, 12, 0.1, '2 * (z - y)', mu=mu), 2, 12)})" for k, mu in enumerate((0.001, 0.05, 1e4)))
+
+
+def logit_gd(spark, sf):
+    """Eight rounds of batch gradient descent on the logistic loss with a squared penalty."""
+    return _weights(convex.fit(convex.Logistic(3, 1e-3), toxic(spark, sf, True), "gd", stepsize=convex.Step.const(0.05), max_iter=8, tol=0.0))
+
+
+def _svm_weights(spark, sf):
+    return convex.fit(convex.LinearSvm(3, 1e-2), toxic(spark, sf, True), "gd", stepsize=convex.Step.const(0.02), max_iter=8, tol=0.0)
+
+
+def svm_gd(spark, sf):
+    """Eight rounds of batch subgradient descent on the hinge loss."""
+    return _weights(_svm_weights(spark, sf))
+
+
+_SVM_SQL = _steps_sql(NOISY_SQL, 3, 8, 0.02, _HINGE, 1e-2)
+
+
+def predict_svm(spark, sf):
+    src = toxic(spark, sf, True)
+    score = predict_ols(src, "x", _svm_weights(spark, sf).state)
+    return src.select("doc_id", F.round(score, 5).alias("score"), (score > 0).cast("int").alias("c"))
+
+
+def logit_cg(spark, sf):
+    """Conjugate gradients reach the coefficients of Newton's method."""
+    src = toxic(spark, sf, True).select(F.transform("x", lambda v, i: F.when(i == 2, v / 5).otherwise(v)).alias("x"), "y")
+    f = logistic(src, "y", "x", solver="cg", max_iter=200, tol=1e-14)
+    return f.frame.select(F.posexplode("coef").alias("pos", "c")).select("pos", F.round("c", 2).alias("coef"))
+
+
+def sgd_epochs(spark, sf):
+    """A new order of rows in every epoch, against one order for all: both lower the loss to about the same."""
+    src = toxic(spark, sf, True)
+    last = [convex.fit(convex.Logistic(3, 1e-4), src, "igd", "average", convex.Step.decay(0.1, 0.5), max_iter=4, tol=0.0, shuffle=o).log.rows for o in ("once", "epoch")]
+    return spark.createDataFrame([(all(r[-1]["loss"] < r[0]["loss"] for r in last), abs(last[0][-1]["loss"] - last[1][-1]["loss"]) < 0.1 * last[0][-1]["loss"], last[0][-1]["loss"] != last[1][-1]["loss"])], "both_fall boolean, near boolean, orders_differ boolean")
+
+
+# feature vectors -----------------------------------------------------------------------------------------------------
+
+
+def feat_onehot(spark, sf):
+    """Status as one-hot numbers, and their products with the price."""
+    o = table(spark, sf, "orders")
+    hot = features.one_hot("o_orderstatus", features.categories(o, "o_orderstatus"))
+    x = features.assemble(hot, features.interaction(hot, features.number(F.col("o_totalprice") / 1000)), intercept=True)
+    return o.select("o_orderkey", x.alias("x")).select("o_orderkey", *[F.round(F.get("x", F.lit(i)), 4).alias(f"x{i}") for i in range(7)])
+
+
+ONEHOT_SQL = "with o as (select *, (select list(s order by s) from (select distinct o_orderstatus as s from orders)) as v from orders) select o_orderkey, 1.0::double as x0, " + ", ".join(f"(o_orderstatus = v[{i}])::int::double as x{i}" for i in (1, 2, 3)) + ", " + ", ".join(f"round((o_orderstatus = v[{i}])::int * o_totalprice / 1000, 4) as x{i + 3}" for i in (1, 2, 3)) + " from o"
+
+
+def feat_standardise(spark, sf):
+    d = features.standardise(table(spark, sf, "part"), ["p_retailprice", "p_size"])
+    return d.select("p_partkey", F.round("p_retailprice", 6).alias("price"), F.round("p_size", 6).alias("size"))
+
+
+def feat_hash(spark, sf):
+    x = table(spark, sf, "part").select("p_partkey", features.hashed("p_type", 16).alias("x"))
+    return x.select("p_partkey", F.posexplode("x").alias("at", "v")).filter("v <> 0").select("p_partkey", F.col("at").cast("long").alias("at"), F.col("v").cast("int").alias("sign"))
+
+
+HASH_SQL = f"with h as (select p_partkey, list_reduce(list_concat([17::bigint], list_transform(string_split(p_type, ''), lambda c: ascii(c)::bigint)), lambda h, c: (h * 131 + c) % {M}) as h from part) select p_partkey, h % 16 as at, case when (h // 16) % 2 = 0 then 1 else -1 end as sign from h"
+
+
+def guard_finite(spark, sf):
+    """Rows left, and rows that hold no finite number, by column."""
+    e = table(spark, sf, "events").select("event_id", F.when(F.col("event_id") % 10 > 0, F.col("value")).alias("a"), F.array(F.col("value"), F.when(F.col("event_id") % 11 > 0, F.lit(1.0)).otherwise(F.lit(float("inf")))).alias("v"))
+    kept, bad = features.guarded(e, ["v"], ["a"])
+    return kept.agg(F.count("*").alias("kept"), F.lit(bad["v"]).alias("bad_v"), F.lit(bad["a"]).alias("bad_a"))
 
 
 def sgd_logit(spark, sf):
@@ -388,7 +488,8 @@ def _newton_rows(src: str, d: int, digits: int = 4, by: str = "", extra: str = "
 QUERIES = {f.__name__: f for f in (
     ols_doclen, ols_event_time, ols_price, ols_price_expr, ols_price_block, ols_price_serial, ols_price_jvm, ols_price_sparse, ols_price_cg, ols_weighted, ols_group_brand, ols_group_segment,
     ols_rank_deficient, ols_kernels_agree, ols_simple, ols_by_gradient, predict_ols_docs, fold_merge_invariant, logit_toxic, logit_toxic_noisy, logit_return, logit_separable, logit_embed,
-    logit_grouped_lang, logit_many_join, logit_solvers_agree, logit_iteration_log, predict_logit, gd_square, sgd_ls, sgd_lasso, sgd_logit, sgd_svm, sgd_serial, svm_toxic, svm_embed,
+    logit_grouped_lang, logit_many_join, logit_solvers_agree, logit_iteration_log, predict_logit, gd_square, sgd_ls, sgd_lasso, logit_gd, logit_cg, svm_gd, predict_svm, sgd_epochs, sgd_logit, sgd_svm, sgd_serial, svm_toxic, svm_embed,
+    feat_onehot, feat_standardise, feat_hash, guard_finite,
     lowrank_ratings, cg_solve_gram, bootstrap_mean, bootstrap_interval, bootstrap_ols, iteration_log,
 )}
 
@@ -420,7 +521,12 @@ ORACLE = {
     "gd_square": "select i::int as k, round(pow(0.5::double, i), 9) as x from range(0, 11) t(i)",
     "sgd_ls": _gd_sql(10, 0.1),
     **{q: "select true as loss_falls, true as logged" for q in ("sgd_logit", "sgd_svm", "sgd_serial", "lowrank_ratings")},
-    "sgd_lasso": "select 0 as zeros_light, 2 as zeros_heavy",
+    "sgd_lasso": LASSO_SQL, "logit_gd": _weights_sql(_steps_sql(NOISY_SQL, 3, 8, 0.05, _LOGISTIC, 1e-3), 3, 8), "svm_gd": _weights_sql(_SVM_SQL, 3, 8),
+    "predict_svm": f"{_SVM_SQL} select doc_id, round(x0 * w0 + x1 * w1 + x2 * w2, 5) as score, (x0 * w0 + x1 * w1 + x2 * w2 > 0)::int as c from d, w8",
+    "logit_cg": _newton_rows(NOISY_SQL.replace("as x2,", "/ 5 as x2,"), 3, 2, extra=""), "sgd_epochs": "select true as both_fall, true as near, true as orders_differ",
+    "feat_onehot": ONEHOT_SQL, "feat_hash": HASH_SQL,
+    "feat_standardise": "select p_partkey, round((p_retailprice - avg(p_retailprice) over ()) / stddev_pop(p_retailprice) over (), 6) as price, round((p_size - avg(p_size) over ()) / stddev_pop(p_size) over (), 6) as size from part",
+    "guard_finite": "select count(*) filter (event_id % 10 > 0 and event_id % 11 > 0 and value is not null) as kept, count(*) filter (event_id % 11 = 0 or value is null) as bad_v, count(*) filter (event_id % 10 = 0 or value is null) as bad_a from events",
     "svm_toxic": "select true as at_least_majority",
     "svm_embed": "select unnest(['classify', 'regress', 'novelty']) as task, true as loss_falls",
     "cg_solve_gram": f"select pos, coef as x from ({CG_SQL})",

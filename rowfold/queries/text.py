@@ -195,6 +195,23 @@ def forward_backward(spark, sf):
 LOGZ_SQL = TOPK_SQL.split("z as (")[0] + "z as (select *, max(pos) over (partition by doc_id) as last from r) select doc_id, round(ln(sum(exp(s))), 5) as log_z from z where pos = last group by 1"
 
 
+def crf_loglik(spark, sf):
+    """Log-likelihood of the labeling by shape: lower 0, title 1, other 2."""
+    t = X.tokenize(table(spark, sf, "part"), "p_partkey", "p_name", r"[^ \n\t\r]+")
+    tag = _shape_tag(F.col("token"))
+    label = F.when(tag == "lower", 0).when(tag == "title", 1).otherwise(2)
+    s = _emissions(t).join(t.select("doc_id", "pos", label.alias("label")), ["doc_id", "pos"])
+    return C.log_likelihood(s, TRANS).select("doc_id", F.col("score").cast("long").alias("score"), F.round("loglik", 5).alias("loglik"))
+
+
+_OWN = f"case {_SHAPE_SQL} when 'lower' then 0 when 'title' then 1 else 2 end"
+LOGLIK_SQL = LOGZ_SQL.replace("select doc_id, round(ln(sum(exp(s))), 5) as log_z from z where pos = last group by 1", f"""
+, y as (select doc_id, ln(sum(exp(s))) as log_z from z where pos = last group by 1), o as (select doc_id, pos, {_OWN} as l from ({_toks_sql('part', 'p_partkey', 'p_name')})),
+b as (select o.doc_id, o.pos, e.e, w.t from o join e on e.doc_id = o.doc_id and e.pos = o.pos and e.l = o.l left join o p on p.doc_id = o.doc_id and p.pos = o.pos - 1 left join w on w.k = p.l and w.l = o.l),
+c as (select doc_id, sum(e + coalesce(t, 0)) as score from b group by 1)
+select doc_id, score::bigint as score, round(score - log_z, 5) as loglik from c join y using (doc_id)""")
+
+
 def _sampled(spark, sf, sampler, **kw):
     p = C.pack(_scores(spark, sf)).persist()
     e = E.marginal_error(C.mcmc(p, TRANS, sampler, **kw), C.forward_backward(p, TRANS))
@@ -347,10 +364,12 @@ def _grams_of(c: str) -> str:
 WINDOW_SQL = f"""
 with d as materialized (select doc_id, text, list_filter(string_split_regex(lower(text), '\\s+'), lambda w: w <> '') as w from documents),
 q as materialized (select {_grams_of('p')} as h from (select array_to_string(w[11:15], ' ') as p from d where length(text) > 2000 order by doc_id limit 1)),
-x as (select doc_id, h, array_to_string(w[i : i + k - 1], ' ') as t from d, q, (select unnest([4, 5, 6]) as k), range(1, greatest(len(w) - k + 1, 1) + 1) r(i)),
-y as (select * from x where ({' or '.join(f'contains(t, h[{j}])' for j in range(1, 8))}) and len(list_filter(h, lambda g: contains(t, g))) >= ceil(0.6 * len(h))),
-s as (select doc_id, list_intersect({_grams_of('t')}, h) as m, {_grams_of('t')} as g, h from y where length(t) >= 3)
-select doc_id, round(max(len(m) / (len(g) + len(h) - len(m))::double), 6) as similarity from s group by 1 having max(len(m) / (len(g) + len(h) - len(m))::double) >= 0.6"""
+f as (select g, (select sum(length(text) - length(replace(lower(text), g, ''))) from d) as f from (select unnest(h) as g from q)),
+r as materialized (select list(g order by f, g)[1 : count(*) - ceil(0.6 * count(*))::int + 1] as r, list(g) as h from f),
+x as (select doc_id, array_to_string(w[i : i + k - 1], ' ') as t from d, (select unnest([4, 5, 6]) as k), range(1, greatest(len(w) - k + 1, 1) + 1) r(i)),
+y as materialized (select doc_id, h, {_grams_of('t')} as g from x, r where length(t) >= 3 and len(list_filter(r, lambda g: contains(t, g))) > 0),
+s as (select doc_id, len(list_intersect(g, h)) as m, len(g) + len(h) as n from y)
+select doc_id, round(max(m / (n - m)::double), 6) as similarity from s group by 1 having max(m / (n - m)::double) >= 0.6"""
 
 
 def approx_match_doc(spark, sf):
@@ -428,14 +447,14 @@ CONV_SQL = "select conv_id || '/' || turn as doc_id, len(list_filter(string_spli
 
 QUERIES = {f.__name__: f for f in (
     feat_regex, feat_dict, feat_position, feat_word, feat_edge, features_all, viterbi_fold, viterbi_kernel, viterbi_driver, viterbi_window, viterbi_recursive, viterbi_all_documents, viterbi_topk,
-    viterbi_paths_agree, forward_backward, mcmc_gibbs, mcmc_mh, mcmc_chains, mcmc_coordination, crf_train, hmm_counts, pos_tags, ner_entities, ner_model, entity_resolution, entity_resolution_mcmc, trigram_index,
+    viterbi_paths_agree, forward_backward, crf_loglik, mcmc_gibbs, mcmc_mh, mcmc_chains, mcmc_coordination, crf_train, hmm_counts, pos_tags, ner_entities, ner_model, entity_resolution, entity_resolution_mcmc, trigram_index,
     approx_match_part, approx_match_doc, approx_match_window, gram_measures, approx_join_benchmark, approx_join_names, term_index_lookup, pages_text, conversations_roles,
 )}
 
 ORACLE = {
     "feat_regex": FEAT_REGEX_SQL, "feat_dict": FEAT_DICT_SQL, "feat_position": FEAT_POS_SQL, "feat_word": FEAT_WORD_SQL, "feat_edge": FEAT_EDGE_SQL, "features_all": FEAT_ALL_SQL,
     **{f"viterbi_{v}": VITERBI_SQL for v in ("fold", "kernel", "driver", "window", "recursive")}, "viterbi_all_documents": ALL_VITERBI_SQL, "viterbi_topk": TOPK_SQL,
-    "viterbi_paths_agree": "select unnest(['fold', 'driver', 'window']) as variant, true as agrees", "forward_backward": LOGZ_SQL,
+    "viterbi_paths_agree": "select unnest(['fold', 'driver', 'window']) as variant, true as agrees", "forward_backward": LOGZ_SQL, "crf_loglik": LOGLIK_SQL,
     "mcmc_gibbs": "select true as near_exact", "mcmc_mh": "select true as near_exact", "mcmc_chains": "select true as mixed", "mcmc_coordination": "select true as driver_near, true as window_near",
     "crf_train": "select true as beats_majority, true as above_85, true as loss_falls", "hmm_counts": HMM_SQL, "pos_tags": POS_SQL, "ner_entities": NER_SQL,
     "ner_model": "select unnest(['viterbi', 'mcmc']) as method, true as f1_above_half", "entity_resolution": RESOLVE_SQL, "entity_resolution_mcmc": "select true as pure",
