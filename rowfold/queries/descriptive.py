@@ -8,6 +8,7 @@ from rowfold.functions import arrays as A
 from rowfold.functions import sparse as S
 from rowfold.functions.portable import carter_wegman_sql, mixed_sql, uniform_sql
 from rowfold.operators import descriptive as D
+from rowfold.operators import evaluate as E
 from rowfold.operators.textops import terms
 from rowfold.queries.base import table
 
@@ -32,6 +33,15 @@ def cm_point(spark, sf):
 _POINT = f"with c as ({_cells_sql('lineitem', 'l_partkey')}), p as (select p_partkey, r.r as row, case r.r " + " ".join(f"when {r} then {carter_wegman_sql('p_partkey', r, W)}" for r in range(DEPTH)) + f" end as bucket from part, range(0, {DEPTH}) r(r)) select p_partkey, cast(min(coalesce(cnt, 0)) as bigint) as estimate from p left join c using (row, bucket) group by 1"
 
 
+def cm_error(spark, sf):
+    """How far a sketch's point estimates lie from the true counts."""
+    true = table(spark, sf, "lineitem").groupBy(F.col("l_partkey").alias("p_partkey")).agg(F.count("*").alias("n"))
+    return E.sketch_error(cm_point(spark, sf), true, "p_partkey").select("worst", F.round("mean", 6).alias("mean"), F.round("exact", 6).alias("exact"), "below")
+
+
+_ERROR = f"with e as ({_POINT}), t as (select l_partkey as p_partkey, count(*) as n from lineitem group by 1), d as (select coalesce(estimate, 0) - n as d from t left join e using (p_partkey)) select max(abs(d)) as worst, round(avg(abs(d)), 6) as mean, round(avg((d = 0)::int), 6) as exact, count(*) filter (d < 0) as below from d"
+
+
 def cm_bound(spark, sf):
     """Estimates never fall below the true counts, and lie within eps * N of them for at least 1 - delta of all values."""
     src = table(spark, sf, "lineitem")
@@ -239,12 +249,12 @@ select case when n < 20 then 'few' when n < 60 then 'some' else 'many' end as ba
 
 _PROFILES = [_profile(n) for n in TABLES]
 QUERIES = {f.__name__: f for f in (
-    cm_cells, cm_point, cm_bound, cm_range, cm_heavy, cm_dot_quantile, fm_bitmaps, fm_distinct, distinct_methods, *_PROFILES, profile_shape, top_types, quantiles_exact, quantiles_discrete, quantiles_bisect,
+    cm_cells, cm_point, cm_error, cm_bound, cm_range, cm_heavy, cm_dot_quantile, fm_bitmaps, fm_distinct, distinct_methods, *_PROFILES, profile_shape, top_types, quantiles_exact, quantiles_discrete, quantiles_bisect,
     quantile_approx_err, array_ops, array_aggregates, sparse_ops, sparse_sum, tfidf, sample_bernoulli_hash, sample_stratified, sample_vs_full_tail,
 )}
 _DISC = "select unnest([0.25, 0.5, 0.99])::double as q, unnest(quantile_disc(o_totalprice, [0.25, 0.5, 0.99])) as value from orders"
 ORACLE = {
-    "cm_cells": _cells_sql("events", "user_id"), "cm_point": _POINT, "cm_bound": "select true as never_below, true as within_bound",
+    "cm_cells": _cells_sql("events", "user_id"), "cm_point": _POINT, "cm_error": _ERROR, "cm_bound": "select true as never_below, true as within_bound",
     "cm_range": "select low, high, count(*) as n, true as never_below, true as near from (values (1::bigint, 10::bigint), (5, 64), (0, 127), (33, 33)) r(low, high) join events on user_id between low and high group by all",
     "cm_heavy": "select user_id as value, count(*) as n, true as found from events group by 1 having count(*) >= 0.008 * (select count(*) from events)",
     "cm_dot_quantile": "select true as dot_not_below, true as quantile_near", "fm_bitmaps": FM_SQL,

@@ -11,6 +11,7 @@ from rowfold.core.fold import run_fold
 from rowfold.functions import features
 from rowfold.functions.portable import M, uniform, uniform_sql
 from rowfold.operators import convex
+from rowfold.operators import evaluate as E
 from rowfold.operators.descriptive import bootstrap, bootstrap_summary, cg_solve, triple_matvec
 from rowfold.operators.logistic import LogisticFold, logistic, logistic_grouped, logistic_many, predict_logistic
 from rowfold.operators.ols import OlsFold, ols, ols_sparse, predict_ols, simple_ols
@@ -243,6 +244,30 @@ def predict_logit(spark, sf):
     return src.select("doc_id", F.round(predict_logistic("x", b), 4).alias("p"), predict_logistic("x", b, "class").alias("c"))
 
 
+def _judged(spark, sf):
+    src = toxic(spark, sf)
+    b = logistic(src, "y", "x").state["coef"]
+    return src.select("y", F.round(predict_logistic("x", b), 4).alias("p"), (predict_logistic("x", b) >= 0.12).cast("double").alias("c"))
+
+
+_JUDGED = newton_sql(TOXIC_SQL, 2, 9) + ", j as (select y, round(1 / (1 + exp(-(b9.b0 + x1 * b9.b1))), 4) as p, (1 / (1 + exp(-(b9.b0 + x1 * b9.b1))) >= 0.12)::int::double as c from d, b9)"
+
+
+def eval_confusion(spark, sf):
+    return E.confusion(_judged(spark, sf), "y", "c").select(F.col("truth").cast("int").alias("truth"), F.col("guess").cast("int").alias("guess"), "n")
+
+
+def eval_scores(spark, sf):
+    """Area under the curve, root mean squared error and accuracy of the same model."""
+    j = _judged(spark, sf)
+    a = E.auc(j, "y", "p").crossJoin(E.rmse(j, "y", "p")).crossJoin(E.accuracy(j, "y", "c"))  # one row each
+    return a.select(*[F.round(c, 6).alias(c) for c in ("auc", "rmse", "accuracy")])
+
+
+SCORES_SQL = f"""{_JUDGED}, s as (select p, sum(y) as pos, sum(1 - y) as neg from j group by 1), b as (select *, coalesce(sum(neg) over (order by p rows between unbounded preceding and 1 preceding), 0) as below from s),
+a as (select sum(pos * (below + neg / 2)) / (sum(pos) * sum(neg)) as auc from b) select round(any_value(auc), 6) as auc, round(sqrt(avg((y - p) ** 2)), 6) as rmse, round(avg((y = c)::int), 6) as accuracy from j, a"""
+
+
 # gradient solvers ----------------------------------------------------------------------------------------------------
 
 
@@ -488,7 +513,7 @@ def _newton_rows(src: str, d: int, digits: int = 4, by: str = "", extra: str = "
 QUERIES = {f.__name__: f for f in (
     ols_doclen, ols_event_time, ols_price, ols_price_expr, ols_price_block, ols_price_serial, ols_price_jvm, ols_price_sparse, ols_price_cg, ols_weighted, ols_group_brand, ols_group_segment,
     ols_rank_deficient, ols_kernels_agree, ols_simple, ols_by_gradient, predict_ols_docs, fold_merge_invariant, logit_toxic, logit_toxic_noisy, logit_return, logit_separable, logit_embed,
-    logit_grouped_lang, logit_many_join, logit_solvers_agree, logit_iteration_log, predict_logit, gd_square, sgd_ls, sgd_lasso, logit_gd, logit_cg, svm_gd, predict_svm, sgd_epochs, sgd_logit, sgd_svm, sgd_serial, svm_toxic, svm_embed,
+    logit_grouped_lang, logit_many_join, logit_solvers_agree, logit_iteration_log, predict_logit, eval_confusion, eval_scores, gd_square, sgd_ls, sgd_lasso, logit_gd, logit_cg, svm_gd, predict_svm, sgd_epochs, sgd_logit, sgd_svm, sgd_serial, svm_toxic, svm_embed,
     feat_onehot, feat_standardise, feat_hash, guard_finite,
     lowrank_ratings, cg_solve_gram, bootstrap_mean, bootstrap_interval, bootstrap_ols, iteration_log,
 )}
@@ -518,6 +543,7 @@ ORACLE = {
     "logit_solvers_agree": "select unnest(['cg', 'gd', 'igd']) as solver, true as agrees",
     "logit_iteration_log": "select true as never_falls, true as converged, true as logged",
     "predict_logit": newton_sql(TOXIC_SQL, 2, 9) + " select doc_id, round(1 / (1 + exp(-(b9.b0 + x1 * b9.b1))), 4) as p, (1 / (1 + exp(-(b9.b0 + x1 * b9.b1))) >= 0.5)::int as c from d, b9",
+    "eval_confusion": f"{_JUDGED} select y::int as truth, c::int as guess, count(*) as n from j group by all", "eval_scores": SCORES_SQL,
     "gd_square": "select i::int as k, round(pow(0.5::double, i), 9) as x from range(0, 11) t(i)",
     "sgd_ls": _gd_sql(10, 0.1),
     **{q: "select true as loss_falls, true as logged" for q in ("sgd_logit", "sgd_svm", "sgd_serial", "lowrank_ratings")},
