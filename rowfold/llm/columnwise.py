@@ -13,13 +13,12 @@ writes anew.
 
 from __future__ import annotations
 
-import contextlib
-import tempfile
-from pathlib import Path
+import uuid
 
 import numpy as np
+from pyarrow import fs
 
-
+BLOCK = 1 << 20  # entries written at once
 KINDS = {"bwt": np.uint16, "lcp": np.uint8, "owner": np.int32, "offset": np.int32}
 
 
@@ -35,21 +34,36 @@ class _Memory:
     def read(self, k: str) -> np.ndarray:
         return self.columns[k]
 
+    def drop(self) -> None:
+        self.columns.clear()
+
 
 class _Files:
-    """The columns of the state, each in a file of its own that is replaced after every round."""
+    """The columns of the state, each in a sequential file of its own in the folder that all executors share; a round
+    writes new files and drops those of the round before. Whatever ends the construction, the files go."""
 
     def __init__(self, folder: str):
-        self.folder = Path(folder)
+        self.system, base = fs.FileSystem.from_uri(folder)
+        self.base = f"{base}/columnwise-{uuid.uuid4().hex}"
+        self.system.create_dir(self.base, recursive=True)
+        self.names: dict[str, str] = {}
 
     def write(self, **columns: np.ndarray) -> None:
         for k, x in columns.items():
-            new = self.folder / f"{k}.new"
-            x.astype(KINDS[k], copy=False).tofile(new)
-            new.replace(self.folder / k)
+            new, old = f"{self.base}/{k}-{uuid.uuid4().hex}", self.names.get(k)
+            with self.system.open_output_stream(new) as out:
+                for i in range(0, len(x), BLOCK):
+                    out.write(np.ascontiguousarray(x[i : i + BLOCK].astype(KINDS[k], copy=False)))
+            self.names[k] = new
+            if old:
+                self.system.delete_file(old)
 
     def read(self, k: str) -> np.ndarray:
-        return np.fromfile(self.folder / k, KINDS[k])
+        with self.system.open_input_stream(self.names[k]) as f:
+            return np.frombuffer(f.read(), KINDS[k])
+
+    def drop(self) -> None:
+        self.system.delete_dir(self.base)
 
 
 class _Least:
@@ -74,25 +88,25 @@ class _Least:
         return out
 
 
-def suffix_order(data: np.ndarray, ends: np.ndarray, cap: int = 255, in_memory: int = 64 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def suffix_order(data: np.ndarray, ends: np.ndarray, cap: int = 255, in_memory: int = 64 << 20, folder: str | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(bwt, lcp, owner, offset) in the order of all suffixes of the strings, the empty ones first.
 
     data: symbols 0 to 255 of all strings, one after another; ends: where each string ends. bwt: symbol + 1, or 0
     before a whole string. lcp: common prefix with the suffix before, at most `cap` (255 or less). Equal suffixes
     lie by the order of their strings' earlier symbols, empty ones by string. A state of more than `in_memory` bytes
-    lies in files, of which a round holds one or two columns at a time.
+    lies in files in `folder` (the URI of one that all executors share), of which a round holds one or two columns at a time, and the minima of the common prefixes.
     """
     m = len(ends)
     begin = np.concatenate([[0], ends[:-1]])
     size = ends - begin
-    small = (len(data) + m) * sum(np.dtype(k).itemsize for k in KINDS.values()) <= in_memory
-    with contextlib.nullcontext() if small else tempfile.TemporaryDirectory() as folder:
-        files = _Memory() if small else _Files(folder)
+    small = (len(data) + m) * sum(np.dtype(k).itemsize for k in KINDS.values()) <= in_memory or folder is None
+    files = _Memory() if small else _Files(folder)
+    try:
         files.write(bwt=np.zeros(m), lcp=np.zeros(m), owner=np.arange(m), offset=size)
         place = np.arange(m)  # of each string's last inserted suffix
         for j in range(1, int(size.max(initial=0)) + 1):
             live = np.flatnonzero(size >= j)
-            bwt, lcp = files.read("bwt").copy() if small else files.read("bwt"), files.read("lcp")
+            bwt, lcp = files.read("bwt").copy(), files.read("lcp")
             at = place[live]
             bwt[at] = data[ends[live] - j].astype(np.uint16) + 1
             order = np.argsort(bwt, kind="stable")  # of small integers, this is a counting sort
@@ -128,12 +142,14 @@ def suffix_order(data: np.ndarray, ends: np.ndarray, cap: int = 255, in_memory:
             files.write(bwt=next_bwt, lcp=next_lcp, **moved)
             place[live] = m + own
         return files.read("bwt"), files.read("lcp"), files.read("owner"), files.read("offset")
+    finally:
+        files.drop()
 
 
-def repeats(data: np.ndarray, ends: np.ndarray, doc: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+def repeats(data: np.ndarray, ends: np.ndarray, doc: np.ndarray, length: int, folder: str | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(string, offset) of every place where a substring of `length` symbols starts that also starts in a string of a
     lesser `doc`."""
-    _, lcp, owner, offset = suffix_order(data, ends, cap=length)
+    _, lcp, owner, offset = suffix_order(data, ends, cap=length, folder=folder)
     if not len(owner):
         return owner, offset
     first = np.flatnonzero(np.concatenate([[True], lcp[1:] < length]))

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rowfold.llm.columnwise import repeats
-from rowfold.llm.common import parts_for, release, slices, staged, text_bytes, utf8
+from rowfold.llm.common import parts_for, release, shared_dir, slices, staged, text_bytes, utf8
 from rowfold.llm.jaccard import _groups
 from rowfold.llm.shingles import PLACES, U, mix, powers
 
@@ -348,7 +348,7 @@ def _answer(rows: DataFrame, length: int) -> DataFrame:
     return rows.mapInArrow(work, "doc long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
-def _construct(segments: DataFrame, length: int, parts: int) -> DataFrame:
+def _construct(segments: DataFrame, length: int, parts: int, folder: str) -> DataFrame:
     """Hits by part of the documents, from the bytes of the runs of each part: anchors in order, whole anchors at a time."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -373,7 +373,7 @@ def _construct(segments: DataFrame, length: int, parts: int) -> DataFrame:
                 a = z
                 n = size[own]
                 at = np.arange(n.sum()) + np.repeat(begin[own] - (np.cumsum(n) - n), n)
-                who, place = repeats(body[at], np.cumsum(n), doc[own], length)
+                who, place = repeats(body[at], np.cumsum(n), doc[own], length, folder)
                 if len(who):
                     d = doc[own[who]]
                     part, data = _blobs(_part(d.view(U), parts), d, key[own[who]], [(start[own[who]] + place, 4), (np.ones(len(who), np.int64), 2)])
@@ -401,7 +401,7 @@ def remove_repeats(docs: DataFrame, length: int = 50, id_col: str = "doc_id", te
     spans = staged(_compare_runs(dealt(_find_runs(long, length, parts)), parts), "repeats-spans")
     release(docs.sparkSession)
     asked = _segments(dealt(spans.filter("kind = 2").unionByName(_texts(long, parts))), length, parts)
-    more = staged(_construct(asked.repartition(parts, "part").sortWithinPartitions("part"), length, parts), "repeats-hits")
+    more = staged(_construct(asked.repartition(parts, "part").sortWithinPartitions("part"), length, parts, shared_dir(docs.sparkSession)), "repeats-hits")
     del asked
     release(docs.sparkSession)
     out = _answer(dealt(spans.filter("kind = 1").unionByName(more).unionByName(_texts(src, parts))), length)

@@ -141,9 +141,10 @@ def tokens_by_document(docs: DataFrame, model_file: str, eos: int = 2) -> DataFr
 
 
 def read_flat_files(spark, path: str, block_bytes: int = 2 << 20) -> DataFrame:
-    """Blocks of real flat files of 16-bit ids, by fixed-length records; each file is a stream of its own.
+    """Blocks of real flat files of 16-bit ids; each file is a stream of its own.
 
-    Files are read by Spark, whole files in a task; a file is cut into blocks of block_bytes at once.
+    Spark hands a whole file to a task, so files must be below 2 GB and fit a worker's memory; a task cuts its file into
+    blocks of block_bytes at once. Streams that this module writes lie in Parquet in blocks and have no such bound.
     """
     files = spark.read.format("binaryFile").load(path).select("path", "content")
 

@@ -102,7 +102,7 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
     c, g = max(1, -(-n // cell_rows)), max(1, -(-nq // cell_queries))
     least = int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     c = max(c, min(-(-least // g), -(-n // (4 * block)) or 1))
-    home = F.pmod(F.floor(F.col("vec_id") / block), F.lit(c)).cast("int")  # neighbouring ids stay in one block
+    home = F.pmod(F.xxhash64(F.floor(F.col("vec_id") / block)), F.lit(c)).cast("int")  # neighbouring ids stay in one block, whatever steps ids go in
     left = q.withColumn("g", F.pmod(F.xxhash64("vec_id"), F.lit(g)).cast("int")).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(c - 1))))
     right = v.withColumn("c", home).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(g - 1))))
 

@@ -112,13 +112,13 @@ def test_substring_dedup(spark, docs, rows, empty):
     assert got(empty) == []
 
 
-def test_suffix_order_in_memory_and_in_files():
+def test_suffix_order_in_memory_and_in_files(tmp_path):
     rng = random.Random(5)
     for _ in range(40):
         s = [bytes(rng.choice(b"ab") for _ in range(rng.randint(0, 12))) for _ in range(rng.randint(1, 7))]
         data, ends = np.frombuffer(b"".join(s), np.uint8), np.cumsum([len(x) for x in s])
-        a, b = columnwise.suffix_order(data, ends), columnwise.suffix_order(data, ends, in_memory=0)
-        assert all((x == y).all() for x, y in zip(a, b))
+        a, b = columnwise.suffix_order(data, ends), columnwise.suffix_order(data, ends, in_memory=0, folder=f"file://{tmp_path}")
+        assert all((x == y).all() for x, y in zip(a, b)) and not list(tmp_path.iterdir())
         suffixes = [s[i][k:] for i, k in zip(a[2], a[3])]
         assert suffixes == sorted(suffixes) and len(suffixes) == sum(len(x) + 1 for x in s)
         for n in range(1, len(suffixes)):
