@@ -17,6 +17,8 @@ CHECKED = (
     "kmeans_points_fused", "nb_categorical", "nb_gaussian", "tree_root_gain", "tree_root_gini", "assoc_pairs", "assoc_rules", "cm_cells", "cm_point", "fm_bitmaps", "profile_orders", "profile_embeddings",
     "quantiles_discrete", "quantiles_bisect", "array_ops", "sparse_ops", "tfidf", "feat_edge", "feat_position", "viterbi_fold", "viterbi_topk", "forward_backward", "trigram_index", "ner_entities", "join_left",
     "join_asof_prev_event", "agg_cube", "win_range_time", "win_state_ewma", "recursive_series", "stream_ols", "stream_session", "sql_ols_facade", "udtf_tokenize", "validate_errors", "stream_late",
+    "viterbi_all_documents", "crf_loglik", "gram_measures", "pages_text", "udtf_profile", "named_callback", "win_distribution", "sub_exists", "sub_in", "sub_scalar", "sub_select_list", "sub_lateral", "stream_countmin",
+    "stream_window_profile", "stream_kmeans", "svm_gd", "predict_svm", "logit_gd", "feat_onehot", "feat_standardise", "feat_hash", "guard_finite", "kmeans_embed", "assoc_pairs_fpgrowth", "eval_scores", "cm_error",
 )
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(SF), reason="the given tables are not here")

@@ -181,3 +181,72 @@ def test_errors_name_the_fault(spark):
     with pytest.raises(validate.InputError):
         validate.numeric(df, "s")
     assert validate.quoted("a`b") == "`a``b`"
+
+
+def test_viterbi_of_many_chains_at_once():
+    rng = np.random.default_rng(6)
+    t = rng.integers(-3, 4, (3, 3)).astype(float)
+    chain = [rng.integers(-3, 4, (n, 3)).astype(float) for n in (4, 1, 9, 2, 2, 30, 1)]
+    score, path = chains.viterbi_batch(np.concatenate(chain), np.array([len(c) for c in chain]), t)
+    for c, s, p in zip(chain, score, np.split(path, np.cumsum([len(c) for c in chain])[:-1])):
+        best, way = chains.viterbi_numpy(c, t)
+        assert s == best and p.tolist() == way
+
+
+def test_viterbi_rows_without_tokens_and_long_ones(spark):
+    rows = [(1, [[1.0, 0.0]] * 50), (2, []), (3, None), (4, [[0.0, 2.0]])]
+    got = {r["doc_id"]: r["score"] for r in chains.viterbi_kernel(spark.createDataFrame(rows, "doc_id long, e array<array<double>>"), np.zeros((2, 2)), most=8).collect()}
+    assert got == {1: 50.0, 4: 2.0}
+
+
+def test_windows_of_words_against_all_windows():
+    from rowfold.operators.textops import _window_best
+
+    rng = random.Random(3)
+    words = ["ab", "abc", "b", "cab", "bca", "aaa"]
+    for _ in range(100):
+        text, query = ([rng.choice(words) for _ in range(n)] for n in (rng.randint(0, 12), 3))
+        grams = lambda s: {s[i : i + 3] for i in range(len(s) - 2)}
+        q = grams(" ".join(query))
+        windows = [" ".join(text[i : i + min(k, len(text))]) for k in (2, 3, 4) for i in range(max(1, len(text) - k + 1)) if text]
+        sims = [len(grams(w) & q) / len(grams(w) | q) for w in windows if len(grams(w) & q) >= 2]
+        assert _window_best("  ".join(text), frozenset(q), 3, (2, 3, 4), 2) == pytest.approx(max(sims, default=0.0))
+
+
+def test_feature_vectors_and_guards(spark):
+    from rowfold.functions import features
+
+    df = spark.createDataFrame([("a", 1.0, [1.0, 2.0]), ("b", 3.0, [float("nan"), 0.0]), (None, None, None), ("c", float("inf"), [1.0, None])], "s string, v double, x array<double>")
+    hot = features.one_hot("s", features.categories(df, "s"))
+    assert [r[0] for r in df.select(features.assemble(hot, features.number("v"), intercept=True)).collect()][:2] == [[1, 1, 0, 0, 1], [1, 0, 1, 0, 3]]
+    assert df.select(features.interaction(hot, features.number("v"))).first()[0] == [1, 0, 0]
+    kept, bad = features.guarded(df, ["x"], ["v"])
+    assert kept.count() == 1 and bad == {"x": 3, "v": 2}
+    with pytest.raises(validate.InputError) as e:
+        features.guarded(df, ["x"], policy="error")
+    assert e.value.code == "NOT_FINITE"
+    with pytest.raises(validate.InputError):
+        features.categories(df, "s", 2)
+    flat = spark.createDataFrame([(2.0,), (2.0,)], "v double")
+    assert [r[0] for r in features.standardise(flat, ["v"]).collect()] == [0, 0]
+
+
+def test_functions_by_name(spark):
+    from rowfold.core import bridge
+
+    df = spark.createDataFrame([([1.0, 2.0], [3.0, 4.0])], "x array<double>, y array<double>")
+    assert df.select(bridge.apply_named("dot", "x", "y")).first()[0] == 11
+    with pytest.raises(validate.InputError) as e:
+        bridge.lookup("nothing")
+    assert e.value.code == "UNKNOWN_CALLBACK"
+
+
+def test_row_orders_and_ids(spark):
+    from rowfold.operators.kmeans import kmeans
+
+    df = spark.createDataFrame([(f"id{i}", [float(i % 4), float(i // 4)]) for i in range(12)], "k string, x array<double>")
+    for d in ("l1", "sqeuclid"):
+        a, b = (kmeans(df, "x", 2, "k", how, init=np.array([[0.0, 0.0], [3.0, 2.0]]), max_iter=3, min_frac_reassigned=-1, distance=d) for how in ("implicit", "fused"))
+        assert np.allclose(a.state, b.state) and [r["objective"] for r in a.log.rows] == pytest.approx([r["objective"] for r in b.log.rows])
+    with pytest.raises(validate.InputError):
+        convex.fit(convex.LeastSquares(2), df.withColumn("y", df["x"][0]), shuffle="sometimes")
