@@ -387,16 +387,18 @@ class _CrfFold(Fold):
             loss += z - e[np.arange(len(y)), y].sum() - tr[y[:-1], y[1:]].sum()
             up = -p
             up[np.arange(len(y)), y] += 1
-            grad = np.zeros_like(w)
-            np.add.at(grad[:cut].reshape(self.dim, k), rows, up[token])
-            own = grad[cut:].reshape(k, k)
-            own -= pairs
+            hit, which = np.unique(rows, return_inverse=True)  # only the weights of features that the document holds
+            grad = np.zeros((len(hit), k))
+            np.add.at(grad, which, up[token])
+            own = -pairs
             np.add.at(own, (y[:-1], y[1:]), 1)
-            live = np.flatnonzero(grad)
-            d = grad[live] - self.l2 * w[live]
-            g[live] += d * d
-            w[live] += self.alpha * d / np.sqrt(1e-3 + g[live])
-            touched[live] += np.abs(grad[live])
+            place = np.concatenate([(hit[:, None] * k + np.arange(k)).reshape(-1), np.arange(cut, len(w))])
+            grad = np.concatenate([grad.reshape(-1), own.reshape(-1)])
+            place, grad = place[grad != 0], grad[grad != 0]
+            d = grad - self.l2 * w[place]
+            g[place] += d * d
+            w[place] += self.alpha * d / np.sqrt(1e-3 + g[place])
+            touched[place] += np.abs(grad)
             n += len(y)
         return (n, w, g, touched, loss)
 
@@ -470,31 +472,46 @@ def spans(tagged: DataFrame) -> DataFrame:
     return island.groupBy("doc_id", "i", "tag").agg(F.min("pos").alias("start"), F.max("pos").alias("end"), F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("pos", "token"))), lambda s: s["token"]), " ").alias("text")).select("doc_id", "start", "end", F.col("tag").alias("kind"), "text")
 
 
-def resolve_mcmc(pairs: DataFrame, block: str, n_iter: int = 200, seed: int = 0) -> DataFrame:
+def resolve_mcmc(pairs: DataFrame, block: str, n_iter: int = 200, seed: int = 0, missing: float = 0.0) -> DataFrame:
     """(mention, entity) by Metropolis-Hastings over assignments within blocks of (block, a, b, weight): a move takes a
-    mention to the entity of another or to one of its own; pair weights within entities add up to the score. Blocks must
-    be small; entity names are the least mention."""
+    mention to the entity of another or to one of its own; pair weights within entities add up to the score, where pairs
+    that are not listed weigh `missing`. A row with a = b lists a mention. Entity names are the least mention. A block's
+    pairs meet in one task, so memory goes with the pairs listed and not with all pairs."""
 
     def run(t: pa.Table) -> pa.Table:
-        rows = t.to_pylist()
-        names = sorted({r["a"] for r in rows} | {r["b"] for r in rows})
+        a, b, weight = t["a"].to_pylist(), t["b"].to_pylist(), t["weight"].to_pylist()
+        names = sorted(set(a) | set(b))
         at = {n: i for i, n in enumerate(names)}
-        w = np.zeros((len(names), len(names)))
-        for r in rows:
-            w[at[r["a"]], at[r["b"]]] = w[at[r["b"]], at[r["a"]]] = r["weight"]
+        near: list[dict[int, float]] = [{} for _ in names]
+        for p, q, v in zip(a, b, weight):
+            if p != q:
+                near[at[p]][at[q]] = near[at[q]][at[p]] = v
         rng = np.random.default_rng([seed, len(names)])
-        y = np.arange(len(names))
-        for _ in range(n_iter * len(names)):
-            i, j = int(rng.integers(len(names))), int(rng.integers(len(names)))
-            free = next(k for k in range(len(names) + 1) if k not in y)
-            new = y[j] if j != i else free
-            others = np.arange(len(names)) != i
-            d = w[i][(y == new) & others].sum() - w[i][(y == y[i]) & others].sum()
-            if math.log(max(rng.random(), 1e-300)) < 4 * d:
-                y[i] = new
-        least = {k: min(names[i] for i in np.flatnonzero(y == k)) for k in set(y.tolist())}
+        n = len(names)
+        y, size = list(range(n)), [1] * n
+        free: list[int] = []
+
+        def pull(i: int, entity: int) -> float:
+            listed = [v for j, v in near[i].items() if y[j] == entity]
+            return sum(listed) + missing * (size[entity] - (y[i] == entity) - len(listed))
+
+        for i, j, u in zip(rng.integers(n, size=n_iter * n).tolist(), rng.integers(n, size=n_iter * n).tolist(), np.log(np.maximum(rng.random(n_iter * n), 1e-300)).tolist()):
+            old = y[i]
+            if i == j and (size[old] == 1 or not free):
+                continue  # on its own already
+            new = y[j] if i != j else free[-1]
+            if new == old or u >= 4 * (pull(i, new) - pull(i, old)):
+                continue
+            if size[new] == 0:
+                free.remove(new)
+            y[i], size[old], size[new] = new, size[old] - 1, size[new] + 1
+            if size[old] == 0:
+                free.append(old)
+        least: dict[int, object] = {}
+        for name, k in zip(names, y):  # names are in order
+            least.setdefault(k, name)
         kind = t.schema.field("a").type
-        return pa.table([pa.array(names, kind), pa.array([least[k] for k in y.tolist()], kind)], names=["mention", "entity"])
+        return pa.table([pa.array(names, kind), pa.array([least[k] for k in y], kind)], names=["mention", "entity"])
 
     kind = dict(pairs.dtypes)["a"]
     return pairs.select(block, "a", "b", "weight").groupBy(block).applyInArrow(run, f"mention {kind}, entity {kind}")

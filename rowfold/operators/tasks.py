@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rowfold.operators import chains as C
-from rowfold.operators.textops import approx_match, gram_similarity, qgrams
+from rowfold.operators.textops import approx_join, approx_match
 
 #: Function words by language (fixed values).
 FUNCTION_WORDS = ("the", "of", "and", "to", "in", "a", "is", "that", "for", "it", "der", "die", "und", "den", "von", "zu", "das", "mit", "de", "la", "le", "et", "les", "des", "en", "un", "el", "que", "y", "los", "se", "del")
@@ -56,10 +56,14 @@ def apply_tagger(tokens: DataFrame, model, labels: tuple[str, ...], dim: int = 2
 
 def resolve(df: DataFrame, id_col: str, text_col: str, entity: str | None = None, method: str = "match", threshold: float = 0.5) -> DataFrame:
     """match: rows whose text matches the entity's name approximately. mcmc: (mention, entity) of all rows, from pair
-    weights within blocks that share their first word, by sampling assignments."""
+    weights within blocks that share their first word, by sampling assignments. Pairs are found by their rarest grams."""
     if method == "match":
         return approx_match(df, id_col, text_col, entity, threshold)
-    own = df.select(F.col(id_col).alias("m"), F.lower(text_col).alias("t")).withColumn("block", F.split_part("t", F.lit(" "), F.lit(1))).withColumn("g", F.array_distinct(qgrams(F.col("t"))))
-    a, b = own.select("block", F.col("m").alias("a"), F.col("g").alias("ga")), own.select("block", F.col("m").alias("b"), F.col("g").alias("gb"))
-    pairs = a.join(b, "block").filter("a < b").select("block", "a", "b", (gram_similarity(F.col("ga"), F.col("gb")) - threshold).alias("weight"))
-    return C.resolve_mcmc(pairs, "block")
+    own = df.select(F.col(id_col).alias("m"), F.lower(text_col).alias("t"))
+    first = F.split_part("t", F.lit(" "), F.lit(1))
+    near = approx_join(own, own, "m", "t", "m", "t", max(0.1, threshold / 2)).filter("left_id < right_id")  # others weigh as if nothing were shared
+    pairs = near.select(F.col("left_id").alias("a"), F.col("right_id").alias("b"), (F.col("similarity") - threshold).alias("weight"))
+    side = lambda c: own.select(F.col("m").alias(c), first.alias(f"{c}_block"))
+    both = pairs.join(side("a"), "a").join(side("b"), "b").filter("a_block = b_block").select(F.col("a_block").alias("block"), "a", "b", "weight")
+    alone = own.select(first.alias("block"), F.col("m").alias("a"), F.col("m").alias("b"), F.lit(0.0).alias("weight"))
+    return C.resolve_mcmc(both.unionByName(alone), "block", missing=-threshold)
