@@ -4,7 +4,7 @@ Texts become words (a run of word-start marks and what follows up to the next
 space; no piece goes on from a word into the blanks behind it);
 the distinct words of a batch are grouped by length, and all words of one length
 advance together: for each end position and piece length, the substring hashes
-of the whole group are looked up in the sorted hashes of the pieces, and
+of the whole group probe the sorted hashes of the pieces, and
 vectorised maxima keep the best score and a back-pointer. Characters that no
 piece covers fall back to byte pieces. The objective is the sum of the piece
 scores in the model file, as of a unigram model; ties go to the longer last
@@ -35,8 +35,9 @@ FOREIGN = np.uint64(0x110000)  # stands for a mark that the text itself holds
 class Pieces:
     """Lookup tables of a model, small enough to ship: a few hundred kilobytes for 32,000 pieces."""
 
-    keys: np.ndarray  # sorted hashes
-    tables: tuple[np.ndarray, ...]  # by some bits of a hash, its place among the keys; what collides is in the next table
+    keys: np.ndarray  # sorted hashes, times SPREAD
+    first: np.ndarray  # by the high bits of a hash, the first key that could be it; a last entry ends the keys
+    run: int  # most keys with the same high bits
     ids: np.ndarray
     scores: np.ndarray
     longest: int
@@ -66,43 +67,43 @@ def load_pieces(model_file: str) -> Pieces:
             rows.append((p, i, sp.get_score(i)))
     if (byte_ids < 0).any():
         raise ValueError("the model has no byte pieces to fall back to")
-    keys = np.array([hash_of(p) for p, _, _ in rows], np.uint64)
+    keys = np.array([hash_of(p) for p, _, _ in rows], np.uint64) * SPREAD
     order = np.argsort(keys)
     if (np.diff(keys[order]) == 0).any():
         raise ValueError("two pieces share a hash")
     scores = np.array([s for _, _, s in rows], np.float64)
-    return Pieces(keys[order], _tables(keys[order]), np.array([i for _, i, _ in rows], np.int32)[order], scores[order], max(len(p) for p, _, _ in rows), byte_ids, float(scores.min()) - 10.0, tuple(texts))
+    first, run = _directory(keys[order])
+    return Pieces(keys[order], first, run, np.array([i for _, i, _ in rows], np.int32)[order], scores[order], max(len(p) for p, _, _ in rows), byte_ids, float(scores.min()) - 10.0, tuple(texts))
 
 
-TABLE_BITS = 18
+HIGH = 18  # bits of a hash that lead to its place among the sorted keys
+SPREAD = np.uint64(0xBF58476D1CE4E5B9)  # odd, so no two hashes meet; hashes of short pieces are small numbers without it
 
 
-def _slot(key: np.ndarray, table: int) -> np.ndarray:
-    return ((key * np.uint64(0xBF58476D1CE4E5B9 + 0x9E3779B97F4A7C16 * table & (1 << 64) - 1)) >> np.uint64(64 - TABLE_BITS)).astype(np.int64)
-
-
-def _tables(keys: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Direct tables over the sorted keys, each indexed by another product's high bits, until every key has a place."""
-    left, out = np.arange(len(keys)), []
-    while len(left):
-        slot = _slot(keys[left], len(out))
-        _, first = np.unique(slot, return_index=True)
-        t = np.full(1 << TABLE_BITS, -1, np.int32)
-        t[slot[first]] = left[first]
-        out.append(t)
-        left = np.delete(left, first)
-    return tuple(out)
+def _directory(keys: np.ndarray) -> tuple[np.ndarray, int]:
+    """Where the sorted keys of each value of the high bits begin, and the most keys of one value."""
+    high = (keys >> np.uint64(64 - HIGH)).astype(np.int64)
+    first = np.searchsorted(high, np.arange((1 << HIGH) + 1)).astype(np.int32)
+    return first, int(np.diff(first).max(initial=0))
 
 
 def probe(p: Pieces, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(place among the sorted keys, whether the key is there)."""
-    place, found = np.zeros(key.shape, np.int32), np.zeros(key.shape, bool)
-    for i, t in enumerate(p.tables):
-        at = t[_slot(key, i)]
-        hit = (at >= 0) & (p.keys[at] == key)
-        place[hit] = at[hit]
-        found |= hit
-    return place, found
+    """(place among the sorted keys, whether the key is there). The high bits of a hash lead to the few sorted keys that
+    share them, which are compared one after another."""
+    key = key * SPREAD
+    high = (key >> np.uint64(64 - HIGH)).astype(np.int32)
+    at = p.first[high]
+    found = p.keys.take(at, mode="clip") == key
+    if p.run > 1:
+        more = np.flatnonzero(~found & (p.first[high + 1] - at > 1))
+        for i in range(1, p.run):
+            if not len(more):
+                break
+            hit = p.keys.take(at[more] + i, mode="clip") == key[more]
+            at[more[hit]] += i
+            found[more[hit]] = True
+            more = more[~hit]
+    return np.where(found, at, 0), found
 
 
 def hash_of(s: str) -> np.uint64:

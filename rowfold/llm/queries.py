@@ -93,6 +93,13 @@ ORACLE: dict[str, str] = {
         m as (select doc_id, item_id, shift, len(item) as n, i from e where shift + i >= 0 and shift + i < len(toks) and toks[shift + i + 1] = item[i + 1]),
         w as (select x.doc_id, x.item_id, least(16, x.n) as width, x.i, count(*) as hit from m x join m y on x.doc_id = y.doc_id and x.item_id = y.item_id and x.shift = y.shift and y.i >= x.i and y.i < x.i + least(16, x.n) group by x.doc_id, x.item_id, x.shift, x.n, x.i)
         select doc_id, item_id, max(hit)::bigint as matched, max(width)::bigint as width from w where hit >= ceil(0.8 * width) group by 1, 2""",
+    "op2_byte_shards": """
+        with tab as (select list(c order by i) as t from (select i, list_reduce(list_prepend(i, range(8)), lambda c, k: case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end) as c from range(256) r(i))),
+        d as (select doc_id, hex(encode(coalesce(text, ''))) as h, octet_length(encode(coalesce(text, ''))) as n from documents),
+        c as (select doc_id, n, xor(list_reduce(list_prepend(4294967295::bigint, list_transform(range(n), lambda i: ('0x' || substr(h, 2 * i + 1, 2))::bigint)), lambda a, b: xor(a >> 8, t[(xor(a, b) & 255) + 1])), 4294967295) as crc from d, tab),
+        s as (select doc_id, n + 1 as size, crc, sum(n + 1) over (order by doc_id nulls first, n, crc rows between unbounded preceding and current row) - n - 1 as before, sum(n + 1) over () as total from c),
+        p as (select *, (before * 8 // total)::int as shard from s)
+        select doc_id, size::bigint as size, crc::bigint as text_crc32, 'bytes' as law, shard, row_number() over (partition by shard order by before) - 1 as slot, null::int as grown_shard, before::bigint as global_offset from p""",
     "op6_jaccard_join": f"""
         with recursive d as materialized (select doc_id, {_WORDS} as w from documents),
         s as materialized (select distinct doc_id, unnest(case when len(w) >= 5 then list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) when len(w) > 0 then [array_to_string(w, ' ')] else [] end) as g from d),

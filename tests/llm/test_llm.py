@@ -210,13 +210,23 @@ def test_pieces_round_trip_and_best_score(spark, docs, rows, empty):
         best = [0.0] + [-math.inf] * len(full)
         for j in range(1, len(full) + 1):
             for k in range(1, min(p.longest, j) + 1):
-                s = score.get(int(pieces.hash_of(full[j - k : j])))
+                s = score.get(int(pieces.hash_of(full[j - k : j])) * int(pieces.SPREAD) % (1 << 64))
                 v = best[j - k] + s if s is not None else best[j - 1] + p.unknown if k == 1 else -math.inf
                 best[j] = max(best[j], v)
         if not set(own.tolist()) & set(p.byte_ids.tolist()):
             assert sum(p.scores[place[int(i)]] for i in own) == pytest.approx(best[-1])
 
 
+def test_probe_of_sorted_hashes():
+    p = pieces.load_pieces(MODEL)
+    back = np.uint64(pow(int(pieces.SPREAD), -1, 1 << 64))
+    some = np.random.default_rng(0).integers(0, 1 << 63, 200_000, dtype=np.uint64)
+    at, found = pieces.probe(p, np.concatenate([p.keys * back, some]))
+    assert p.run < 16 and (np.diff(p.keys.astype(object)) > 0).all()
+    assert found[: len(p.keys)].all() and (at[: len(p.keys)] == np.arange(len(p.keys))).all()
+    assert (found[len(p.keys) :] == np.isin(some * pieces.SPREAD, p.keys)).all()
+
+
 def test_pieces_of_runs_of_blanks_have_the_best_score_of_the_whole_vocabulary():
     import sentencepiece
 
