@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import gc
+import re
 import tempfile
 import time
 import uuid
@@ -38,6 +39,13 @@ def staged(df: DataFrame, what: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def steady(df: DataFrame, what: str) -> DataFrame:
+    """``df`` if its rows come straight from files, so that reading it twice gives the same rows in the same order; else a
+    staged copy, since what comes through a shuffle or a cache may come in another order the next time."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return staged(df, what) if re.search(r"(?<!Broadcast)Exchange|InMemory|LocalTableScan", plan) else df
+
+
 def release(spark: SparkSession) -> None:
     """Let go of the shuffle files of finished steps now: Spark's cleaner drops them once the plans that made them have
     been collected, which otherwise waits for the driver's heap to fill."""

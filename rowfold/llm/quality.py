@@ -101,11 +101,12 @@ def length_class(n: Column) -> Column:
     return F.least(F.lit(6), F.floor(F.log(F.greatest(n, F.lit(1)).cast("double")) / F.log(F.lit(4.0)) + 1e-9)).cast("int")
 
 
-def cuts_of(scored: DataFrame, low: float, high: float, slack: float) -> DataFrame:
+def cuts_of(scored: DataFrame, low: float, high: float, slack: float, most_keys: int = 100_000) -> DataFrame:
     """(key, lo, hi, n_ref): the quantiles of the trusted rows of each key, widened by slack and by the uncertainty of a
     quantile of few rows (1 over the root of their number), but not past the nearest bad row."""
-    q = quantiles(scored.filter("sure"), low, high, "key")
-    bad = scored.filter("bad and perplexity is not null").select("key", "perplexity").join(q, "key")
+    q = staged(quantiles(scored.filter("sure"), low, high, "key"), "quality-quantiles")
+    small = F.broadcast(q) if q.count() <= most_keys else q  # one row a language and length class
+    bad = scored.filter("bad and perplexity is not null").select("key", "perplexity").join(small, "key")
     near = bad.groupBy("key").agg(F.max(F.when(F.col("perplexity") < F.col("lo"), F.col("perplexity"))).alias("under"), F.min(F.when(F.col("perplexity") > F.col("hi"), F.col("perplexity"))).alias("over"))
     wide = slack * (1 + 1 / F.sqrt("n_ref"))
     lo, hi = F.col("lo") / wide, F.col("hi") * wide
