@@ -31,6 +31,7 @@ FREQUENT = 512  # nodes that hold a token before it counts as frequent
 WIDE = 24  # frequent tokens of a prefix beyond which a node is indexed by them singly
 GROUP = 512  # index entries of one key on one side of a comparison cell
 BITS = 1024
+MANY = 1000  # sets of a component that counts as large, or a millionth of all sets where that is more
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
@@ -372,6 +373,10 @@ def jaccard_groups(docs: DataFrame, pct: int = 80, k: int = 5, id_col: str = "do
     over = components(between).select(F.col("node").alias("comp"), F.col("comp").alias("top"))
     classes = sets.filter("node is not null").groupBy("node").agg(F.min(id_col).alias("least"))
     top = classes.join(named, "node", "left").withColumn("comp", F.coalesce("comp", "node")).join(over, "comp", "left").withColumn("top", F.coalesce("top", "comp"))
-    least = top.groupBy("top").agg(F.min("least").alias("component_id"))
-    member = top.join(least, "top").select("node", "component_id")
+    # large components are few, at most a million, so theirs are broadcast; a shuffle by component would put each into one task
+    least = staged(top.groupBy("top").agg(F.min("least").alias("component_id"), F.count("*").alias("size")), "jaccard-least")
+    many = max(MANY, (least.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]) // 1_000_000)
+    placed = top.join(F.broadcast(least.filter(F.col("size") > many).select("top", F.col("component_id").alias("of_large"), F.lit(True).alias("large"))), "top", "left")
+    rest = placed.filter("large is null").select("node", "top").join(least.select("top", "component_id"), "top").select("node", "component_id")
+    member = rest.unionByName(placed.filter("large").select("node", F.col("of_large").alias("component_id")))
     return sets.join(member, "node", "left").select(id_col, "n_shingles", F.coalesce("component_id", F.col(id_col)).alias("component_id"))

@@ -305,6 +305,7 @@ def test_jaccard(spark, monkeypatch, frequent, wide, empty):
     monkeypatch.setattr(jaccard, "FREQUENT", frequent)
     monkeypatch.setattr(jaccard, "WIDE", wide)
     monkeypatch.setattr(jaccard, "GROUP", 512 if wide == 24 else 2)  # small groups: many cells a key
+    monkeypatch.setattr(jaccard, "MANY", 1000 if wide == 24 else 3)
     rng = random.Random(frequent * 10 + wide)
     rows = texts(frequent + wide)
     base = prose(rng, 60).split()
