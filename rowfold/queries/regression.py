@@ -325,14 +325,14 @@ _LOGISTIC = f"-{_S} / (1 + exp({_S} * z))"
 
 
 def sgd_lasso(spark, sf):
-    """Twelve proximal rounds at three penalties, the heaviest of which leaves nothing."""
+    """Six proximal rounds at three penalties, the heaviest of which leaves nothing."""
     src = _scaled(spark, sf).persist()
-    rows = [(k, j, float(v)) for k, mu in enumerate((0.001, 0.05, 1e4)) for j, v in enumerate(convex.fit(convex.Lasso(2, mu), src, "gd", stepsize=convex.Step.const(0.1), max_iter=12, tol=0.0).state)]
+    rows = [(k, j, float(v)) for k, mu in enumerate((0.001, 0.05, 1e4)) for j, v in enumerate(convex.fit(convex.Lasso(2, mu), src, "gd", stepsize=convex.Step.const(0.1), max_iter=6, tol=0.0).state)]
     src.unpersist()
     return spark.createDataFrame(rows, "penalty int, pos int, w double").select("penalty", "pos", F.round("w", 6).alias("w"))
 
 
-LASSO_SQL = " union all ".join(f"select {k} as penalty, pos, w from ({_weights_sql(_steps_sql(f'select x0, x1 / 10 as x1, y / 100 as y from ({DOC_SQL})', 2, 12, 0.1, '2 * (z - y)', mu=mu), 2, 12)})" for k, mu in enumerate((0.001, 0.05, 1e4)))
+LASSO_SQL = " union all ".join(f"select {k} as penalty, pos, w from ({_weights_sql(_steps_sql(f'select x0, x1 / 10 as x1, y / 100 as y from ({DOC_SQL})', 2, 6, 0.1, '2 * (z - y)', mu=mu), 2, 6)})" for k, mu in enumerate((0.001, 0.05, 1e4)))
 
 
 def logit_gd(spark, sf):
@@ -380,10 +380,10 @@ def feat_onehot(spark, sf):
     o = table(spark, sf, "orders")
     hot = features.one_hot("o_orderstatus", features.categories(o, "o_orderstatus"))
     x = features.assemble(hot, features.interaction(hot, features.number(F.col("o_totalprice") / 1000)), intercept=True)
-    return o.select("o_orderkey", x.alias("x")).select("o_orderkey", *[F.round(F.get("x", F.lit(i)), 4).alias(f"x{i}") for i in range(7)])
+    return o.select("o_orderkey", x.alias("x")).select("o_orderkey", *[F.round(F.get("x", F.lit(i)), 5).alias(f"x{i}") for i in range(7)])
 
 
-ONEHOT_SQL = "with o as (select *, (select list(s order by s) from (select distinct o_orderstatus as s from orders)) as v from orders) select o_orderkey, 1.0::double as x0, " + ", ".join(f"(o_orderstatus = v[{i}])::int::double as x{i}" for i in (1, 2, 3)) + ", " + ", ".join(f"round((o_orderstatus = v[{i}])::int * o_totalprice / 1000, 4) as x{i + 3}" for i in (1, 2, 3)) + " from o"
+ONEHOT_SQL = "with o as (select *, (select list(s order by s) from (select distinct o_orderstatus as s from orders)) as v from orders) select o_orderkey, 1.0::double as x0, " + ", ".join(f"(o_orderstatus = v[{i}])::int::double as x{i}" for i in (1, 2, 3)) + ", " + ", ".join(f"round((o_orderstatus = v[{i}])::int * o_totalprice / 1000, 5) as x{i + 3}" for i in (1, 2, 3)) + " from o"
 
 
 def feat_standardise(spark, sf):
