@@ -43,7 +43,7 @@ def steady(df: DataFrame, what: str) -> DataFrame:
     """``df`` if its rows come straight from files, so that reading it twice gives the same rows in the same order; else a
     staged copy, since what comes through a shuffle or a cache may come in another order the next time."""
     plan = df._jdf.queryExecution().executedPlan().toString()
-    return staged(df, what) if re.search(r"(?<!Broadcast)Exchange|InMemory|LocalTableScan", plan) else df
+    return staged(df, what) if re.search(r"(?<!Broadcast)Exchange|InMemoryTableScan", plan) else df
 
 
 def release(spark: SparkSession) -> None:

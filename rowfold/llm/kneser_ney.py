@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rowfold.llm.common import slices, staged, steady
+from rowfold.llm.common import slices, staged
 from rowfold.llm.shingles import U, mix
 
 ORDER = 5
@@ -376,8 +376,9 @@ def log_probabilities(levels: list, share: list[np.ndarray], left: list[np.ndarr
 
 def score(docs: DataFrame, model: DataFrame, extra: Callable[[pa.Array, pa.RecordBatch], pa.Array] | None = None, extra_type: str = "double", text_col: str = "text", sure_col: str = "sure") -> DataFrame:
     """docs without their text, with perplexity (3 decimals; null for null or empty texts), n_symbols, and extra(texts,
-    rows). Rows with `sure` are scored as if the n-grams that they alone hold were unseen."""
-    spark, docs = docs.sparkSession, steady(docs, "scored-input")
+    rows). Rows with `sure` are scored as if the n-grams that they alone hold were unseen. docs are read twice and must give
+    their rows in the same order both times (see common.steady); otherwise the job fails."""
+    spark = docs.sparkSession
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-model.count() // SHARD_ROWS))
     at, sure = docs.columns.index(text_col), docs.columns.index(sure_col)
 

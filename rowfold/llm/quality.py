@@ -18,16 +18,18 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rowfold.llm.common import slices, staged
+from rowfold.llm.common import slices, staged, steady
 from rowfold.llm.kneser_ney import SLICE, gram_counts, kneser_ney, score
 
 
 def trusted(docs: DataFrame, labels: DataFrame, most: int = 2_000_000) -> DataFrame:
     """docs with `sure`, that a label calls the document good, and no label bad or toxic, and with `bad` and `toxic`, that
-    some label says so. The ids of a label table of up to `most` rows are broadcast; a larger one is joined by shuffle."""
+    some label says so. The ids of a label table of up to `most` rows are broadcast; a larger one is joined by shuffle, and
+    the result staged, since a shuffle gives rows in no stable order."""
     good = labels.filter("doc_id is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("toxic").alias("t")).selectExpr("doc_id", "q = 1 and coalesce(t, 0) = 0 as sure", "q = 0 as bad", "t = 1 as toxic")
     small = labels.count() <= most
-    return docs.join(F.broadcast(good) if small else good, "doc_id", "left").withColumns({k: F.coalesce(k, F.lit(False)) for k in ("sure", "bad", "toxic")})
+    out = docs.join(F.broadcast(good) if small else good, "doc_id", "left").withColumns({k: F.coalesce(k, F.lit(False)) for k in ("sure", "bad", "toxic")})
+    return out if small else staged(out, "quality-labelled")
 
 
 def quantiles(scored: DataFrame, low: float, high: float, by: str = "lang") -> DataFrame:
@@ -135,7 +137,7 @@ def classify(docs: DataFrame, labels: DataFrame, low: float = 0.001, high: float
     everything with text is kept. Null or repeated ids keep their rows, and rows of one id its label; an empty table gives none;
     further columns are ignored. n-grams of one shard with equal 64-bit keys, found by chance only, share a probability.
     """
-    src = trusted(docs.select("doc_id", "lang", "text", *carry), labels)
+    src = trusted(steady(docs.select("doc_id", "lang", "text", *carry), "quality-input"), labels)
     model = kneser_ney(gram_counts(src.filter("sure")))
     scored = score(src, model, word_odds(*toxic_words(src, toxic_share, toxic_odds))).withColumnRenamed("extra", "toxicity")
     own = F.coalesce("lang", F.lit("?"))
