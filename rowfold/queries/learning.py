@@ -5,9 +5,10 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import functions as F
 
+from rowfold.core.driver import drop_stage, release, stage
 from rowfold.operators import kmeans as km
 from rowfold.operators.supervised import gaussian_fit, naive_bayes_fit, naive_bayes_predict, naive_bayes_text, split_scores, tree_fit, tree_predict, tree_rules, tree_table
-from rowfold.operators.textops import terms
+from rowfold.operators.textops import document_terms
 from rowfold.operators.unsupervised import association_rules, block_multiply, block_transpose, frequent_itemsets, lda, lda_predict, left_vectors, svd
 from rowfold.queries.base import table
 
@@ -304,28 +305,27 @@ def blockmat_gram(spark, sf):
 BLOCK_SQL = "with p as (select vec_id, i::int - 1 as i, embedding[i]::double as v from embeddings, range(1, 5) t(i)) select a.i, b.i as j, round(sum(a.v * b.v), 4) as v from p a join p b using (vec_id) group by all"
 
 
-def _doc_terms(spark, sf, least=5):
-    t = terms(table(spark, sf, "documents"), "doc_id", "text")
-    common = t.groupBy("term").agg(F.count("*").alias("df")).filter(F.col("df") >= least).select("term")
-    return t.join(common, "term", "left_semi")
+LEAST = 5
 
 
 def lda_topics(spark, sf):
-    """Topic counts keep every token, and both samplers raise the likelihood."""
-    t = _doc_terms(spark, sf).persist()
-    total = t.agg(F.sum("cnt")).first()[0]
+    """Topic counts keep every token of the terms of five documents, and both samplers raise the likelihood."""
+    t = stage(document_terms(table(spark, sf, "documents"), "doc_id", "text"), "terms")
+    each = t.select(F.explode(F.arrays_zip("terms", "counts")).alias("p")).groupBy("p.terms").agg(F.count("*").alias("df"), F.sum("p.counts").alias("n"))
+    total = each.filter(F.col("df") >= LEAST).agg(F.sum("n")).first()[0]
     rows = []
     for m in ("gibbs", "vb"):
-        f = lda(t, 4, iters=4, method=m)
+        f = lda(t, 4, iters=4, method=m, least_docs=LEAST)
+        drop_stage(f.state)
+        release(spark)
         rows.append((m, abs(f.frame.agg(F.sum("n")).first()[0] - total) < 1e-3 * total, f.log.rows[-1]["log_likelihood"] > f.log.rows[0]["log_likelihood"]))
-    t.unpersist()
     return spark.createDataFrame(rows, "method string, tokens_kept boolean, likelihood_rises boolean")
 
 
 def lda_inference(spark, sf):
     """Topic shares of documents add up to 1."""
-    t = _doc_terms(spark, sf)
-    f = lda(t, 3, iters=2, method="vb")
+    t = stage(document_terms(table(spark, sf, "documents"), "doc_id", "text"), "terms")
+    f = lda(t, 3, iters=2, method="vb", least_docs=LEAST)
     return lda_predict(t, f.frame, 3).groupBy("doc_id").agg(F.round(F.sum("share"), 6).alias("total"))
 
 

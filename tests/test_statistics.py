@@ -250,3 +250,26 @@ def test_row_orders_and_ids(spark):
         assert np.allclose(a.state, b.state) and [r["objective"] for r in a.log.rows] == pytest.approx([r["objective"] for r in b.log.rows])
     with pytest.raises(validate.InputError):
         convex.fit(convex.LeastSquares(2), df.withColumn("y", df["x"][0]), shuffle="sometimes")
+
+
+def test_topics_keep_every_token_and_treat_repeated_ids_as_one_document(spark):
+    """Runs of letters end at a row's end; rows that share an id are one document; both samplers keep all counts."""
+    from rowfold.operators.textops import document_terms
+    from rowfold.operators.unsupervised import lda, lda_predict
+
+    rows = [(1, "sun moon sun"), (1, "Sun rain"), (2, "rainé9moon"), (3, None), (4, ""), (5, "stone " * 30 + "sun"), (6, "99")]
+    t = document_terms(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1), "doc_id", "text").persist()
+    got = {r["doc_id"]: dict(zip(r["terms"], r["counts"])) for r in t.collect() if r["terms"]}
+    assert got == {1: {"sun": 3, "moon": 1, "rain": 1}, 2: {"rain": 1, "moon": 1}, 5: {"stone": 30, "sun": 1}}
+    whole = document_terms(spark.createDataFrame([(1, "ab"), (2, "cd")], "doc_id long, text string").coalesce(1), "doc_id", "text")
+    assert sorted(x for r in whole.collect() for x in r["terms"]) == ["ab", "cd"]
+    for method in ("gibbs", "vb"):
+        f = lda(t, 2, iters=3, method=method)
+        assert {r["term"]: round(r["s"], 6) for r in f.frame.groupBy("term").agg({"n": "sum"}).toDF("term", "s").collect()} == {"sun": 4, "moon": 2, "rain": 2, "stone": 30}
+        assert {r["doc_id"]: round(r["s"], 6) for r in f.state.groupBy("doc_id").agg({"n": "sum"}).toDF("doc_id", "s").collect()} == {1: 5, 2: 2, 5: 31}
+        few = lda(t, 2, iters=1, method=method, least_docs=3)
+        assert few.frame.isEmpty()
+    long = spark.createDataFrame([(7, "sun", 2), (8, "other", 1)], "doc_id long, term string, cnt long")
+    p = lda_predict(long, f.frame, 2).collect()
+    assert {r["doc_id"] for r in p} == {7} and abs(sum(r["share"] for r in p) - 1) < 1e-9
+    t.unpersist()
