@@ -9,6 +9,7 @@ import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from rowfold.core import validate
 from rowfold.core.driver import below, iterate
@@ -273,3 +274,37 @@ def test_topics_keep_every_token_and_treat_repeated_ids_as_one_document(spark):
     p = lda_predict(long, f.frame, 2).collect()
     assert {r["doc_id"] for r in p} == {7} and abs(sum(r["share"] for r in p) - 1) < 1e-9
     t.unpersist()
+
+
+def test_cached_and_new_orders_have_as_many_chains(spark):
+    """One order for all epochs (cached) and a new one for each are dealt over equally many chains."""
+    import numpy as np
+
+    from rowfold.operators import convex
+
+    seen = []
+    run = convex.run_fold
+    rng = np.random.default_rng(1)
+    df = spark.createDataFrame([([1.0, float(v)], float(v > 0)) for v in rng.normal(size=200)], "x array<double>, y double")
+
+    def counted(rows, *a, **kw):
+        parts = rows.select(F.spark_partition_id().alias("p")).distinct().count()
+        seen.append(parts)
+        return run(rows, *a, **kw)
+
+    convex.run_fold = counted
+    try:
+        for order in ("once", "epoch"):
+            convex.fit(convex.Logistic(2, 1e-4), df, "igd", "average", max_iter=1, tol=0.0, shuffle=order)
+    finally:
+        convex.run_fold = run
+    assert seen[0] == seen[1] == int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def test_range_counts_stay_near_with_many_values(spark, tmp_path):
+    """A sketch of a fixed width would add the error of 60,000 values to a range of one."""
+    from rowfold.queries import all_queries
+
+    spark.range(300_000).select((F.col("id") % 60_000).alias("user_id")).write.parquet(f"{tmp_path}/events.parquet")
+    got = all_queries()["cm_range"](spark, str(tmp_path)).collect()
+    assert len(got) == 4 and all(r["never_below"] and r["near"] for r in got)
