@@ -60,3 +60,13 @@ def test_plans(spark):
     assert set(s["columns"]) <= {"l_quantity", "l_discount", "l_tax", "l_extendedprice", "l_partkey", "l_orderkey"}
     e = inspect.stats(all_queries()["ols_group_brand"](spark, SF))
     assert e["row_python"] == 0
+
+
+@pytest.mark.parametrize("name", ("gd_square", "recursive_series", "sgd_epochs"))
+def test_more_queries(spark, duck, name):
+    test_query(spark, duck, name)
+
+
+def test_series_and_late_rows_come_from_given_tables():
+    for name, t in (("gd_square", "events"), ("recursive_series", "lineitem"), ("stream_late", "events")):
+        assert f"from {t}" in all_oracles()[name]
