@@ -70,3 +70,12 @@ def test_more_queries(spark, duck, name):
 def test_series_and_late_rows_come_from_given_tables():
     for name, t in (("gd_square", "events"), ("recursive_series", "lineitem"), ("stream_late", "events")):
         assert f"from {t}" in all_oracles()[name]
+
+
+def test_sessions_are_summed_in_tasks_and_kept_as_files(spark):
+    """No memory table, which brings every session of every batch to the driver."""
+    before = {t.name for t in spark.catalog.listTables()}
+    df = all_queries()["stream_session"](spark, SF)
+    assert {t.name for t in spark.catalog.listTables()} == before
+    folders = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
+    assert len(folders) == 1 and "/summed-" in folders.pop()
